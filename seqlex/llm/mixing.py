@@ -89,7 +89,8 @@ def cell_probabilities(spark: SparkSession, cells: DataFrame, keep: float, power
     r = rate(tokens, weight, keep)
     p = np.minimum(1.0, np.divide(r * weight, tokens, out=np.ones_like(tokens), where=tokens > 0))
     rows = [(*(None if x is None or x != x else x for x in row), float(w), float(q)) for row, w, q in zip(pdf[list(DIMENSIONS)].itertuples(index=False), weight, p, strict=True)]
-    return spark.createDataFrame(rows, "source string, lang string, topic string, share double, probability double")
+    # At most DRIVER_CELLS rows, as counted above: small enough to broadcast, so the documents are not shuffled.
+    return F.broadcast(spark.createDataFrame(rows, "source string, lang string, topic string, share double, probability double"))
 
 
 def _distributed(cells: DataFrame, keep: float, powers: dict[str, float], sweeps: int = 40) -> DataFrame:
