@@ -28,14 +28,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix, slices, spool, utf8
+from .common import mix, slices, split_by, spool, utf8
 from .shingles import multisets, overlap
 
 BANDS, ROWS, THRESHOLD = 24, 6, 0.8
 #: Rows of a block; two blocks are compared at a time.
 BLOCK = 512
-#: Signature agreement under which a pair is not verified; eight standard errors below the threshold of 0.8.
-LEAST_AGREEMENT = 0.53
+#: Signature agreement under which a pair of blocks is not verified; four and a half standard errors below the threshold of 0.8.
+LEAST_AGREEMENT = 0.65
 
 _STRIP = [np.uint64(int(x)) for x in np.random.default_rng(8).integers(1, 2**63, 64)]
 _GAMMA = np.uint64(0x9E3779B97F4A7C15)
@@ -135,29 +135,59 @@ def components(edges: DataFrame) -> DataFrame:
             return now.select(F.col("u").alias("node"), F.col("v").alias("label"))
 
 
-def _block_pairs(groups: Iterator[pa.RecordBatch] | pa.Table) -> pa.Table:
-    """Pairs of one pair of blocks of a bucket that agree enough: different components, near weights, near signatures."""
-    rows = groups
-    side, node, label = (np.asarray(rows[c]) for c in ("side", "node", "label"))
+def _candidates(rows: pa.Table) -> Iterator[tuple[int, np.ndarray]]:
+    """(i, js): row i of the first block and rows of the facing one that agree enough: different components, near weights, near signatures."""
+    side, label = np.asarray(rows["side"]), np.asarray(rows["label"])
     weight, inside = np.asarray(rows["weight"]), np.asarray(rows["inside"])
-    sketch = np.frombuffer(b"".join(rows["sketch"].to_pylist()), np.uint8).reshape(len(node), -1)
+    sketch = np.frombuffer(b"".join(rows["sketch"].to_pylist()), np.uint8).reshape(len(side), -1)
     first, second = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
     same = bool(np.asarray(rows["same"])[0])
-    out_a, out_b = [], []
     for i in first:
         j = first[first > i] if same else second
         j = j[(label[j] != label[i]) & ~(inside[j] & inside[i])]
         j = j[np.minimum(weight[j], weight[i]) >= THRESHOLD * np.maximum(weight[j], weight[i])]
         if len(j):
-            j = j[(sketch[j] == sketch[i]).mean(1) >= LEAST_AGREEMENT]
-            out_a.append(np.maximum(node[j], node[i]))
-            out_b.append(np.minimum(node[j], node[i]))
-    a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (out_a, out_b))
-    return pa.table({"a": a, "b": b})
-
-
-def remaining_pairs(members: DataFrame, stars: DataFrame, labels: DataFrame, nodes: DataFrame, threshold: float) -> DataFrame:
-    """Pairs of a bucket that its star did not settle: among the nodes outside the ball of the centre, and between them and the
+            agree = (sketch[j] == sketch[i]).mean(1)
+            order = np.argsort(-agree, kind="stable")
+            yield int(i), j[order][agree[order] >= LEAST_AGREEMENT]
+
+
+def _with_candidates(rows: pa.Table) -> pa.Table:
+    """The rows of a pair of blocks that have a candidate at all."""
+    keep = np.zeros(rows.num_rows, bool)
+    for i, j in _candidates(rows):
+        keep[j] = True
+        keep[i] |= len(j) > 0
+    return rows.filter(pa.array(keep))
+
+
+def _block_links(rows: pa.Table) -> pa.Table:
+    """Verified links of a pair of blocks that join its components: best agreement first, and none within a component that is joined already."""
+    node, label = np.asarray(rows["node"]), np.asarray(rows["label"]).tolist()
+    sets: dict[int, tuple] = {}
+    parent: dict[int, int] = {}
+
+    def root(x: int) -> int:
+        while parent.setdefault(x, x) != x:
+            parent[x] = x = parent[parent[x]]
+        return x
+
+    def multiset(i: int) -> tuple:
+        if i not in sets:
+            sets[i] = multisets(*utf8(rows["text"].slice(i, 1).combine_chunks()))[1:]
+        return sets[i]
+
+    out = []
+    for i, js in _candidates(rows):
+        for j in js.tolist():
+            if root(label[i]) != root(label[j]) and (s := overlap(multiset(i), multiset(j))) >= THRESHOLD:
+                parent[root(label[i])] = root(label[j])
+                out.append((max(node[i], node[j]), min(node[i], node[j]), s))
+    return pa.table({n: pa.array([x[k] for x in out], t) for k, (n, t) in enumerate((("a", pa.int64()), ("b", pa.int64()), ("similarity", pa.float64())))})
+
+
+def remaining_links(members: DataFrame, stars: DataFrame, labels: DataFrame, nodes: DataFrame, texts: DataFrame, threshold: float) -> DataFrame:
+    """Verified links (a, b, similarity) between components of a bucket that its star did not settle: among the nodes outside the ball of the centre, and between them and the
     ball where one of them lies in the ring (2t-1 <= s < t) and in another component."""
     named = members.join(stars.withColumnsRenamed({"a": "node", "b": "centre"}), ["node", "centre"], "left")
     named = named.withColumn("similarity", F.when(F.col("node") == F.col("centre"), 1.0).otherwise(F.col("similarity")))
@@ -173,7 +203,8 @@ def remaining_pairs(members: DataFrame, stars: DataFrame, labels: DataFrame, nod
     rows = rows.join(nodes.select("node", "weight", "sketch"), "node")
     facing = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
     dealt = rows.select("*", facing).select("bucket", F.least("block", "other").alias("b1"), F.greatest("block", "other").alias("b2"), (F.col("block") > F.col("other")).cast("int").alias("side"), (F.col("block") == F.col("other")).alias("same"), "node", "label", "inside", "weight", "sketch")
-    return dealt.groupBy("bucket", "b1", "b2").applyInArrow(_block_pairs, "a long, b long").distinct()
+    likely = dealt.groupBy("bucket", "b1", "b2").applyInArrow(_with_candidates, dealt.schema)
+    return spool(likely, "likely").join(texts, "node").groupBy("bucket", "b1", "b2").applyInArrow(_block_links, "a long, b long, similarity double")
 
 
 def classes(docs: DataFrame, *, bands: int = BANDS, rows: int = ROWS, threshold: float = THRESHOLD) -> DataFrame:
@@ -185,15 +216,15 @@ def classes(docs: DataFrame, *, bands: int = BANDS, rows: int = ROWS, threshold:
     centres = spread.groupBy("bucket").agg(F.min("node").alias("centre"), F.max("node").alias("last")).where("centre < last").select("bucket", "centre")
     members = spool(spread.join(centres, "bucket"), "members")
     pairs = spool(members.where("node <> centre").select(F.col("node").alias("a"), F.col("centre").alias("b")).distinct(), "pairs")
-    wanted = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
-    texts = spool(base.join(wanted, "node", "left_semi").select("node", "text").dropDuplicates(["node"]), "texts")
+    wanted = spool(members.select("node").distinct(), "wanted")
+    likely, _ = split_by(base.where(F.col("text").isNotNull()), F.col("node"), wanted, "node")
+    texts = spool(likely.join(wanted, "node", "left_semi").select("node", "text").dropDuplicates(["node"]), "texts")
     stars = spool(verify(pairs, texts), "stars")
     labels = components(stars.where(F.col("similarity") >= threshold))
-    more = spool(verify(remaining_pairs(members, stars, labels, nodes, threshold), texts), "more")
-    if more.where(F.col("similarity") >= threshold).limit(1).count():
+    more = spool(remaining_links(members, stars, labels, nodes, texts, threshold), "more")
+    if more.limit(1).count():
         # Components of components: the old stars and the new links.
-        links = labels.select(F.col("node").alias("a"), F.col("label").alias("b")).unionByName(more.where(F.col("similarity") >= threshold).select("a", "b"))
-        labels = components(links)
+        labels = components(labels.select(F.col("node").alias("a"), F.col("label").alias("b")).unionByName(more.select("a", "b")))
     grouped = signed.select("doc_id", "node").join(labels, "node", "left").select("doc_id", F.coalesce("label", "node").alias("label"))
     heads = grouped.groupBy("label").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("class_size"))
     placed = grouped.join(heads, "label").select("doc_id", "class_id", "class_size")
@@ -205,7 +236,8 @@ def one_of_each(docs: DataFrame) -> DataFrame:
     """docs without the rows of a group but its representative; all columns stay. Of rows that repeat with the representative's
     id and text one stays. Rows without an id stay, as nothing names them."""
     found = spool(classes(docs), "classes")
-    drop = found.where("not representative").select(F.col("doc_id").alias("__gone")).distinct()
-    kept = docs.join(drop, docs["doc_id"].cast("long") == F.col("__gone"), "left_anti")
+    drop = spool(found.where("not representative").select(F.col("doc_id").alias("__gone")).distinct(), "gone")
+    maybe, sure = split_by(docs, F.col("doc_id").cast("long"), drop, "__gone")
+    kept = sure.unionByName(maybe.join(drop, maybe["doc_id"].cast("long") == F.col("__gone"), "left_anti"))
     twice = found.where("representative and doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count()
     return kept.where("doc_id is null").unionByName(kept.where("doc_id is not null").dropDuplicates(["doc_id"])) if twice else kept

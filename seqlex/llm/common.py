@@ -40,6 +40,17 @@ def spool(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def split_by(df: DataFrame, key: Column, keys: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
+    """(rows that may, rows that surely don't) have a key in keys' column `name`, without a shuffle of df. The keys are hashed into a bitmap of
+    2**24 bits, of which at most 2**18 words are broadcast whatever the number of keys; an exact join of the first part must follow."""
+    h = F.xxhash64(F.col(name))
+    marks = keys.select(F.shiftrightunsigned(h, 46).alias("__word"), F.pmod(h, F.lit(64)).cast("int").alias("__bit")).groupBy("__word").agg(F.expr("bit_or(shiftleft(1L, __bit))").alias("__mask"))
+    h = F.xxhash64(key)
+    marked = df.withColumn("__word", F.shiftrightunsigned(h, 46)).withColumn("__bit", F.pmod(h, F.lit(64)).cast("int")).join(F.broadcast(marks), "__word", "left")
+    maybe = F.expr("coalesce((shiftright(__mask, __bit) & 1L) = 1L, false)")
+    return marked.where(maybe).select(*df.columns), marked.where(~maybe).select(*df.columns)
+
+
 def id_crc(doc_id: str, modulus: int) -> Column:
     """crc32 of the id as text, modulo modulus; a null id counts as the empty text."""
     return F.crc32(F.coalesce(F.col(doc_id).cast("string"), F.lit("")).cast("binary")) % modulus
