@@ -29,13 +29,14 @@ def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers["up"][:n], _powers["down"][:n]
 
 
-def word_hashes(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(start, hash) of each word [^ \\t-\\r]+ of the bytes, A-Z in lower case: differences of one prefix sum, moved to a common origin."""
+def word_hashes(data: np.ndarray, *, fold: bool = True, newline_only: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """(start, hash) of each word [^ \\t-\\r]+ of the bytes (or each run without a line break), A-Z in lower case if fold is set:
+    differences of one prefix sum, moved to a common origin."""
     if not len(data):
         return np.zeros(0, np.int64), np.zeros(0, np.uint64)
     up, down = powers(len(data))
-    prefix = np.concatenate([np.zeros(1, np.uint64), np.cumsum(_noise[_lower[data]] * up, dtype=np.uint64)])
-    edge = np.diff(np.concatenate([[True], _space[data], [True]]).astype(np.int8))
+    prefix = np.concatenate([np.zeros(1, np.uint64), np.cumsum(_noise[_lower[data] if fold else data] * up, dtype=np.uint64)])
+    edge = np.diff(np.concatenate([[True], data == 10 if newline_only else _space[data], [True]]).astype(np.int8))
     start, end = np.flatnonzero(edge == -1), np.flatnonzero(edge == 1)
     return start, mix((prefix[end] - prefix[start]) * down[start] + (end - start).astype(np.uint64))
 
