@@ -155,18 +155,19 @@ class Tree:
 
     @staticmethod
     def _nodes(grams_: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Sums of each path length by themselves: the grams are sorted, so are their keys, and only the sums are held together."""
         context, byte = grams_ >> np.uint64(8), grams_ & np.uint64(255)
-        keys, ones = [], []
-        for k in range(8):
-            keys.append(context << np.uint64(8) | np.uint64(1 << k) | byte >> np.uint64(8 - k))
-            ones.append(byte >> np.uint64(7 - k) & np.uint64(1))
-        flat, bit, n = np.concatenate(keys), np.concatenate(ones).astype(bool), np.tile(counts, 8)
-        order = np.argsort(flat, kind="stable")
-        flat, bit, n = flat[order], bit[order], n[order]
-        if not len(flat):
-            return flat, n.astype(float), n.astype(float)
-        first = np.flatnonzero(np.concatenate([[True], flat[1:] != flat[:-1]]))
-        return flat[first], np.add.reduceat(np.where(bit, 0, n), first).astype(float), np.add.reduceat(np.where(bit, n, 0), first).astype(float)
+        parts = []
+        for k in range(8 if len(grams_) else 0):
+            key = context << np.uint64(8) | np.uint64(1 << k) | byte >> np.uint64(8 - k)
+            one = (byte >> np.uint64(7 - k) & np.uint64(1)).astype(bool)
+            first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+            parts.append((key[first], np.add.reduceat(np.where(one, 0, counts), first), np.add.reduceat(np.where(one, counts, 0), first)))
+        if not parts:
+            return grams_[:0], np.zeros(0), np.zeros(0)
+        keys, zeros, ones = (np.concatenate(x) for x in zip(*parts, strict=True))
+        order = np.argsort(keys)
+        return keys[order], zeros[order].astype(float), ones[order].astype(float)
 
     def log10(self, grams_: np.ndarray) -> np.ndarray:
         """log10 probability of each gram's byte after its context."""
