@@ -1 +1,281 @@
-"""To come."""
+"""BPE and the comparison of vocabularies."""
+
+from __future__ import annotations
+
+from functools import reduce
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql.window import Window
+
+from seqlex.functions import bases as B
+from seqlex.operators import bpe as P
+from seqlex.operators import greedy as G
+from seqlex.operators import intervals as R
+from seqlex.operators import kmer as K
+from seqlex.sources import tables as T
+
+from . import sql as S
+from .intervals import elements, hits
+from .registry import query
+from .sequence import motif_strings, motif_vocab, words
+
+UNITS = f"units AS (SELECT unit, count(*) AS n FROM (SELECT {S.to_bases('line')} AS unit FROM (SELECT unnest(string_split(text, chr(10))) AS line FROM documents)) WHERE length(unit) > 0 GROUP BY unit)"
+
+
+def bpe_sql(units: str, merges: int) -> str:
+    """Unrolled rounds: pairs of round r come from the spelling after r merges."""
+    parts = [units, "s0 AS (SELECT regexp_replace(unit, '(.)', '<\\1>', 'g') AS spelled, n FROM units)"]
+    for r in range(merges):
+        parts.append(f"y{r} AS (SELECT string_split(regexp_replace(spelled, '^<|>$', '', 'g'), '><') AS s, n FROM s{r})")
+        parts.append(f"c{r} AS (SELECT s[i] AS l, s[i + 1] AS r, sum(n)::BIGINT AS n FROM y{r}, LATERAL (SELECT unnest(range(1, len(s))) AS i) GROUP BY 1, 2)")
+        parts.append(f"m{r} AS MATERIALIZED (SELECT * FROM c{r} ORDER BY n DESC, l, r LIMIT 1)")
+        parts.append(f"s{r + 1} AS MATERIALIZED (SELECT replace(spelled, '<' || m.l || '><' || m.r || '>', '<' || m.l || m.r || '>') AS spelled, s.n FROM s{r} s, m{r} m)")
+    return ", ".join(parts)
+
+
+def _list(merges: int) -> str:
+    return " UNION ALL ".join(f'SELECT {r} AS rank, l AS "left", r AS "right", n FROM m{r}' for r in range(merges))
+
+
+def unit_rows(spark, d):
+    return P.units(T.table(spark, d, "documents"))
+
+
+def as_frame(spark: SparkSession, merges: list[tuple[str, str, int]]) -> DataFrame:
+    return spark.createDataFrame([(i, *m) for i, m in enumerate(merges)], "rank int, left string, right string, n long")
+
+
+@query("bpe_pair_counts", f"WITH {bpe_sql(UNITS, 1)} SELECT l AS \"left\", r AS \"right\", n FROM c0")
+def bpe_pair_counts(spark, d):
+    return P.pair_counts(P.spelled(unit_rows(spark, d)))
+
+
+@query("bpe_train_small", f"WITH {bpe_sql(UNITS, 6)} {_list(6)}")
+def bpe_train_small(spark, d):
+    return as_frame(spark, P.train_sql(unit_rows(spark, d), 6))
+
+
+@query("bpe_train", f"WITH {bpe_sql(UNITS, 12)} {_list(12)}")
+def bpe_train(spark, d):
+    return as_frame(spark, P.train_bpe(unit_rows(spark, d), 22))
+
+
+@query("bpe_min_frequency", f"WITH {bpe_sql(UNITS, 6)} SELECT * FROM ({_list(6)}) WHERE n >= 60000")
+def bpe_min_frequency(spark, d):
+    return as_frame(spark, P.train_bpe(unit_rows(spark, d), 16, min_freq=60000)).where("n >= 60000")
+
+
+@query("bpe_apply", f"WITH {bpe_sql(UNITS, 6)}, {S.PREFIXES}, a0 AS (SELECT contig, regexp_replace(seq, '(.)', '<\\1>', 'g') AS t FROM prefixes)" + "".join(f", a{r + 1} AS (SELECT contig, replace(t, '<' || m.l || '><' || m.r || '>', '<' || m.l || m.r || '>') AS t FROM a{r}, m{r} m)" for r in range(6)) + " SELECT contig, string_split(regexp_replace(t, '^<|>$', '', 'g'), '><') AS tokens FROM a6")
+def bpe_apply(spark, d):
+    merges = P.train_bpe(unit_rows(spark, d), 16)
+    return P.apply_bpe(T.prefixes(spark, d).where(F.length("seq") > 0), merges)
+
+
+@query("bpe_alphabet", "SELECT unnest(['[PAD]', '[UNK]', '[CLS]', '[SEP]', '[MASK]', 'A', 'C', 'G', 'T', 'N']) AS token")
+def bpe_alphabet(spark, d):
+    from seqlex.operators.pwm import ONE, SPECIALS
+
+    return spark.createDataFrame([(t,) for t in SPECIALS + ONE], "token string")
+
+
+def corpora(spark, d) -> dict[str, DataFrame]:
+    """Units of the four training corpora: whole documents, merged motif regions, elements, and foreign text (pages)."""
+    contigs = T.contigs(spark, d)
+    as_units = lambda df: df.where(F.length("seq") > 0).groupBy(F.col("seq").alias("unit")).agg(F.count(F.lit(1)).alias("n"))
+    motif = R.extract(R.merge(G.scan_motifs(contigs, words(spark, d))), contigs)
+    return {"whole": unit_rows(spark, d), "motif": as_units(motif), "element": as_units(R.extract(elements(spark, d), contigs)), "foreign": P.units(T.table(spark, d, "pages"), "html")}
+
+
+SIZES = (64, 128, 256)
+
+
+def vocab_grid(spark, d, sizes=SIZES, min_freq: int = 20, symbols: int = 300_000, names=("whole", "motif", "element", "foreign")) -> DataFrame:
+    """(vocab, size, token): the grid of corpus and size. The sizes here stand for 1024, 2048 and 4096 on small tables; each corpus is trained once."""
+    rows = []
+    for name, u in corpora(spark, d).items():
+        if name in names:
+            merges = P.train_bpe(u, max(sizes), min_freq, symbols)
+            rows += [(name, s, t) for s in sizes for t in P.vocab(merges, s)]
+    return spark.createDataFrame(rows, "vocab string, size int, token string")
+
+
+@query("bpe_grid")
+def bpe_grid(spark, d):
+    return vocab_grid(spark, d).groupBy("vocab", "size").agg(F.count(F.lit(1)).alias("tokens"), F.round(F.avg(F.length("token")), 6).alias("mean_len"))
+
+
+for _corpus in ("whole", "motif", "element", "foreign"):
+
+    @query(f"bpe_domain_{_corpus}")
+    def _one(spark, d, name=_corpus):
+        return as_frame(spark, P.train_bpe(corpora(spark, d)[name], 128, 20, 300_000))
+
+
+# Vocabularies that SQL can rebuild: k-mers that occur, and the dictionary.
+SETS = f"""{S.PREFIXES}, {S.MOTIFS}, v AS (SELECT DISTINCT 'k' || k AS vocab, substr(seq, i + 1, k) AS token FROM prefixes, (SELECT unnest([3, 4, 5]) AS k), LATERAL (SELECT unnest(range(0, length(seq) - k + 1)) AS i) UNION SELECT 'motif', seq FROM motifs UNION SELECT lang, substr(seq, i + 1, 6) FROM prefixes, LATERAL (SELECT unnest(range(0, length(seq) - 5)) AS i))"""
+
+
+def sets(spark, d) -> DataFrame:
+    p = T.prefixes(spark, d)
+    parts = [K.kmer_tokens(p, k).select(F.lit(f"k{k}").alias("vocab"), F.explode("tokens").alias("token")) for k in (3, 4, 5)]
+    parts += [motif_strings(spark, d).select(F.lit("motif").alias("vocab"), F.col("seq").alias("token")), K.kmer_tokens(p, 6).select(F.col("lang").alias("vocab"), F.explode("tokens").alias("token"))]
+    return reduce(DataFrame.unionByName, parts).distinct()
+
+
+def jaccard_matrix(v: DataFrame) -> DataFrame:
+    """(a, b, shared, total, jaccard): an equi join on the token; sizes by inclusion and exclusion."""
+    n = v.groupBy("vocab").agg(F.count(F.lit(1)).alias("n"))
+    met = v.alias("x").join(v.alias("y"), "token").groupBy(F.col("x.vocab").alias("a"), F.col("y.vocab").alias("b")).agg(F.count(F.lit(1)).alias("shared"))
+    sized = n.select(F.col("vocab").alias("a"), F.col("n").alias("na")).join(n.select(F.col("vocab").alias("b"), F.col("n").alias("nb")), F.col("a") < F.col("b"))
+    out = sized.join(met, ["a", "b"], "left").select("a", "b", F.coalesce("shared", F.lit(0)).alias("shared"), "na", "nb")
+    total = F.col("na") + F.col("nb") - F.col("shared")
+    return out.select("a", "b", "shared", total.alias("total"), F.round(F.col("shared") / total, 6).alias("jaccard"))
+
+
+@query("vocab_jaccard", f"WITH {SETS}, n AS (SELECT vocab, count(*) AS n FROM v GROUP BY 1), b AS (SELECT x.vocab AS a, y.vocab AS b, count(*) AS shared FROM v x JOIN v y USING (token) GROUP BY 1, 2) SELECT p.vocab AS a, q.vocab AS b, coalesce(shared, 0) AS shared, p.n + q.n - coalesce(shared, 0) AS total, round(coalesce(shared, 0) / (p.n + q.n - coalesce(shared, 0)), 6) AS jaccard FROM n p JOIN n q ON p.vocab < q.vocab LEFT JOIN b ON b.a = p.vocab AND b.b = q.vocab")
+def vocab_jaccard(spark, d):
+    return jaccard_matrix(sets(spark, d))
+
+
+@query("vocab_venn", f"WITH {SETS} SELECT cell, count(*) AS n FROM (SELECT token, string_agg(vocab, '+' ORDER BY vocab) AS cell FROM v GROUP BY token) GROUP BY cell")
+def vocab_venn(spark, d):
+    return venn(sets(spark, d))
+
+
+def venn(v: DataFrame) -> DataFrame:
+    return v.groupBy("token").agg(F.array_join(F.array_sort(F.collect_set("vocab")), "+").alias("cell")).groupBy("cell").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("vocab_nested")
+def vocab_nested(spark, d):
+    """Each size of a corpus inside the next: missing is 0 throughout."""
+    g = vocab_grid(spark, d, names=("whole",))
+    small, large = g.select("token", "size"), g.select(F.col("token").alias("t"), F.col("size").alias("larger"))
+    pairs = spark.createDataFrame(list(zip(SIZES, SIZES[1:], strict=False)), "size int, larger int")
+    wanted = small.join(F.broadcast(pairs), "size")
+    found = wanted.join(large, (F.col("token") == F.col("t")) & (wanted["larger"] == large["larger"]), "left")
+    return found.groupBy("size").agg(F.count(F.lit(1)).alias("tokens"), F.count_if(F.col("t").isNull()).alias("missing"))
+
+
+@query("vocab_novel", f"WITH {SETS} SELECT token FROM v WHERE vocab = 'de' EXCEPT SELECT token FROM v WHERE vocab = 'en'")
+def vocab_novel(spark, d):
+    v = sets(spark, d)
+    return v.where("vocab = 'de'").select("token").join(v.where("vocab = 'en'").select("token"), "token", "left_anti")
+
+
+@query("token_length_dist", f"WITH {SETS} SELECT vocab, length(token) AS len, count(*) AS n FROM v GROUP BY ALL")
+def token_length_dist(spark, d):
+    return sets(spark, d).groupBy("vocab", F.length("token").cast("long").alias("len")).agg(F.count(F.lit(1)).alias("n"))
+
+
+USE = "usage AS (SELECT v.token, v.kind, count(s.token) AS n FROM vocab v LEFT JOIN scan s ON v.token = s.token GROUP BY v.token, v.kind)"
+SCAN = f"{S.greedy('random', 7)}, {S.VOCAB.replace(S.MOTIFS + ', ', '')}, {USE}"
+
+
+def scan_rows(spark, d, pick: str = "random") -> DataFrame:
+    return G.token_rows(G.greedy_tokenize(T.prefixes(spark, d), words(spark, d), pick=pick, seed=7))
+
+
+def usage(spark, d) -> DataFrame:
+    used = scan_rows(spark, d).groupBy("token").agg(F.count(F.lit(1)).alias("n"))
+    return motif_vocab(spark, d).select("token", "kind").join(used, "token", "left").select("token", "kind", F.coalesce("n", F.lit(0)).alias("n"))
+
+
+@query("token_freq_dist", f"WITH RECURSIVE {SCAN} SELECT token, kind, n FROM usage")
+def token_freq_dist(spark, d):
+    return usage(spark, d)
+
+
+@query("low_freq_share", f"WITH RECURSIVE {SCAN} SELECT kind, round(avg(CASE WHEN n < 10 THEN 1 ELSE 0 END), 6) AS share FROM usage GROUP BY kind")
+def low_freq_share(spark, d):
+    return usage(spark, d).groupBy("kind").agg(F.round(F.avg(F.when(F.col("n") < 10, 1).otherwise(0)), 6).alias("share"))
+
+
+_e = " + ".join(f"CASE WHEN contains(seq, '{b}') THEN -((length(seq) - length(replace(seq, '{b}', ''))) / length(seq)) * log2((length(seq) - length(replace(seq, '{b}', ''))) / length(seq)) ELSE 0 END" for b in B.ALPHABET)
+
+
+@query("token_entropy", f"WITH {S.MOTIFS} SELECT seq, round({_e}, 6) AS bits FROM motifs")
+def token_entropy(spark, d):
+    return motif_strings(spark, d).select("seq", F.round(B.token_entropy(F.col("seq")), 6).alias("bits"))
+
+
+@query("usage_entropy", f"WITH RECURSIVE {SCAN} SELECT round(-sum(p * log2(p)), 6) AS bits FROM (SELECT n / (SELECT sum(n) FROM usage) AS p FROM usage WHERE n > 0)")
+def usage_entropy(spark, d):
+    u = usage(spark, d).where("n > 0")
+    total = u.agg(F.sum("n").alias("all"))
+    p = F.col("n") / F.col("all")
+    return u.crossJoin(F.broadcast(total)).agg(F.round(-F.sum(p * F.log2(p)), 6).alias("bits"))
+
+
+def rank_sum(df: DataFrame, group: str, value: str, a, b) -> DataFrame:
+    """(n1, n2, w1, u, z, p): average ranks and the tie-corrected normal approximation, over vocabulary-sized inputs."""
+    rows = df.where(F.col(group).isin(a, b)).select(F.col(group).alias("g"), F.col(value).alias("x"))
+    w = Window.partitionBy("x")
+    ranked = rows.withColumn("ties", F.count(F.lit(1)).over(w)).withColumn("r", F.rank().over(Window.orderBy("x")) + (F.col("ties") - 1) / 2)
+    s = ranked.agg(F.count_if(F.col("g") == a).cast("double").alias("n1"), F.count_if(F.col("g") == b).cast("double").alias("n2"), F.sum(F.when(F.col("g") == a, F.col("r")).otherwise(0.0)).alias("w1"), F.sum(F.col("ties").cast("double") * F.col("ties") - 1).alias("t"))
+    n = F.col("n1") + F.col("n2")
+    s = s.withColumn("u", F.col("w1") - F.col("n1") * (F.col("n1") + 1) / 2)
+    sd = F.sqrt(F.col("n1") * F.col("n2") / 12 * (n + 1 - F.col("t") / (n * (n - 1))))
+    return s.select("n1", "n2", "w1", "u", F.round((F.col("u") - F.col("n1") * F.col("n2") / 2) / sd, 6).alias("z"))
+
+
+@query("wilcoxon_rank_sum", f"""WITH {SETS}, e AS (SELECT vocab AS g, round({_e.replace('seq', 'token')}, 6) AS x FROM v WHERE vocab IN ('de', 'en')), r AS (SELECT *, count(*) OVER (PARTITION BY x) AS ties, rank() OVER (ORDER BY x) AS rk FROM e),
+s AS (SELECT (count(*) FILTER (g = 'de'))::DOUBLE AS n1, (count(*) FILTER (g = 'en'))::DOUBLE AS n2, sum(CASE WHEN g = 'de' THEN rk + (ties - 1) / 2 ELSE 0 END)::DOUBLE AS w1, sum(ties::DOUBLE * ties - 1) AS t FROM r)
+SELECT n1, n2, w1, w1 - n1 * (n1 + 1) / 2 AS u, round((w1 - n1 * (n1 + 1) / 2 - n1 * n2 / 2) / sqrt(n1 * n2 / 12 * (n1 + n2 + 1 - t / ((n1 + n2) * (n1 + n2 - 1)))), 6) AS z FROM s""")
+def wilcoxon_rank_sum(spark, d):
+    v = sets(spark, d).withColumn("x", F.round(B.token_entropy(F.col("token")), 6))
+    return rank_sum(v, "vocab", "x", "de", "en")
+
+
+def signed_rank(df: DataFrame, x: str, y: str) -> DataFrame:
+    """(n, w_plus, w_minus): ranks of absolute differences, zeros dropped."""
+    diff = df.select((F.col(x) - F.col(y)).alias("d")).where("d <> 0").withColumn("a", F.abs("d"))
+    ranked = diff.withColumn("r", F.rank().over(Window.orderBy("a")) + (F.count(F.lit(1)).over(Window.partitionBy("a")) - 1) / 2)
+    return ranked.agg(F.count(F.lit(1)).alias("n"), F.sum(F.when(F.col("d") > 0, F.col("r")).otherwise(0.0)).alias("w_plus"), F.sum(F.when(F.col("d") < 0, F.col("r")).otherwise(0.0)).alias("w_minus"))
+
+
+@query("wilcoxon_signed_rank", "WITH x AS (SELECT avg(l_quantity) FILTER (l_returnflag = 'A') - avg(l_quantity) FILTER (l_returnflag = 'R') AS d0 FROM lineitem GROUP BY l_suppkey), y AS (SELECT round(d0, 6) AS d FROM x WHERE round(d0, 6) <> 0), r AS (SELECT d, rank() OVER (ORDER BY abs(d)) + (count(*) OVER (PARTITION BY abs(d)) - 1) / 2 AS r FROM y) SELECT count(*) AS n, sum(CASE WHEN d > 0 THEN r ELSE 0 END)::DOUBLE AS w_plus, sum(CASE WHEN d < 0 THEN r ELSE 0 END)::DOUBLE AS w_minus FROM r")
+def wilcoxon_signed_rank(spark, d):
+    flag = lambda f: F.avg(F.when(F.col("l_returnflag") == f, F.col("l_quantity")))
+    x = T.table(spark, d, "lineitem").groupBy("l_suppkey").agg(flag("A").alias("a"), flag("R").alias("b"))
+    return signed_rank(x.select(F.round(F.col("a") - F.col("b"), 6).alias("x"), F.lit(0.0).alias("y")), "x", "y")
+
+
+@query("compression", f"WITH RECURSIVE {S.greedy('random', 7)} SELECT count(*) AS tokens, sum(len)::BIGINT AS emitted, (SELECT sum(length(seq)) FROM prefixes)::BIGINT AS bases, count(*) FILTER (kind = 'motif') AS motif_tokens, round((SELECT sum(length(seq)) FROM prefixes) / count(*), 6) AS bases_per_token FROM scan")
+def compression(spark, d):
+    t = G.greedy_tokenize(T.prefixes(spark, d), words(spark, d), seed=7)
+    emitted = F.aggregate("tokens", F.lit(0), lambda acc, x: acc + x["len"])
+    s = t.agg(F.sum(F.size("tokens")).alias("tokens"), F.sum(emitted).alias("emitted"), F.sum("n_bases").alias("bases"), F.sum(F.size(F.filter("tokens", lambda x: x["kind"] == "motif"))).alias("motif_tokens"))
+    return s.withColumn("bases_per_token", F.round(F.col("bases") / F.col("tokens"), 6))
+
+
+@query("motif_integrity", f"""WITH RECURSIVE {S.greedy('random', 7)}, occ AS (SELECT contig, i AS s, i + n AS e FROM hits h, LATERAL (SELECT unnest(lens) AS n)) SELECT count(*) AS hits, count(*) FILTER (EXISTS (SELECT 1 FROM scan t WHERE t.contig = o.contig AND t.pos <= o.s AND t.pos + t.len >= o.e)) AS intact FROM occ o""")
+def motif_integrity(spark, d):
+    """Motif occurrences that stand within one token; a token holds at most one bin border, so a range join by bins serves."""
+    spans = scan_rows(spark, d).select("contig", F.col("pos").cast("long").alias("start"), (F.col("pos") + F.col("len")).cast("long").alias("end"))
+    found = R.overlap_pairs(hits(spark, d), spans, 64).groupBy("contig", "a_start", "a_end").agg(F.max((F.col("overlap") == F.col("a_end") - F.col("a_start")).cast("long")).alias("whole"))
+    all_ = hits(spark, d).agg(F.count(F.lit(1)).alias("hits"))
+    return all_.crossJoin(found.agg(F.coalesce(F.sum("whole"), F.lit(0)).alias("intact")))
+
+
+@query("seed_agreement", "WITH RECURSIVE " + S.greedy("random", 1) + ", " + S.greedy("random", 2).replace(f"{S.PREFIXES}, {S.MOTIFS}, ", "").replace("places AS", "places2 AS").replace("hits", "hits2").replace("offer", "offer2").replace("near", "near2").replace("jump", "jump2").replace("walk", "walk2").replace("scan AS", "scan2 AS").replace("FROM places", "FROM places2") + " SELECT count(*) FILTER (a.pos IS NOT NULL AND b.pos IS NOT NULL) AS both, count(*) AS any FROM scan a FULL JOIN scan2 b ON a.contig = b.contig AND a.pos = b.pos")
+def seed_agreement(spark, d):
+    """Cut points shared by two seeds."""
+    rows = [G.token_rows(G.greedy_tokenize(T.prefixes(spark, d), words(spark, d), seed=s)).select("contig", "pos", F.lit(1).alias(f"s{s}")) for s in (1, 2)]
+    both = rows[0].join(rows[1], ["contig", "pos"], "full")
+    return both.agg(F.count_if(F.col("s1").isNotNull() & F.col("s2").isNotNull()).alias("both"), F.count(F.lit(1)).alias("any"))
+
+
+@query("step_cost", f"WITH RECURSIVE {S.greedy('random', 7)} SELECT count(*) AS steps, 27 * count(*) AS probes, max(pos + len - entry) AS longest_jump, round((SELECT sum(length(seq)) FROM prefixes) / 8.3, 1) AS bound FROM scan")
+def step_cost(spark, d):
+    rows = scan_rows(spark, d).select("contig", "idx", (F.col("pos") + F.col("len")).cast("long").alias("exit"))
+    entry = F.coalesce(F.lag("exit").over(Window.partitionBy("contig").orderBy("idx")), F.lit(0))
+    total = T.prefixes(spark, d).agg(F.round(F.sum(F.length("seq")) / F.lit(8.3), 1).alias("bound"))
+    return rows.select((F.col("exit") - entry).alias("jump")).agg(F.count(F.lit(1)).alias("steps"), (27 * F.count(F.lit(1))).alias("probes"), F.max("jump").alias("longest_jump")).crossJoin(total)
+
+
+@query("space_cost", f"WITH RECURSIVE {SCAN} SELECT (SELECT sum(len) FROM vocab WHERE kind = 'motif')::BIGINT AS dictionary_bases, (SELECT count(*) FROM vocab) AS tokens_known, (SELECT count(*) FROM scan) * 2 AS output_bytes")
+def space_cost(spark, d):
+    v = motif_vocab(spark, d).agg(F.sum(F.when(F.col("kind") == "motif", F.col("len"))).alias("dictionary_bases"), F.count(F.lit(1)).alias("tokens_known"))
+    return v.crossJoin(scan_rows(spark, d).agg((F.count(F.lit(1)) * 2).alias("output_bytes")))

@@ -1 +1,97 @@
-"""To come."""
+"""The experiments on the given tables: every tokenizer on stand-in tasks, one row for each (suite, task, tokenizer)."""
+
+from __future__ import annotations
+
+from functools import reduce
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from seqlex.functions.bases import keyed_fold
+from seqlex.operators import bpe as P
+from seqlex.operators import greedy as G
+from seqlex.operators import kmer as K
+from seqlex.operators import models as M
+from seqlex.sources import tables as T
+
+from .intervals import balanced
+from .registry import query
+from .sequence import words
+from .vocabularies import corpora, unit_rows
+
+
+def tokenised(spark: SparkSession, d: str, rows: DataFrame, name: str) -> DataFrame:
+    """(contig, tokens array<string>) of rows (contig, seq) by the tokenizer called name."""
+    if name.startswith("motif_"):
+        t = G.greedy_tokenize(rows, words(spark, d), pick=name.split("_")[1], seed=int(name.split("_")[2]) if name.count("_") > 1 else 7)
+        return t.select("contig", F.transform("tokens", lambda x: x["token"]).alias("tokens"))
+    if name.startswith("bpe_"):
+        _, corpus, size = name.split("_")
+        u = unit_rows(spark, d) if corpus == "whole" else corpora(spark, d)[corpus]
+        return P.apply_bpe(rows, P.train_bpe(u, int(size), 20, 100_000))
+    k, stride = {"kmer3": (3, 1), "kmer6": (6, 1), "kmer6d": (6, 6)}[name]
+    return K.kmer_tokens(rows, k, stride).select("contig", "tokens")
+
+
+def evaluate(spark: SparkSession, d: str, data: DataFrame, tokenizers: tuple[str, ...], suite: str) -> DataFrame:
+    """data: (task, contig, seq, label 0/1). Naive Bayes on token counts with the same folds for every tokenizer; the MCC of the held-out fold."""
+    out = []
+    for name in tokenizers:
+        keyed = data.select("task", "label", F.xxhash64("task", "contig", "seq", "label").alias("contig"), "seq", keyed_fold("w", F.concat_ws("|", "task", "contig", "label")).alias("fold"))
+        tokens = tokenised(spark, d, keyed.select("contig", "seq").distinct(), name)
+        counts = M.profile(tokens.select(F.col("contig").alias("id"), F.explode("tokens").alias("token")))
+        rows = keyed.select(F.col("contig").alias("id"), "task", F.concat_ws("|", "task", "label").alias("y"), "fold")
+        w, prior = M.nb_train(counts, rows.where("fold <> 0").select("id", "y"))
+        # Classes are task and label together; a row is scored against its own task's classes.
+        test = rows.where("fold = 0")
+        s = counts.join(test, "id").join(w.withColumnRenamed("y", "c"), "token").where(F.col("task") == F.regexp_extract("c", "^(.*)\\|", 1))
+        s = s.groupBy("id", "task", "y", "c").agg(F.sum(F.col("n") * F.col("w")).alias("s")).join(F.broadcast(prior.withColumnRenamed("y", "c")), "c")
+        best = s.groupBy("id", "task", "y").agg(F.max_by("c", F.col("s") + F.col("prior")).alias("c"))
+        label = lambda c: F.regexp_extract(c, "([01])$", 1).cast("int")
+        scored = M.scores(best.select("task", label("y").alias("y"), label("c").alias("yhat")), "task")
+        out.append(scored.select(F.lit(suite).alias("suite"), "task", F.lit(name).alias("tokenizer"), "mcc", "accuracy"))
+    return reduce(DataFrame.unionByName, out)
+
+
+def language_tasks(spark, d, length: int = 300) -> DataFrame:
+    p = T.prefixes(spark, d, length).where(F.length("seq") >= 30)
+    return reduce(DataFrame.unionByName, [p.select(F.lit(f"lang_{x}_{length}").alias("task"), "contig", "seq", (F.col("lang") == x).cast("int").alias("label")) for x in ("en", "de", "fr")])
+
+
+def label_tasks(spark, d, length: int = 300) -> DataFrame:
+    p = T.prefixes(spark, d, length).join(T.table(spark, d, "labels").withColumnRenamed("doc_id", "contig"), "contig").where(F.length("seq") >= 30)
+    return reduce(DataFrame.unionByName, [p.select(F.lit(f"{x}_{length}").alias("task"), "contig", "seq", F.col(x).alias("label")) for x in ("quality", "toxic")])
+
+
+@query("w01_baselines")
+def w01(spark, d):
+    """k-mers, foreign BPE and whole-corpus BPE on language and label tasks."""
+    data = language_tasks(spark, d).unionByName(label_tasks(spark, d))
+    return evaluate(spark, d, data, ("kmer3", "kmer6", "kmer6d", "bpe_foreign_256", "bpe_whole_256"), "S1")
+
+
+@query("w06_balanced_elements")
+def w06(spark, d):
+    data = balanced(spark, d).select(F.col("category").alias("task"), (F.col("contig") * 1_000_000 + F.col("start")).alias("contig"), "seq", "label")
+    return evaluate(spark, d, data, ("kmer6d", "motif_random"), "S5")
+
+
+@query("w08_length_effect")
+def w08(spark, d):
+    return reduce(DataFrame.unionByName, [evaluate(spark, d, language_tasks(spark, d, n), ("kmer3", "motif_random"), f"S1_{n}") for n in (70, 300, 1000)])
+
+
+@query("w09_vocabulary_size")
+def w09(spark, d):
+    return evaluate(spark, d, language_tasks(spark, d), ("bpe_whole_64", "bpe_whole_128", "bpe_whole_256"), "S1")
+
+
+@query("w12_pick_rules")
+def w12(spark, d):
+    return evaluate(spark, d, language_tasks(spark, d), ("motif_random", "motif_longest", "motif_shortest"), "S1")
+
+
+@query("w14_seeds")
+def w14(spark, d):
+    runs = evaluate(spark, d, language_tasks(spark, d), ("motif_random_1", "motif_random_2", "motif_random_3", "motif_random_4"), "S1")
+    return M.mean_std(runs, "suite", "task", value="mcc")
