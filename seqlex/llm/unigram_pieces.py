@@ -6,7 +6,7 @@ The pieces and their scores come from a vocabulary file (a parameter). The publi
 A text gets one leading space, spaces become the whitespace marker, and the path of the highest summed score over the pieces
 is kept; of equal ones the one whose last piece is longer. A character that is no piece costs ten less than the worst score and is
 written as its UTF-8 bytes. No piece holds a marker after another character (checked when the vocabulary is read), so the
-best path of a text is the chain of the best paths of its words; these are kept in a memo of bounded size. Decoding joins pieces and bytes and
+best path of a text is the chain of the best paths of its words, cut before punctuation where no piece holds it after another character; these are kept in a memo of bounded size. Decoding joins pieces and bytes and
 takes the leading space off. A marker character that stands in a text is written by bytes, so every text comes back exactly.
 
 Defined results: a null text has null ids; an empty text none. Very long texts are encoded whole. Repeated rows are encoded alike;
@@ -17,6 +17,7 @@ from __future__ import annotations
 
 import math
 import re
+import string
 from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -28,7 +29,7 @@ from pyspark.sql import functions as F
 
 MARK = "▁"
 DEFAULT_VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
-MEMO = 150_000
+MEMO = 200_000
 
 
 def double_array(keys: list[bytes], values: list[int]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -84,33 +85,46 @@ class Pieces:
     check: list = field(default_factory=list)
     value: list = field(default_factory=list)
     memo: dict = field(default_factory=dict)
+    old: dict = field(default_factory=dict)
 
     def __post_init__(self) -> None:
         special = {i for i, p in enumerate(self.pieces) if i < 3 or self.first_byte <= i < self.first_byte + 256}
         usable = [i for i in range(len(self.pieces)) if i not in special]
         self.unknown = min((self.scores[i] for i in usable), default=0.0) - 10
         if not len(self.base):
-            self.base, self.check, self.value = double_array([self.pieces[i].encode() for i in usable], usable)
+            base, check, value = double_array([self.pieces[i].encode() for i in usable], usable)
+            # The one that follows the base is added here, not at each step.
+            self.base, self.check, self.value = (base + 1).tolist(), check.tolist(), value.tolist()
         whole = [self.pieces[i] for i in usable]
         if any(MARK in p.lstrip(MARK) for p in whole):
             raise ValueError("a piece holds a marker after another character; words are not separable")
         alone = "\n" if not any("\n" in p and len(p) > 1 for p in whole) else ""
-        self.cut = re.compile(f"[{alone}{MARK}]| *[^ {alone}{MARK}]+| +")
-        self.as_bytes = [bytes([i - self.first_byte]) if self.first_byte <= i < self.first_byte + 256 else b"" if i < 3 else p.replace(MARK, " ").encode() for i, p in enumerate(self.pieces)]
+        # Marks of punctuation that no piece holds right after a character that is neither a marker nor punctuation: no path spans a cut there.
+        every = set(string.punctuation)
+        marks = every - {p[k] for p in whole for k in range(1, len(p)) if p[k] in every and p[k - 1] != MARK and p[k - 1] not in every}
+        plain, stop = re.escape("".join(sorted(every))), re.escape("".join(sorted(marks)))
+        word = f" *[^ {alone}{MARK}{plain}]++(?=[ {alone}{MARK}{stop}]|$)|" if marks else ""
+        self.cut = re.compile(f"[{alone}{MARK}]|{word} *[^ {alone}{MARK}]+| +")
+        spelled = [bytes([i - self.first_byte]) if self.first_byte <= i < self.first_byte + 256 else b"" if i < 3 else p.replace(MARK, " ").encode() for i, p in enumerate(self.pieces)]
+        self.spelled = np.frombuffer(b"".join(spelled), np.uint8)
+        self.spelled_size = np.array([len(x) for x in spelled], np.int64)
+        self.spelled_at = np.concatenate([[0], np.cumsum(self.spelled_size)[:-1]])
+        self.sizes = [len(p.encode()) for p in self.pieces]
 
     def __getstate__(self) -> dict:
-        return {k: np.asarray(v, np.int32) if k in ("base", "check", "value") else v for k, v in self.__dict__.items() if k not in ("memo", "cut")} | {"alone": self.cut.pattern}
+        return {k: np.asarray(v, np.int32) if k in ("base", "check", "value") else v for k, v in self.__dict__.items() if k not in ("memo", "old", "cut")} | {"alone": self.cut.pattern}
 
     def __setstate__(self, state: dict) -> None:
         self.__dict__ |= state
         self.base, self.check, self.value = (state[k].tolist() for k in ("base", "check", "value"))
-        self.memo, self.cut = {}, re.compile(state["alone"])
+        self.memo, self.old, self.cut = {}, {}, re.compile(state["alone"])
 
-    def viterbi(self, chunk: bytes) -> tuple[float, array]:
-        """Best (score, ids) of UTF-8 bytes whose spaces are markers already."""
-        base, check, value, scores = self.base, self.check, self.value, self.scores
+    def viterbi(self, chunk: bytes) -> tuple[float, bytes]:
+        """Best (score, ids as int32 bytes) of UTF-8 bytes whose spaces are markers already."""
+        base, check, value, scores, sizes, unknown = self.base, self.check, self.value, self.scores, self.sizes, self.unknown
         n = len(chunk)
-        best, back = [-math.inf] * (n + 1), [(0, -1)] * (n + 1)
+        # back: the piece that ends at a place, or minus the bytes of an unknown character.
+        best, back = [-math.inf] * (n + 1), [0] * (n + 1)
         best[0] = 0.0
         i = 0
         while i < n:
@@ -118,50 +132,67 @@ class Pieces:
             step = 1 if c < 0x80 else 2 if c < 0xE0 else 3 if c < 0xF0 else 4
             here, state, j, single = best[i], 0, i, False
             while j < n:
-                t = base[state] + chunk[j] + 1
+                t = base[state] + chunk[j]
                 if check[t] != state:
                     break
                 state = t
                 j += 1
                 v = value[t]
                 if v >= 0:
-                    single = single or j == i + step
+                    if j - i == step:
+                        single = True
                     s = here + scores[v]
                     if s > best[j]:
-                        best[j], back[j] = s, (i, v)
-            if not single and here + self.unknown > best[i + step]:
-                best[i + step], back[i + step] = here + self.unknown, (i, -1)
+                        best[j] = s
+                        back[j] = v
+            if not single and here + unknown > best[i + step]:
+                best[i + step] = here + unknown
+                back[i + step] = -step
             i += step
         ids, j = [], n
         while j:
-            i, v = back[j]
-            ids += [v] if v >= 0 else [self.first_byte + x for x in reversed(chunk[i:j])]
-            j = i
+            v = back[j]
+            if v >= 0:
+                ids.append(v)
+                j -= sizes[v]
+            else:
+                ids += [self.first_byte + x for x in reversed(chunk[j + v : j])]
+                j += v
         ids.reverse()
-        return best[n], array("i", ids)
+        return best[n], array("i", ids).tobytes()
 
-    def encode(self, text: str) -> tuple[float, array]:
-        out, score, memo = array("i"), 0.0, self.memo
+    def encode(self, text: str) -> tuple[float, np.ndarray]:
         if not text:
-            return score, out
+            return 0.0, np.zeros(0, np.int32)
+        parts, score = [], 0.0
+        memo = self.memo
         for chunk in self.cut.findall(" " + text):
             got = memo.get(chunk)
             if got is None:
-                if chunk == MARK:
-                    got = (self.unknown, array("i", [self.first_byte + x for x in MARK.encode()]))
-                else:
-                    got = self.viterbi(chunk.replace(" ", MARK).encode())
-                if len(memo) >= MEMO:
-                    memo.clear()
-                if len(chunk) < 64:
-                    memo[chunk] = got
+                got = self.learn(chunk)
+                memo = self.memo
             score += got[0]
-            out += got[1]
-        return score, out
+            parts.append(got[1])
+        return score, np.frombuffer(b"".join(parts), np.int32)
+
+    def learn(self, chunk: str) -> tuple[float, bytes]:
+        """The path of a chunk that is not in the young memo: from the old one, or found anew. A full young memo becomes the old one, so
+        chunks in use survive and at most 2 * MEMO are held."""
+        got = self.old.get(chunk)
+        if got is None:
+            got = (self.unknown, array("i", [self.first_byte + x for x in MARK.encode()]).tobytes()) if chunk == MARK else self.viterbi(chunk.replace(" ", MARK).encode())
+        if len(chunk) < 64:
+            if len(self.memo) >= MEMO:
+                self.old, self.memo = self.memo, {}
+            self.memo[chunk] = got
+        return got
 
     def decode(self, ids) -> str:
-        table = self.as_bytes
-        return b"".join([table[i] for i in ids])[1:].decode("utf-8", "replace")
+        """Gathered from one buffer of all pieces' bytes."""
+        ids = np.asarray(ids, np.int32)
+        size = self.spelled_size[ids]
+        at = np.repeat(self.spelled_at[ids] - np.concatenate([[0], np.cumsum(size)[:-1]]), size) if len(ids) else np.zeros(0, np.int64)
+        return self.spelled[at + np.arange(len(at))].tobytes()[1:].decode("utf-8", "replace")
 
 
 def load(path: str = DEFAULT_VOCABULARY, scores: str = "zipf") -> Pieces:
@@ -185,15 +216,15 @@ def encode_documents(docs: DataFrame, pieces: Pieces) -> DataFrame:
         for batch in batches:
             for a in range(0, batch.num_rows, 500):
                 part = batch.slice(a, 500)
-                ids, ends, scores, ok, null = array("i"), [0], [], [], []
+                ids, ends, scores, ok, null = [], [0], [], [], []
                 for text in part["text"].to_pylist():
                     score, got = own.encode(text or "")
-                    ids += got
-                    ends.append(len(ids))
+                    ids.append(got)
+                    ends.append(ends[-1] + len(got))
                     scores.append(score)
                     null.append(text is None)
                     ok.append(own.decode(got) == (text or ""))
-                flat = np.frombuffer(ids, np.int32) if len(ids) else np.zeros(0, np.int32)
+                flat = np.concatenate(ids)
                 offsets = np.array(ends, np.int32)
                 bytes_ = np.concatenate([[0], np.cumsum((flat >= low) & (flat < high))])[offsets]
                 lists = pa.ListArray.from_arrays(pa.array(offsets, mask=np.array([*null, False])), pa.array(flat))
