@@ -45,7 +45,8 @@ def clean(docs: DataFrame, *, text: str = "text", site: str = "source", key: str
     """docs with the boilerplate lines taken out of the text, plus `n_lines` and `n_removed` (replaced where docs has such columns)."""
     from .common import spool
 
-    lines = lines_of(docs, text, site, key, min_chars)
+    # The texts are split once; all later steps read these narrow rows.
+    lines = spool(lines_of(docs, text, site, key, min_chars), "lines")
     bad = spool(boilerplate(lines, min_sites=min_sites), "boilerplate")
     hits = lines.join(bad, ["h1", "h2"]).where(F.col("carrier") != F.col("first"))
     removed = hits.groupBy("carrier").agg(F.collect_set(F.struct("h1", "h2")).alias("__removed")).withColumnRenamed("carrier", "__carrier")
