@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 MARK = "▁"
 DEFAULT_VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
-MEMO = 200_000
+MEMO = 50_000
 
 
 def double_array(keys: list[bytes], values: list[int]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
