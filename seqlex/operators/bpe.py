@@ -1,14 +1,16 @@
 """Byte-pair encoding over bases: pair counts, training and application.
 
 Units (lines) are deduplicated with their multiplicity before training, so a round costs the distinct text. `train_sql` keeps a unit as `<A><C>...`,
-in which replace() merges left to right without shared delimiters; each round is one aggregation. `train_local` is the trainer for full vocabularies: it
-asks that the distinct units hold at most LOCAL_SYMBOLS bases (checked; a keyed sample of units meets it beyond) and keeps exact counts by recounting only
-the units that a merge touches. Ties go to the smaller left, then right, symbol in both.
+in which replace() merges left to right without shared delimiters; each round is one aggregation. `train_local` asks that the distinct units hold at most
+LOCAL_SYMBOLS bases (checked) and keeps exact counts by recounting only the units that a merge touches. `train_batched` serves larger corpora: a round
+settles several merges and only pairs, whose number the vocabulary bounds, reach the driver. Ties go to the smaller left, then right, symbol in all three,
+so they give the same merges.
 """
 
 from __future__ import annotations
 
 import heapq
+import tempfile
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 
@@ -100,8 +102,79 @@ def train_local(rows: list[tuple[str, int]], vocab_size: int, min_freq: int = 10
     return out
 
 
-def train_bpe(u: DataFrame, vocab_size: int, min_freq: int = 100, symbols: int = LOCAL_SYMBOLS) -> list[tuple[str, str, int]]:
+def settled(df: DataFrame) -> DataFrame:
+    """Lineage cut by a checkpoint in the folder that the session names; a temporary one only where it names none (tests)."""
+    sc = df.sparkSession.sparkContext
+    if not sc.getCheckpointDir():
+        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="seqlex-"))
+    return df.checkpoint()
+
+
+def disjoint_head(ranked: list[tuple[str, str, int]], known: set[str]) -> list[tuple[str, str, int]]:
+    """The ranked pairs up to the first that shares a symbol with one before it. A pair that spells a known symbol anew stands alone."""
+    head: list[tuple[str, str, int]] = []
+    used: set[str] = set()
+    made: set[str] = set()
+    for a, b, n in ranked:
+        old = a + b in known or a + b in made
+        if head and (old or {a, b} & used):
+            break
+        head.append((a, b, n))
+        used |= {a, b}
+        made.add(a + b)
+        if old:
+            break
+    return head
+
+
+def not_outranked(head: list[tuple[str, str, int]], after: list[tuple[str, str, int]]) -> int:
+    """How many of head's merges come first in a one-by-one training too. `after` has the pairs with a symbol of head, counted when all were merged.
+    Disjoint symbols leave each other's counts alone, so only a pair with a new symbol can overtake; its count before the later merges is a sum over
+    `after` in which each symbol made later stands for its own first or last part."""
+    for k in range(1, len(head)):
+        made = {a + b for a, b, _ in head[:k]}
+        later = {a + b: (a, b) for a, b, _ in head[k:]}
+        counts: Counter = Counter()
+        for left, right, n in after:
+            pair = later.get(left, (left, left))[1], later.get(right, (right, right))[0]
+            if made & set(pair):
+                counts[pair] += n
+        a, b, n = head[k]
+        if any((-m, *pair) < (-n, a, b) for pair, m in counts.items()):
+            return k
+    return len(head)
+
+
+def train_batched(u: DataFrame, vocab_size: int, min_freq: int = 100, batch: int = 64) -> list[tuple[str, str, int]]:
+    """The merges of train_local for units of any number. A round merges the head of the ranked pairs, recounts, and keeps those that no new pair outranks."""
+    s, out, known = settled(spelled(u)), [], {"A", "C", "G", "T", "N"}
+    counts = pair_counts(s)
+    while len(out) < vocab_size - SPECIAL_AND_ALPHABET:
+        ranked = [tuple(r) for r in counts.where(F.col("n") >= min_freq).orderBy(F.desc("n"), "left", "right").limit(batch).collect()]
+        head = disjoint_head(ranked[: vocab_size - SPECIAL_AND_ALPHABET - len(out)], known)
+        if not head:
+            break
+        merged = s
+        for a, b, _ in head:
+            merged = merge_pair(merged, a, b)
+        if len(head) > 1:
+            made = [a + b for a, b, _ in head]
+            after = [tuple(r) for r in pair_counts(merged).where(F.col("left").isin(made) | F.col("right").isin(made)).collect()]
+            head, merged = head[: not_outranked(head, after)], s
+            for a, b, _ in head:
+                merged = merge_pair(merged, a, b)
+        out += head
+        known |= {a + b for a, b, _ in head}
+        s = settled(merged)
+        counts = pair_counts(s)
+    return out
+
+
+def train_bpe(u: DataFrame, vocab_size: int, min_freq: int = 100, symbols: int = LOCAL_SYMBOLS, beyond: str = "batched") -> list[tuple[str, str, int]]:
+    """Units of more than `symbols` bases go to the batched trainer, or (beyond="sample") are thinned by a key of the unit."""
     size = u.agg(F.sum(F.length("unit"))).first()[0] or 0
+    if size > symbols and beyond == "batched":
+        return train_batched(u, vocab_size, min_freq)
     if size > symbols:
         keep = int(symbols / size * 0.95 * 1_000_000)
         u = u.where(F.pmod(F.xxhash64("unit"), F.lit(1_000_000)) < keep)

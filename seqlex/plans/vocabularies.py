@@ -61,6 +61,12 @@ def bpe_train(spark, d):
     return as_frame(spark, P.train_bpe(unit_rows(spark, d), 22))
 
 
+@query("bpe_train_batched", f"WITH {bpe_sql(UNITS, 12)} {_list(12)}")
+def bpe_train_batched(spark, d):
+    """The distributed trainer, whatever the size of the corpus."""
+    return as_frame(spark, P.train_batched(unit_rows(spark, d), 22))
+
+
 @query("bpe_min_frequency", f"WITH {bpe_sql(UNITS, 6)} SELECT * FROM ({_list(6)}) WHERE n >= 60000")
 def bpe_min_frequency(spark, d):
     return as_frame(spark, P.train_bpe(unit_rows(spark, d), 16, min_freq=60000)).where("n >= 60000")
@@ -95,7 +101,7 @@ def vocab_grid(spark, d, sizes=SIZES, min_freq: int = 20, symbols: int = 300_000
     rows = []
     for name, u in corpora(spark, d).items():
         if name in names:
-            merges = P.train_bpe(u, max(sizes), min_freq, symbols)
+            merges = P.train_bpe(u, max(sizes), min_freq, symbols, beyond="sample")
             rows += [(name, s, t) for s in sizes for t in P.vocab(merges, s)]
     return spark.createDataFrame(rows, "vocab string, size int, token string")
 
@@ -109,7 +115,7 @@ for _corpus in ("whole", "motif", "element", "foreign"):
 
     @query(f"bpe_domain_{_corpus}")
     def _one(spark, d, name=_corpus):
-        return as_frame(spark, P.train_bpe(corpora(spark, d)[name], 128, 20, 300_000))
+        return as_frame(spark, P.train_bpe(corpora(spark, d)[name], 128, 20, 300_000, beyond="sample"))
 
 
 # Vocabularies that SQL can rebuild: k-mers that occur, and the dictionary.

@@ -7,14 +7,17 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from seqlex.functions.bases import keyed_fold
+from seqlex.functions.bases import keyed_fold, to_bases
 from seqlex.operators import bpe as P
 from seqlex.operators import greedy as G
+from seqlex.operators import intervals as R
 from seqlex.operators import kmer as K
 from seqlex.operators import models as M
+from seqlex.operators import segments as SEG
 from seqlex.sources import tables as T
 
-from .intervals import balanced
+from . import evaluation as E
+from .intervals import balanced, elements, shuffled
 from .registry import query
 from .sequence import words
 from .vocabularies import corpora, unit_rows
@@ -28,16 +31,18 @@ def tokenised(spark: SparkSession, d: str, rows: DataFrame, name: str) -> DataFr
     if name.startswith("bpe_"):
         _, corpus, size = name.split("_")
         u = unit_rows(spark, d) if corpus == "whole" else corpora(spark, d)[corpus]
-        return P.apply_bpe(rows, P.train_bpe(u, int(size), 20, 100_000))
+        return P.apply_bpe(rows, P.train_bpe(u, int(size), 20, 100_000, beyond="sample"))
     k, stride = {"kmer3": (3, 1), "kmer6": (6, 1), "kmer6d": (6, 6)}[name]
     return K.kmer_tokens(rows, k, stride).select("contig", "tokens")
 
 
 def evaluate(spark: SparkSession, d: str, data: DataFrame, tokenizers: tuple[str, ...], suite: str) -> DataFrame:
-    """data: (task, contig, seq, label 0/1). Naive Bayes on token counts with the same folds for every tokenizer; the MCC of the held-out fold."""
+    """data: (task, contig, seq, label 0/1), and fold where the task sets it. Naive Bayes on token counts with the same folds for every tokenizer; the MCC
+    of the held-out fold 0."""
+    fold = F.col("fold") if "fold" in data.columns else keyed_fold("w", F.concat_ws("|", "task", "contig", "label"))
     out = []
     for name in tokenizers:
-        keyed = data.select("task", "label", F.xxhash64("task", "contig", "seq", "label").alias("contig"), "seq", keyed_fold("w", F.concat_ws("|", "task", "contig", "label")).alias("fold"))
+        keyed = data.select("task", "label", F.xxhash64("task", "contig", "seq", "label").alias("contig"), "seq", fold.alias("fold"))
         tokens = tokenised(spark, d, keyed.select("contig", "seq").distinct(), name)
         counts = M.profile(tokens.select(F.col("contig").alias("id"), F.explode("tokens").alias("token")))
         rows = keyed.select(F.col("contig").alias("id"), "task", F.concat_ws("|", "task", "label").alias("y"), "fold")
@@ -95,3 +100,117 @@ def w12(spark, d):
 def w14(spark, d):
     runs = evaluate(spark, d, language_tasks(spark, d), ("motif_random_1", "motif_random_2", "motif_random_3", "motif_random_4"), "S1")
     return M.mean_std(runs, "suite", "task", value="mcc")
+
+
+def texts(spark, d, name: str, key: str, text: str, length: int, *more: str) -> DataFrame:
+    """(contig, seq, more): first bases of another table's texts."""
+    rows = T.table(spark, d, name).select(F.col(key).alias("contig"), F.explode(F.array(to_bases(text))).alias("seq"), *more)
+    return rows.select("contig", F.substring("seq", 1, length).alias("seq"), *more).where(F.length("seq") >= 30)
+
+
+def versus(task: str, yes: DataFrame, no: DataFrame) -> DataFrame:
+    """One task from two sets; the negatives' keys are made negative, so that keys of two tables don't meet."""
+    both = yes.select("contig", "seq", F.lit(1).alias("label")).unionByName(no.select((-F.col("contig") - 1).alias("contig"), "seq", F.lit(0).alias("label")))
+    return both.select(F.lit(task).alias("task"), "contig", "seq", "label")
+
+
+def one_of(rows: DataFrame, column: str, value: str) -> DataFrame:
+    return rows.where(F.col(column).isNotNull()).select(F.lit(f"{column}_{value}").alias("task"), "contig", "seq", (F.col(column) == value).cast("int").alias("label"))
+
+
+@query("w02_lengths")
+def w02(spark, d):
+    data = reduce(DataFrame.unionByName, [label_tasks(spark, d, n).where("task like 'quality%'") for n in (70, 100, 300, 500, 1000)])
+    return evaluate(spark, d, data.unionByName(language_tasks(spark, d, 100)), ("kmer6d", "motif_random"), "S1")
+
+
+def turns(spark, d, length: int = 300) -> DataFrame:
+    """(contig, seq, role): a turn's key is its conversation and its number (under 1,000 turns by the bound of the key's step)."""
+    rows = T.table(spark, d, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("contig"), F.explode(F.array(to_bases("text"))).alias("seq"), "role")
+    return rows.select("contig", F.substring("seq", 1, length).alias("seq"), "role").where(F.length("seq") >= 30)
+
+
+@query("w03_human_tasks")
+def w03(spark, d):
+    data = language_tasks(spark, d, 600).unionByName(label_tasks(spark, d, 600).where("task like 'toxic%'"))
+    data = reduce(DataFrame.unionByName, [data, *[one_of(turns(spark, d), "role", r) for r in ("user", "assistant", "system")]])
+    return evaluate(spark, d, data, ("kmer6d", "motif_random"), "S2")
+
+
+@query("w04_regulatory_tasks")
+def w04(spark, d):
+    """Elements against tiles, planted passages against their shuffled bases, elements of each language against tiles."""
+    key = (F.col("contig") * 1_000_000 + F.col("start")).alias("contig")
+    b = balanced(spark, d).select("category", key, "seq", "label")
+    passages = texts(spark, d, "benchmark", "item_id", "text", 100)
+    tasks = [b.select(F.lit("element").alias("task"), "contig", "seq", "label"), versus("passage", passages, shuffled(passages))]
+    tasks.append(b.select(F.concat(F.lit("element_"), F.substring("category", 1, 2)).alias("task"), "contig", "seq", "label"))
+    return evaluate(spark, d, reduce(DataFrame.unionByName, tasks), ("kmer6d", "motif_random"), "S3")
+
+
+@query("w05_mixed_tasks")
+def w05(spark, d):
+    docs = T.prefixes(spark, d).where(F.length("seq") >= 30)
+    said = turns(spark, d)
+    tasks = [
+        versus("page_document", texts(spark, d, "pages", "page_id", "html", 300), docs),
+        versus("passage_document", texts(spark, d, "benchmark", "item_id", "text", 300), docs),
+        versus("user_assistant", said.where("role = 'user'"), said.where("role = 'assistant'")),
+        versus("turn_document", said, docs),
+        versus("es_de", docs.where("lang = 'es'"), docs.where("lang = 'de'")),
+    ]
+    return evaluate(spark, d, reduce(DataFrame.unionByName, tasks), ("kmer6d", "motif_random"), "S4")
+
+
+@query("w07_zero_shot")
+def w07(spark, d):
+    """Clusters of token profiles against languages, and the share of vectors nearest to their own class's mean."""
+    near = E.nearest_centroid(spark, d).agg(F.round(F.sum(F.when(F.col("label") == F.col("yhat"), F.col("n")).otherwise(0)) / F.sum("n"), 4).alias("vector_accuracy"))
+    return E.zero_shot(spark, d).crossJoin(near)
+
+
+@query("w10_domains")
+def w10(spark, d):
+    return evaluate(spark, d, language_tasks(spark, d), tuple(f"bpe_{c}_{n}" for c in ("whole", "motif", "element") for n in (64, 128)), "S1")
+
+
+@query("w11_dictionary_vs_bpe")
+def w11(spark, d):
+    return evaluate(spark, d, language_tasks(spark, d).unionByName(label_tasks(spark, d)), ("motif_random", "bpe_whole_256", "bpe_motif_256", "bpe_element_256"), "S1")
+
+
+@query("w13_other_species")
+def w13(spark, d):
+    """Labels learnt on one language and tried on two others."""
+    p = label_tasks(spark, d).join(T.table(spark, d, "documents").select(F.col("doc_id").alias("contig"), "lang"), "contig")
+    to = lambda x: p.where(F.col("lang").isin("en", x)).select(F.concat_ws("_", "task", F.lit(x)).alias("task"), "contig", "seq", "label", F.when(F.col("lang") == x, 0).otherwise(1).alias("fold"))
+    return evaluate(spark, d, to("de").unionByName(to("es")), ("kmer6d", "motif_random"), "S1_other")
+
+
+@query("w15_interpretability")
+def w15(spark, d):
+    """Tokens among the 200 highest of both classes, of one only, and how many of them are motifs."""
+    top, motifs = E.top200_tokens(spark, d), spark.createDataFrame([(w,) for w in words(spark, d)], "token string").withColumn("motif", F.lit(1))
+    per = top.groupBy("token").agg(F.count_distinct("y").alias("classes")).join(motifs, "token", "left")
+    return per.groupBy("classes").agg(F.count(F.lit(1)).alias("tokens"), F.count("motif").alias("motifs"))
+
+
+@query("w17_region_coverage")
+def w17(spark, d):
+    """Share of all bases under motif hits and under elements."""
+    total = T.contigs(spark, d).agg(F.sum(F.length("seq")).alias("total"))
+    regions = {"motif": G.scan_motifs(T.contigs(spark, d), words(spark, d)), "element": elements(spark, d)}
+    rows = [R.covered(df.select("contig", "start", "end")).select(F.lit(name).alias("region"), "regions", "bases") for name, df in regions.items()]
+    return reduce(DataFrame.unionByName, rows).crossJoin(F.broadcast(total)).select("region", "regions", "bases", F.round(F.col("bases") / F.col("total"), 6).alias("ratio"))
+
+
+@query("w18_training_corpora")
+def w18(spark, d):
+    """For each tokenizer on whole documents: segments of 512 tokens, those over half N, tokens, bases a token, and passes over the corpus in the budget."""
+    total, out = T.contigs(spark, d).agg(F.sum(F.length("seq")).alias("corpus")), []
+    for name in ("kmer3", "kmer6d", "motif_random", "bpe_whole_256"):
+        cut = SEG.pack_segments(tokenised(spark, d, T.contigs(spark, d).select("contig", "seq"), name))
+        share = cut.select("n_tokens", SEG.n_share(F.col("tokens")).alias("n_share"))
+        out.append(share.agg(F.count(F.lit(1)).alias("segments"), F.count_if(F.col("n_share") > 0.5).alias("discarded"), F.sum("n_tokens").alias("tokens")).withColumn("tokenizer", F.lit(name)))
+    grid = reduce(DataFrame.unionByName, out).crossJoin(F.broadcast(total))
+    return grid.select("tokenizer", "segments", "discarded", "tokens", F.round(F.col("corpus") / F.col("tokens"), 6).alias("bases_per_token"), F.round(96 * 512 * 200_000 / F.col("tokens"), 2).alias("epochs"))

@@ -22,6 +22,28 @@ def token_counts(tokens: DataFrame) -> DataFrame:
     return tokens.select(F.explode("tokens").alias("t")).groupBy(F.col("t.token").alias("token")).agg(F.count(F.lit(1)).alias("n"))
 
 
+def pack_stream(parts: DataFrame, length: int = 512) -> DataFrame:
+    """(contig, seg_no, tokens) of a stream (contig, part_no, tokens array<string>): full segments as they fill. The state of a contig is its next
+    segment number and less than one segment of tokens. The parts of a contig have to come in order over the triggers; within one they are sorted."""
+
+    def fill(key, frames, state):
+        import pandas as pd
+
+        seg, rest = state.get if state.exists else (0, [])
+        rest = list(rest)
+        rows = sorted((int(n), list(t)) for f in frames for n, t in zip(f["part_no"], f["tokens"], strict=True))
+        out = []
+        for _, tokens in rows:
+            rest += tokens
+            while len(rest) >= length:
+                out.append((key[0], seg, rest[:length]))
+                rest, seg = rest[length:], seg + 1
+        state.update((seg, rest))
+        yield pd.DataFrame(out, columns=["contig", "seg_no", "tokens"])
+
+    return parts.groupBy("contig").applyInPandasWithState(fill, "contig long, seg_no long, tokens array<string>", "seg_no long, rest array<string>", "append", "NoTimeout")
+
+
 def windowed(events: DataFrame, width: str, *, slide: str | None = None, late: str = "10 minutes") -> DataFrame:
     """Counts and sums in tumbling or sliding windows. timestamp_ntz becomes a timestamp first, as a watermark needs one."""
     timed = events.withColumn("at", F.col("ts").cast("timestamp")).withWatermark("at", late)

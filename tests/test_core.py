@@ -145,3 +145,24 @@ def test_queries_of_the_library(spark):
 
     assert set(e.oracle_sql()) <= set(e.queries())
     assert e.entry(spark).count() == 4
+
+
+@pytest.mark.parametrize("units", [[("ACACGTGTACAC", 3), ("GTGTACGT", 2), ("AAAAA", 4), ("NNACNN", 1)], [("AAAAAAAA", 1)], [("ACGT" * 5, 2), ("TTTTACCA" * 3, 5), ("GGTTACAT", 7)], []])
+def test_batched_training_gives_the_merges_of_one_by_one(spark, units):
+    frame = spark.createDataFrame(units, "unit string, n long")
+    want = bpe.train_local(sorted(units), 40, 2)
+    assert bpe.train_batched(frame, 40, 2) == want
+    assert bpe.train_sql(frame, 30, 2) == want
+
+
+def test_batched_training_on_documents(spark):
+    u = bpe.units(tables.table(spark, SF, "documents")).cache()
+    assert bpe.train_batched(u, 34, 20) == bpe.train_local([(r["unit"], r["n"]) for r in u.collect()], 34, 20)
+
+
+def test_stream_packer(spark, tmp_path):
+    parts = [(1, 0, list("ACGTA")), (1, 1, list("CC")), (2, 0, list("GGG")), (3, 0, [])]
+    spark.createDataFrame(parts, "contig long, part_no long, tokens array<string>").coalesce(1).write.parquet(str(tmp_path / "in"))
+    stream = streams.read_files(spark, str(tmp_path / "in"), "contig long, part_no long, tokens array<string>")
+    got = streams.run_available(streams.pack_stream(stream, 3), "packed", str(tmp_path / "cp")).collect()
+    assert sorted((r["contig"], r["seg_no"], "".join(r["tokens"])) for r in got) == [(1, 0, "ACG"), (1, 1, "TAC"), (2, 0, "GGG")]
