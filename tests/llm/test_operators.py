@@ -249,6 +249,27 @@ def test_pieces_round_trip_and_optimum(docs, none):
     assert unigram_pieces.encode_documents(none, p).count() == 0
 
 
+def test_pieces_side_by_side_equal_one_by_one():
+    p = unigram_pieces.load()
+    rng = random.Random(11)
+    texts = ["".join(rng.choices("ab é日🎉\n▁!.,\x00eing ", k=rng.randrange(90))) for _ in range(400)] + ["", " ", "▁", "🎉" * 63, "🎉" * 64, "x" * 200, "", "a  b"]
+    for text, (score, ids) in zip(texts, p.encode_many(texts), strict=True):
+        alone = [p.viterbi(c.replace(" ", unigram_pieces.MARK).encode()) for c in p.cut.findall(" " + text) if c != unigram_pieces.MARK] if text else []
+        marks = text.count(unigram_pieces.MARK)
+        if not marks:
+            assert b"".join(ids_ for _, ids_ in alone) == ids.tobytes()
+        assert p.decode(ids) == text and abs(score - sum(s for s, _ in alone) - marks * p.unknown) < 1e-6
+
+
+def test_a_full_memo_changes_nothing(monkeypatch):
+    monkeypatch.setattr(unigram_pieces, "MEMO", 5)
+    monkeypatch.setattr(unigram_pieces, "BLOCK", 3)
+    small, large = unigram_pieces.load(), unigram_pieces.load()
+    texts = [f"some words {i} and {i % 7} others" for i in range(60)]
+    got = [small.encode(t)[1].tolist() for t in texts]
+    assert got == [ids.tolist() for _, ids in large.encode_many(texts)] and len(small.old) >= 5
+
+
 def test_double_array_finds_its_keys():
     rng = random.Random(4)
     keys = sorted({bytes(rng.choices(range(256), k=rng.randrange(1, 5))) for _ in range(3000)})
