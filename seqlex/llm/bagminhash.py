@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix, slices, split_by, spool, utf8
+from .common import give_back, mix, slices, split_by, spool, utf8
 from .shingles import multisets, overlap
 
 BANDS, ROWS, THRESHOLD = 24, 6, 0.8
@@ -90,6 +90,7 @@ def _sign(bands: int, rows: int):
                     keys = pa.ListArray.from_arrays(pa.array(np.arange(0, (end - at + 1) * bands, bands), pa.int32()), pa.array(band.view(np.int64).ravel()))
                     sketch = pa.FixedSizeBinaryArray.from_buffers(pa.binary(places), end - at, [None, pa.py_buffer((sig >> np.uint64(56)).astype(np.uint8).tobytes())]).cast(pa.binary())
                     yield pa.RecordBatch.from_arrays([*(batch[c].slice(at, end - at) for c in ("doc_id", "node")), pa.array(weight), keys, sketch], ["doc_id", "node", "weight", "keys", "sketch"])
+        give_back()
 
     return run
 

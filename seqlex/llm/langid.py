@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_crc, slices, utf8
+from .common import give_back, id_crc, slices, utf8
 
 BUCKETS = 1 << 16
 GAP = b"    "
@@ -157,10 +157,9 @@ def keep_recognised(docs: DataFrame, model: LanguageModel | None) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             offsets, data = utf8(batch["text"])
-            keep = np.zeros(batch.num_rows, bool)
             for a, b in slices(offsets) if model else ():
                 p = model.probabilities([data[offsets[i] : offsets[i + 1]].tobytes() for i in range(a, b)])
-                keep[a:b] = p.max(1) >= model.threshold
-            yield batch.filter(pa.array(keep))
+                yield batch.slice(a, b - a).filter(pa.array(p.max(1) >= model.threshold))
+        give_back()
 
     return docs.where(F.col("text").rlike(r"\p{L}")).mapInArrow(run, docs.schema)

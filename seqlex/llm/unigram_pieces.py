@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices, utf8
+from .common import give_back, slices, utf8
 
 MARK = "▁"
 DEFAULT_VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
@@ -293,5 +293,6 @@ def encode_documents(docs: DataFrame, pieces: Pieces) -> DataFrame:
                 bytes_ = np.concatenate([[0], np.cumsum((flat >= low) & (flat < high))])[offsets]
                 lists = pa.ListArray.from_arrays(pa.array(offsets, mask=np.array([*null, False])), pa.array(flat))
                 yield pa.RecordBatch.from_arrays([part["doc_id"], pa.array(np.diff(offsets), pa.int64()), pa.array(np.diff(bytes_), pa.int64()), pa.array(scores, pa.float64()), lists, pa.array(ok)], ["doc_id", "n_pieces", "n_byte_pieces", "score", "ids", "round_trip"])
+        give_back()
 
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, schema)
