@@ -6,11 +6,12 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
-def kmers(seq: Column, k: int, stride: int, remainder: str = "onemer", n_policy: str = "keep") -> Column:
+def kmers(seq: Column, k: int, stride: int, remainder: str = "onemer", n_policy: str = "keep", letters: Column | None = None) -> Column:
     """Array of tokens. With stride k the last n mod k bases become 1-mers (onemer), nothing (drop) or one short token (short).
-    A k-mer with an N stays (keep), becomes the unknown token (unk) or its bases (onemer)."""
+    A k-mer with an N stays (keep), becomes the unknown token (unk) or its bases (onemer). With the bases at hand as an array, the cost is linear."""
     n = F.length(seq)
-    full = F.when(n >= k, F.transform(F.sequence(F.lit(0), n - k, F.lit(stride)), lambda i: F.substring(seq, i + 1, F.lit(k)))).otherwise(F.array().cast("array<string>"))
+    piece = (lambda i: F.substring(seq, i + 1, F.lit(k))) if letters is None else (lambda i: F.concat(*[letters[i + j] for j in range(k)]))
+    full = F.when(n >= k, F.transform(F.sequence(F.lit(0), n - k, F.lit(stride)), piece)).otherwise(F.array().cast("array<string>"))
     if n_policy == "unk":
         full = F.transform(full, lambda t: F.when(F.contains(t, F.lit("N")), "[UNK]").otherwise(t))
     elif n_policy == "onemer":
@@ -23,7 +24,9 @@ def kmers(seq: Column, k: int, stride: int, remainder: str = "onemer", n_policy:
 
 
 def kmer_tokens(df: DataFrame, k: int, stride: int = 1, remainder: str = "onemer", n_policy: str = "keep") -> DataFrame:
-    return df.withColumn("tokens", kmers(F.col("seq"), k, stride, remainder, n_policy))
+    """A substring is linear in its place, so the bases are split once (through an explode, as in contigs()) and k-mers are read from the array."""
+    split = df.select("*", F.explode(F.array(F.split("seq", ""))).alias("__letters"))
+    return split.withColumn("tokens", kmers(F.col("seq"), k, stride, remainder, n_policy, F.col("__letters"))).drop("__letters")
 
 
 def kmer_vocab(spark: SparkSession, k: int) -> DataFrame:

@@ -36,7 +36,7 @@ TILES = f"""{GAPS}, tiles AS (SELECT contig, s AS start, s + 300 AS "end" FROM g
 
 
 def hits(spark, d):
-    return G.scan_motifs(T.prefixes(spark, d), words(spark, d))
+    return G.scan_motifs(T.contigs(spark, d), words(spark, d))
 
 
 def bounds(spark, d):
@@ -52,12 +52,12 @@ def regulatory_elements(spark, d):
     return elements(spark, d)
 
 
-@query("interval_merge", f"WITH {HITS}, {MERGED} SELECT * FROM merged")
+@query("interval_merge", short=f"WITH {HITS}, {MERGED} SELECT * FROM merged")
 def interval_merge(spark, d):
     return R.merge(hits(spark, d))
 
 
-@query("interval_merge_binned", f"WITH {HITS}, {MERGED} SELECT contig, start, \"end\" FROM merged")
+@query("interval_merge_binned", short=f"WITH {HITS}, {MERGED} SELECT contig, start, \"end\" FROM merged")
 def interval_merge_binned(spark, d):
     return R.merge_binned(hits(spark, d), 64)
 
@@ -77,9 +77,9 @@ def region_extract(spark, d):
     return R.extract(elements(spark, d), T.contigs(spark, d)).select("contig", "start", "end", "category", "seq")
 
 
-@query("region_coverage", f"WITH {HITS}, {MERGED} SELECT count(*) AS regions, sum(\"end\" - start)::BIGINT AS bases, round(sum(\"end\" - start) / (SELECT sum(length(seq)) FROM prefixes), 6) AS ratio FROM merged")
+@query("region_coverage", short=f"WITH {HITS}, {MERGED} SELECT count(*) AS regions, sum(\"end\" - start)::BIGINT AS bases, round(sum(\"end\" - start) / (SELECT sum(length(seq)) FROM prefixes), 6) AS ratio FROM merged")
 def region_coverage(spark, d):
-    total = T.prefixes(spark, d).agg(F.sum(F.length("seq")).alias("total"))
+    total = T.contigs(spark, d).agg(F.sum(F.length("seq")).alias("total"))
     return R.covered(hits(spark, d)).crossJoin(F.broadcast(total)).select("regions", "bases", F.round(F.col("bases") / F.col("total"), 6).alias("ratio"))
 
 
@@ -120,17 +120,17 @@ def balanced_sets(spark, d):
     return balanced(spark, d)
 
 
-@query("interval_overlap_join", f"WITH {HITS}, {ELEMENTS} SELECT e.contig, e.start AS a_start, e.\"end\" AS a_end, h.start AS b_start, h.\"end\" AS b_end, least(e.\"end\", h.\"end\") - greatest(e.start, h.start) AS overlap FROM elements e JOIN iv h ON e.contig = h.contig AND e.start < h.\"end\" AND h.start < e.\"end\"")
+@query("interval_overlap_join", short=f"WITH {HITS}, {ELEMENTS} SELECT e.contig, e.start AS a_start, e.\"end\" AS a_end, h.start AS b_start, h.\"end\" AS b_end, least(e.\"end\", h.\"end\") - greatest(e.start, h.start) AS overlap FROM elements e JOIN iv h ON e.contig = h.contig AND e.start < h.\"end\" AND h.start < e.\"end\"")
 def interval_overlap_join(spark, d):
     return R.overlap_pairs(elements(spark, d), hits(spark, d))
 
 
-@query("interval_nearest", f"WITH {HITS}, {ELEMENTS} SELECT h.contig, h.start, min(abs(h.start - e.start)) AS distance FROM (SELECT DISTINCT contig, start FROM iv) h LEFT JOIN elements e ON h.contig = e.contig GROUP BY h.contig, h.start")
+@query("interval_nearest", short=f"WITH {HITS}, {ELEMENTS} SELECT h.contig, h.start, min(abs(h.start - e.start)) AS distance FROM (SELECT DISTINCT contig, start FROM iv) h LEFT JOIN elements e ON h.contig = e.contig GROUP BY h.contig, h.start")
 def interval_nearest(spark, d):
     return R.nearest(hits(spark, d).select("contig", "start").distinct(), elements(spark, d))
 
 
-@query("interval_jaccard", f"""WITH {HITS}, {ELEMENTS}, p AS (SELECT contig, unnest(range(start, "end")) AS p FROM iv), q AS (SELECT contig, unnest(range(start, "end")) AS p FROM elements), a AS (SELECT DISTINCT * FROM p), b AS (SELECT DISTINCT * FROM q)
+@query("interval_jaccard", short=f"""WITH {HITS}, {ELEMENTS}, p AS (SELECT contig, unnest(range(start, "end")) AS p FROM iv), q AS (SELECT contig, unnest(range(start, "end")) AS p FROM elements), a AS (SELECT DISTINCT * FROM p), b AS (SELECT DISTINCT * FROM q)
 SELECT (SELECT count(*) FROM a JOIN b USING (contig, p)) AS both, (SELECT count(*) FROM (SELECT * FROM a UNION SELECT * FROM b)) AS any, round((SELECT count(*) FROM a JOIN b USING (contig, p)) / (SELECT count(*) FROM (SELECT * FROM a UNION SELECT * FROM b)), 6) AS jaccard""")
 def interval_jaccard(spark, d):
     a, b = hits(spark, d), elements(spark, d).select("contig", "start", "end")

@@ -58,15 +58,16 @@ def batch_pack(spark, d):
     return P.make_batches(segments(spark, d))
 
 
-@query("max_input_length", f"WITH {S.PREFIXES} SELECT lang, max(greatest(0, length(seq) - 2)) AS overlap3, max(length(seq) // 6 + length(seq) % 6) AS disjoint6 FROM prefixes GROUP BY lang")
+@query("max_input_length", short=f"WITH {S.PREFIXES} SELECT lang, max(greatest(0, length(seq) - 2)) AS overlap3, max(length(seq) // 6 + length(seq) % 6) AS disjoint6 FROM prefixes GROUP BY lang")
 def max_input_length(spark, d):
-    p = T.prefixes(spark, d).select("lang", F.size(K.kmers(F.col("seq"), 3, 1)).cast("long").alias("a"), F.size(K.kmers(F.col("seq"), 6, 6)).cast("long").alias("b"))
+    three = K.kmer_tokens(T.contigs(spark, d), 3).select("lang", "seq", F.size("tokens").cast("long").alias("a"))
+    p = K.kmer_tokens(three, 6, 6).select("lang", "a", F.size("tokens").cast("long").alias("b"))
     return p.groupBy("lang").agg(F.max("a").alias("overlap3"), F.max("b").alias("disjoint6"))
 
 
-@query("truncate_pad", f"WITH {S.PREFIXES}, t AS (SELECT contig, list_transform(range(0, length(seq)), lambda i: instr('ACGTN', substr(seq, i + 1, 1))) AS ids FROM prefixes) SELECT contig, list_concat(ids[1:128], list_transform(range(0, greatest(0, 128 - len(ids))), lambda x: 0)) AS ids, list_concat(list_transform(ids[1:128], lambda x: 1), list_transform(range(0, greatest(0, 128 - len(ids))), lambda x: 0)) AS mask FROM t")
+@query("truncate_pad", short=f"WITH {S.PREFIXES}, t AS (SELECT contig, list_transform(range(0, length(seq)), lambda i: instr('ACGTN', substr(seq, i + 1, 1))) AS ids FROM prefixes) SELECT contig, list_concat(ids[1:128], list_transform(range(0, greatest(0, 128 - len(ids))), lambda x: 0)) AS ids, list_concat(list_transform(ids[1:128], lambda x: 1), list_transform(range(0, greatest(0, 128 - len(ids))), lambda x: 0)) AS mask FROM t")
 def truncate_pad(spark, d):
-    ids = F.transform(K.kmers(F.col("seq"), 1, 1), lambda t: F.instr(F.lit("ACGTN"), t))
-    t = T.prefixes(spark, d).select("contig", ids.alias("ids"))
+    ids = F.transform("tokens", lambda t: F.instr(F.lit("ACGTN"), t))
+    t = K.kmer_tokens(T.contigs(spark, d), 1).select("contig", ids.alias("ids"))
     cut, mask = P.truncate_pad(F.col("ids"), 128, 0)
     return t.select("contig", cut.alias("ids"), mask.alias("mask"))
