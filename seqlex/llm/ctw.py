@@ -7,10 +7,11 @@ weighted block probability is the even mixture of its own estimate and the produ
 own estimate then weighs the prediction: p(d) = a(d) KT(d) + (1 - a(d)) p(d+1), from the deepest context that is
 known up to the empty one. A text's score is the sum of the log10 probabilities of its bytes and its end; `bits_per_byte` is the code length.
 
-The model is bounded: each depth keeps at most `CAPACITY` grams. Where a depth has more, the least count kept rises (over all of
-the corpus' counts) until it fits; what is left out of a depth stays counted at the shallower ones, and weighs there as one pooled
-extension. Built once on the driver from these bounded tables; beside the nodes, the log-probabilities of all kept grams go along,
-so most bytes of a text need a single look-up.
+Every node of every depth is kept. The grams of all texts, with their training counts (0 for one that only other texts have), are dealt out by the
+last SPLIT bytes of their context; a part builds its subtrees from depth SPLIT down by itself and gives for each gram the prediction of its byte's bits up
+to there, and for each node of depth SPLIT - 1 the sum over its extensions. The shallower nodes (at most 255 * 256) are
+completed on the driver. The log-probabilities so known are a table; the grams of the highest counts (at most `CAPACITY`) are looked up in the workers, as a
+cache, all others by a join, pre-summed for each document. The cache has no say in the results.
 
 The base takes word counts over the whole vocabulary: the most frequent words (at most `HEAD_WORDS`, chosen by a count threshold from a histogram)
 are looked up in the workers, all others by a join on their hash, pre-summed for each document.
@@ -29,10 +30,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_crc, slices, spool, utf8
+from .common import give_back, id_crc, slices, spool, utf8
 from .shingles import word_hashes
 
 DEPTH, CAPACITY, HEAD_WORDS = 5, 1 << 19, 1 << 18
+#: Bytes of context by which grams are dealt out, and grams of which subtrees are built at once (those of one such context stay together).
+SPLIT, BUILT = 2, 1 << 17
+LAST = 2**63 - 1
 #: Bytes that are handled at once, and distinct grams that a worker holds before it hands them on.
 SLICE, HELD = 2 << 20, 1 << 20
 
@@ -70,8 +74,8 @@ def _summed(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return keys[first], np.add.reduceat(counts, first)
 
 
-def gram_counts(train: DataFrame) -> DataFrame:
-    """(gram, n) over all texts of train."""
+def gram_counts(base: DataFrame) -> DataFrame:
+    """(gram, n) over all texts; n counts those that are not held out."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys, counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
@@ -81,15 +85,17 @@ def gram_counts(train: DataFrame) -> DataFrame:
 
         for batch in batches:
             offsets, data = utf8(batch["text"])
+            train = ~np.asarray(batch["held_out"].to_numpy(zero_copy_only=False), bool)
             for a, b in slices(offsets, SLICE):
-                new, n = np.unique(grams(offsets[a : b + 1], data)[0], return_counts=True)
+                g, row = grams(offsets[a : b + 1], data)
+                new, n = _summed(g, train[a:b][row].astype(np.int64))
                 keys, counts = _summed(np.concatenate([keys, new]), np.concatenate([counts, n]))
                 if len(keys) > HELD:
                     yield out()
                     keys, counts = keys[:0], counts[:0]
         yield out()
 
-    return train.select("text").mapInArrow(run, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
+    return base.select("text", "held_out").mapInArrow(run, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
 
 
 def _bounded(counts: DataFrame, capacity: int) -> tuple[np.ndarray, np.ndarray]:
@@ -107,6 +113,17 @@ def _bounded(counts: DataFrame, capacity: int) -> tuple[np.ndarray, np.ndarray]:
     return keys[order], n[order]
 
 
+def _least(counts: DataFrame, capacity: int) -> int:
+    """The least count of which at most capacity rows have it or more, by a histogram of the counts' bits in eighths."""
+    size = F.floor(F.log2(F.col("n").cast("double")) * 8).cast("int")
+    least, total = None, 0
+    for r in sorted(counts.where("n > 0").groupBy(size.alias("k")).agg(F.count(F.lit(1)).alias("m"), F.min("n").alias("n")).collect(), key=lambda r: -r["k"]):
+        if total + r["m"] > capacity:
+            break
+        least, total = r["n"], total + r["m"]
+    return least if least is not None else LAST
+
+
 def _log_kt(zeros: np.ndarray, ones: np.ndarray) -> np.ndarray:
     """Natural log of the Krichevsky-Trofimov block probability, by a table of log-gamma and its asymptotic form beyond."""
     return _lgamma(zeros + 0.5) + _lgamma(ones + 0.5) - _lgamma(zeros + ones + 1.0) - math.log(math.pi)
@@ -123,15 +140,16 @@ def _lgamma(x: np.ndarray) -> np.ndarray:
 
 
 class Tree:
-    """Nodes of each depth, as sorted keys (context << 8 | path), with the share of their own estimate and its probability of a one."""
+    """Nodes of depth `low` and on, as sorted keys (context << 8 | path), with the share of their own estimate and its probability of a one. `below` has the
+    nodes' extensions beyond the last of levels, if there are any: keys, zeros, ones and log weights. `top` has the same of depth `low`."""
 
-    def __init__(self, levels: list[tuple[np.ndarray, np.ndarray]]) -> None:
+    def __init__(self, levels: list[tuple[np.ndarray, np.ndarray]], low: int = 0, below: tuple | None = None) -> None:
+        self.low = low
         self.keys: list[np.ndarray] = []
         self.own: list[np.ndarray] = []
         self.one: list[np.ndarray] = []
-        below = None
-        for d in range(len(levels) - 1, -1, -1):
-            keys, zeros, ones = self._nodes(*levels[d])
+        for d in range(low + len(levels) - 1, low - 1, -1):
+            keys, zeros, ones = self._nodes(*levels[d - low])
             own_log = _log_kt(zeros, ones)
             weighted, share = own_log.copy(), np.ones(len(keys))
             if below is not None and len(below[0]):
@@ -152,6 +170,7 @@ class Tree:
             self.own.insert(0, share.astype(np.float32))
             self.one.insert(0, ((ones + 0.5) / (zeros + ones + 1.0)).astype(np.float32))
             below = (keys, zeros, ones, weighted)
+        self.top = below
 
     @staticmethod
     def _nodes(grams_: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -169,40 +188,105 @@ class Tree:
         order = np.argsort(keys)
         return keys[order], zeros[order].astype(float), ones[order].astype(float)
 
-    def log10(self, grams_: np.ndarray) -> np.ndarray:
-        """log10 probability of each gram's byte after its context."""
-        total = np.zeros(len(grams_))
+    def bits(self, grams_: np.ndarray, p: np.ndarray | None = None) -> np.ndarray:
+        """Probabilities of the eight bits of each gram's byte after its context, by the nodes of this tree; p has those of the depths beyond."""
+        p = np.full((8, len(grams_)), 0.5) if p is None else p.copy()
         byte = grams_ & np.uint64(255)
         for k in range(8):
             path = np.uint64(1 << k) | byte >> np.uint64(8 - k)
-            p = np.full(len(grams_), 0.5)
+            one = (byte >> np.uint64(7 - k) & np.uint64(1)).astype(bool)
             for d in range(len(self.keys) - 1, -1, -1):
                 keys = self.keys[d]
                 if not len(keys):
                     continue
-                want = (grams_ & np.uint64((1 << (8 * d + 8)) - 1)) & ~np.uint64(255) | path
+                want = (grams_ & np.uint64((1 << (8 * (d + self.low) + 8)) - 1)) & ~np.uint64(255) | path
                 at = np.minimum(np.searchsorted(keys, want), len(keys) - 1)
                 found = keys[at] == want
-                share = self.own[d][at]
-                p = np.where(found, share * self.one[d][at] + (1 - share) * p, p)
-            total += np.log10(np.where(byte >> np.uint64(7 - k) & np.uint64(1), p, 1 - p))
-        return total
+                share, own = self.own[d][at], self.one[d][at]
+                p[k] = np.where(found, share * np.where(one, own, 1 - own) + (1 - share) * p[k], p[k])
+        return p
+
+    def log10(self, grams_: np.ndarray) -> np.ndarray:
+        """log10 probability of each gram's byte after its context."""
+        return np.log10(self.bits(grams_)).sum(0)
 
 
-def fit(train: DataFrame) -> tuple[Tree, np.ndarray, np.ndarray]:
-    """(tree, grams, their log10 probabilities) from all texts of train."""
-    full = spool(gram_counts(train), "grams")
-    levels = []
-    for d in range(DEPTH + 1):
-        own = full if d == DEPTH else full.groupBy(F.col("gram").bitwiseAND(F.lit((1 << (8 * d + 8)) - 1)).alias("gram")).agg(F.sum("n").alias("n"))
-        levels.append(_bounded(own, CAPACITY))
-    # A context is known at a depth only if it is at all shallower ones: sums are never less than their parts, but histogram bounds may differ.
-    for d in range(1, DEPTH + 1):
-        keys, n = levels[d]
-        ok = np.isin(keys & np.uint64((1 << (8 * d)) - 1), levels[d - 1][0])
-        levels[d] = keys[ok], n[ok]
-    tree = Tree(levels)
-    return tree, levels[DEPTH][0], tree.log10(levels[DEPTH][0])
+def _levels(grams_: np.ndarray, counts: np.ndarray, depths: range) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Sums of the grams' counts by the gram's part of each depth."""
+    return [_summed(grams_ & np.uint64((1 << (8 * d + 8)) - 1), counts) for d in depths]
+
+
+def subtrees(counts: DataFrame) -> DataFrame:
+    """(gram, n, bits, zeros, ones, log): for each gram its bits' probabilities by depths SPLIT and on; rows without bits have sums over the extensions of a
+    node of depth SPLIT - 1, to be summed up. Rows come dealt out and sorted by the last SPLIT bytes of their context."""
+    above = np.uint64((1 << (8 * SPLIT)) - 1)
+    shape = ["gram", "n", "bits", "zeros", "ones", "log"]
+    none = lambda n, kind: pa.nulls(n, kind)
+
+    def build(g: np.ndarray, n: np.ndarray) -> Iterator[pa.RecordBatch]:
+        seen = n > 0
+        tree = Tree(_levels(g[seen], n[seen], range(SPLIT, DEPTH + 1)), SPLIT)
+        p = tree.bits(g).astype(np.float32)
+        bits = pa.ListArray.from_arrays(pa.array(np.arange(0, 8 * len(g) + 1, 8, dtype=np.int32)), pa.array(np.ascontiguousarray(p.T).ravel()))
+        yield pa.RecordBatch.from_arrays([pa.array(g.view(np.int64)), pa.array(n), bits, *(none(len(g), pa.float64()) for _ in range(3))], shape)
+        keys, zeros, ones, log = tree.top
+        if len(keys):
+            up, at = np.unique(keys & above, return_inverse=True)
+            sums = [pa.array(np.bincount(at, x, len(up))) for x in (zeros, ones, log)]
+            yield pa.RecordBatch.from_arrays([pa.array(up.view(np.int64)), none(len(up), pa.int64()), none(len(up), bits.type), *sums], shape)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[np.ndarray, np.ndarray]] = []
+        for batch in batches:
+            held.append((np.asarray(batch["gram"]).astype(np.int64).view(np.uint64), np.asarray(batch["n"]).astype(np.int64)))
+            if sum(len(g) for g, _ in held) < BUILT:
+                continue
+            g, n = (np.concatenate(x) for x in zip(*held, strict=True))
+            # The last context may go on in the next batch.
+            own = g >> np.uint64(8) & above
+            cut = int(np.flatnonzero(own != own[-1])[-1]) + 1 if (own != own[-1]).any() else 0
+            if cut:
+                yield from build(g[:cut], n[:cut])
+            held = [(g[cut:], n[cut:])]
+        if held:
+            yield from build(*(np.concatenate(x) for x in zip(*held, strict=True)))
+        give_back()
+
+    key = F.shiftright("gram", 8).bitwiseAND(F.lit(int(above)))
+    dealt = counts.withColumn("__key", key).repartition("__key").sortWithinPartitions("__key").drop("__key")
+    return dealt.mapInArrow(run, "gram long, n long, bits array<float>, zeros double, ones double, log double")
+
+
+def fit(base: DataFrame) -> DataFrame:
+    """(gram, n, log): the log10 probability of every gram of all texts, from the training texts' counts."""
+    counts = spool(gram_counts(base), "grams")
+    parts = spool(subtrees(counts), "subtrees")
+    sums = parts.where("bits is null").groupBy("gram").agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"), F.sum("log").alias("log")).toArrow()
+    keys = np.asarray(sums["gram"]).astype(np.int64).view(np.uint64)
+    order = np.argsort(keys)
+    below = keys[order], *(np.asarray(sums[c]).astype(float)[order] for c in ("zeros", "ones", "log"))
+    mask = (1 << (8 * SPLIT)) - 1
+    short = counts.where("n > 0").groupBy(F.col("gram").bitwiseAND(F.lit(mask)).alias("gram")).agg(F.sum("n").alias("n")).toArrow()
+    g, n = np.asarray(short["gram"]).astype(np.int64).view(np.uint64), np.asarray(short["n"]).astype(np.int64)
+    shared = base.sparkSession.sparkContext.broadcast(Tree(_levels(g, n, range(SPLIT)), 0, below))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            p = np.asarray(batch["bits"].flatten()).astype(float).reshape(-1, 8).T
+            log = np.log10(shared.value.bits(np.asarray(batch["gram"]).astype(np.int64).view(np.uint64), p)).sum(0)
+            yield pa.RecordBatch.from_arrays([batch["gram"], batch["n"], pa.array(log)], ["gram", "n", "log"])
+
+    return spool(parts.where("bits is not null").select("gram", "n", "bits").mapInArrow(run, "gram long, n long, log double"), "predictions")
+
+
+def _rest(row: np.ndarray, key: np.ndarray, n: int) -> list[pa.Array]:
+    """Different keys of each of n rows and how often they occur there, as two list columns."""
+    order = np.lexsort((key, row))
+    r, t = row[order], key[order]
+    first = np.flatnonzero(np.concatenate([[True], (r[1:] != r[:-1]) | (t[1:] != t[:-1])])) if len(r) else np.zeros(0, np.int64)
+    times = np.diff(np.append(first, len(r)))
+    ends = np.searchsorted(r[first], np.arange(n + 1)).astype(np.int32)
+    return [pa.ListArray.from_arrays(pa.array(ends), pa.array(x)) for x in (t[first].view(np.int64), times.astype(np.int64))]
 
 
 def word_counts(train: DataFrame) -> DataFrame:
@@ -241,45 +325,46 @@ def score(docs: DataFrame, *, fold: int = 5, held: int = 1) -> DataFrame:
     floor = total + 0.5 * (distinct + 1)
     head_h, head_c = _bounded(vocabulary.select(F.col("h").alias("gram"), F.col("c").alias("n")), HEAD_WORDS)
     least = int(head_c.min()) if len(head_c) else 0
-    model = sc.broadcast((*fit(train), head_h, np.log10((head_c + 0.5) / floor)))
+    predictions = fit(base)
+    least_gram = _least(predictions, CAPACITY)
+    head = predictions.where(F.col("n") >= least_gram).select("gram", "log").toArrow()
+    head_g, head_p = np.asarray(head["gram"]).astype(np.int64).view(np.uint64), np.asarray(head["log"]).astype(float)
+    order = np.argsort(head_g)
+    model = sc.broadcast((head_g[order], head_p[order], head_h, np.log10((head_c + 0.5) / floor)))
     end_log = math.log10((ends + 0.5) / floor) if floor else 0.0
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tree, known, known_log, head_h, head_log = model.value
+        known, known_log, head_h, head_log = model.value
         for batch in batches:
             offsets, data = utf8(batch["text"])
             for a, b in slices(offsets, SLICE):
                 n = b - a
                 g, row = grams(offsets[a : b + 1], data)
-                u, back = np.unique(g, return_inverse=True)
-                at = np.minimum(np.searchsorted(known, u), max(0, len(known) - 1))
-                found = known[at] == u if len(known) else np.zeros(len(u), bool)
-                logs = np.zeros(len(u))
-                logs[found] = known_log[at[found]]
-                logs[~found] = tree.log10(u[~found])
-                total_log = np.bincount(row, logs[back], n)
+                at = np.minimum(np.searchsorted(known, g), max(0, len(known) - 1))
+                found = known[at] == g if len(known) else np.zeros(len(g), bool)
+                total_log = np.bincount(row[found], known_log[at[found]], n)
+                more = _rest(row[~found], g[~found], n)
                 row, h, n_words = words(offsets[a : b + 1], data)
                 at = np.minimum(np.searchsorted(head_h, h), max(0, len(head_h) - 1))
                 found = head_h[at] == h if len(head_h) else np.zeros(len(h), bool)
                 head_sum = np.bincount(row[found], head_log[at[found]], n)
                 head_known = np.bincount(row[found], minlength=n)
                 # The other words, summed within the document.
-                order = np.lexsort((h[~found], row[~found]))
-                r, t = row[~found][order], h[~found][order]
-                first = np.flatnonzero(np.concatenate([[True], (r[1:] != r[:-1]) | (t[1:] != t[:-1])])) if len(r) else np.zeros(0, np.int64)
-                times = np.diff(np.append(first, len(r)))
-                ends_ = np.searchsorted(r[first], np.arange(n + 1)).astype(np.int32)
-                rest = [pa.ListArray.from_arrays(pa.array(ends_), pa.array(x)) for x in (t[first].view(np.int64), times.astype(np.int64))]
+                rest = _rest(row[~found], h[~found], n)
                 size = np.diff(offsets[a : b + 1]) + 1
-                cols = [batch["doc_id"].slice(a, n), batch["held_out"].slice(a, n), pa.array(n_words + 1, pa.int64()), pa.array(head_known + (ends > 0), pa.int64()), pa.array(head_sum + end_log), pa.array(total_log), pa.array(-total_log / math.log10(2) / size), *rest]
-                yield pa.RecordBatch.from_arrays(cols, ["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score", "bits_per_byte", "rest", "times"])
+                cols = [batch["doc_id"].slice(a, n), batch["held_out"].slice(a, n), pa.array(n_words + 1, pa.int64()), pa.array(head_known + (ends > 0), pa.int64()), pa.array(head_sum + end_log), pa.array(total_log), pa.array(size, pa.int64()), *rest, *more]
+                yield pa.RecordBatch.from_arrays(cols, ["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score", "size", "rest", "times", "rest_grams", "times_grams"])
 
-    shape = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double, bits_per_byte double, rest array<long>, times array<long>"
+    shape = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double, size long, rest array<long>, times array<long>, rest_grams array<long>, times_grams array<long>"
     scored = spool(base.mapInArrow(run, shape).withColumn("uid", F.monotonically_increasing_id()), "scored")
     tail = scored.where(F.size("rest") > 0).select("uid", F.explode(F.arrays_zip("rest", "times")).alias("x")).select("uid", F.col("x.rest").alias("h"), F.col("x.times").alias("n"))
     # Words of the head never reach the join, so no key of it is frequent in training.
     rare = vocabulary.where(F.col("c") < least) if least else vocabulary
     c = F.coalesce("c", F.lit(0))
     sums = tail.join(rare, "h", "left").groupBy("uid").agg(F.sum(F.when(c > 0, F.col("n")).otherwise(0)).alias("more_known"), F.sum(F.col("n") * F.log10((c + 0.5) / F.lit(floor or 1.0))).alias("more"))
-    out = scored.drop("rest", "times").join(sums, "uid", "left")
-    return out.select("doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("more_known", F.lit(0))).alias("n_known"), F.lit(int(total)).cast("long").alias("train_tokens"), (F.col("base_score") + F.coalesce("more", F.lit(0.0))).alias("base_score"), "score", "bits_per_byte")
+    deep = scored.where(F.size("rest_grams") > 0).select("uid", F.explode(F.arrays_zip("rest_grams", "times_grams")).alias("x")).select("uid", F.col("x.rest_grams").alias("gram"), F.col("x.times_grams").alias("times"))
+    # Likewise: a gram of the cache never reaches the join, and every other gram of a text is in the table.
+    logs = deep.join(predictions.where(F.col("n") < least_gram).select("gram", "log"), "gram").groupBy("uid").agg(F.sum(F.col("times") * F.col("log")).alias("deep"))
+    out = scored.drop("rest", "times", "rest_grams", "times_grams").join(sums, "uid", "left").join(logs, "uid", "left")
+    total_log = F.col("score") + F.coalesce("deep", F.lit(0.0))
+    return out.select("doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("more_known", F.lit(0))).alias("n_known"), F.lit(int(total)).cast("long").alias("train_tokens"), (F.col("base_score") + F.coalesce("more", F.lit(0.0))).alias("base_score"), total_log.alias("score"), (-total_log / math.log10(2) / F.col("size")).alias("bits_per_byte"))

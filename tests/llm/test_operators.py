@@ -372,6 +372,15 @@ def test_word_tail_takes_the_join(docs, none, monkeypatch):
     assert ctw.score(none).count() == 0
 
 
+def test_rare_grams_take_the_join(docs, monkeypatch):
+    """The grams that the workers hold are a cache: no score depends on their number, nor on how many subtrees are built at once."""
+    whole = {(str(r["doc_id"]), r["n_tokens"]): r["score"] for r in ctw.score(docs).collect()}
+    monkeypatch.setattr(ctw, "CAPACITY", 5)
+    monkeypatch.setattr(ctw, "BUILT", 50)
+    few = {(str(r["doc_id"]), r["n_tokens"]): r["score"] for r in ctw.score(docs).collect()}
+    assert few.keys() == whole.keys() and all(abs(few[k] - whole[k]) < 1e-6 * abs(whole[k]) for k in whole)
+
+
 def test_rule_statistics(spark, docs, none):
     labels = spark.createDataFrame([(i, i % 2) for i in range(30)], "doc_id long, quality int")
     extra = [(100, "a b c a b c x\n \na b c a b c x\n&& <|>\nz", *rows()[0][2:]), (101, "w " * 100, *rows()[0][2:]), (102, "A a A a\nA a A a", *rows()[0][2:])]
