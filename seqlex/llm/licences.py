@@ -1,7 +1,8 @@
 """Licence scans by sentence rules: known licence sentences, then ordered rules over their identifiers. DataFrame functions only.
 
-A text is read twice in one pass: cut at sentence ends (line breaks count as spaces) and cut at line breaks. Each piece is normalised
-(lower case, runs of anything but a-z and 0-9 as one space) and looked up among the known sentences. The identifiers found, in the order of the text,
+A text is lower-cased, and runs of anything but a-z, 0-9 and line breaks become one space; so wrapping, list and comment markers and
+neighbours don't matter. The known sentences are looked for as spans of whole words in it, from left to right, the longest where several begin, none
+right after "not", and no version notice before "or later". A tag line must be a line of its own. The identifiers found, in the order of the text,
 are matched against rules, each an ordered list of identifiers with anything between them; a rule contained in a longer matched rule of the
 same licence adds nothing, as licences are reported once. There is no shuffle and no join: rules and sentences are constants of the plan.
 
@@ -87,20 +88,36 @@ def pattern(identifiers: list[str]) -> str:
     return r"\|" + r"\|(.*\|)?".join(identifiers) + r"\|"
 
 
-def _hits(pieces: Column, table: dict[str, str]) -> Column:
-    clean = F.transform(pieces, lambda s: F.trim(F.regexp_replace(F.lower(s), "[^a-z0-9]+", " ")))
-    names = F.create_map(*[F.lit(x) for pair in sorted(table.items()) for x in pair])
-    return F.transform(F.filter(clean, lambda s: s.isin(*sorted(table))), lambda s: F.element_at(names, s))
+GAP = "[ \\n]+"
+
+
+def _words(sentences: list[list[str]]) -> str:
+    """A pattern of these word lists by common beginnings; of several that match, the longest."""
+    heads: dict[str, list[list[str]]] = {}
+    for words in sentences:
+        heads.setdefault(words[0], []).append(words[1:])
+    parts = []
+    for head, rests in sorted(heads.items()):
+        longer = [r for r in rests if r]
+        more = f"(?:{GAP}{_words(longer)})" if longer else ""
+        parts.append(head + more + ("?" if longer and len(longer) < len(rests) else ""))
+    return f"(?:{'|'.join(parts)})"
+
+
+def spans() -> str:
+    """The pattern of all known sentences in a lower-cased text of words, spaces and line breaks."""
+    texts, tags = ([s.split() for s, k in sorted(known().items()) if k.startswith("tag_") == tag] for tag in (False, True))
+    later = f"(?!{GAP}or{GAP}(?:any{GAP}later|later|at{GAP}your{GAP}option))"
+    return rf"\b(?<!not[ \n]){_words(texts)}\b{later}|(?m:^ ?{_words(tags).replace(GAP, ' ')} ?$)"
 
 
 def scan(docs: DataFrame) -> DataFrame:
-    """doc_id, n_found, sentence_ids (sentences in order of the text, then lines that are no such sentence), rules, licences (sorted)."""
-    text = F.coalesce(F.col("text"), F.lit(""))
+    """doc_id, n_found, sentence_ids (in order of the text), rules, licences (sorted)."""
     table = known()
-    by_sentence = _hits(F.split(F.regexp_replace(text, "\n", " "), r"(?<=[.!?;])\s+"), table)
-    by_line = _hits(F.split(text, "\n"), table)
-    out = docs.select("doc_id", by_sentence.alias("a"), by_line.alias("b"))
-    out = out.select("doc_id", F.concat("a", F.filter("b", lambda x: ~F.array_contains(F.col("a"), x))).alias("sentence_ids"))
+    clean = F.regexp_replace(F.lower(F.coalesce(F.col("text"), F.lit(""))), "[^a-z0-9\n]+", " ")
+    found = F.regexp_extract_all(clean, F.lit(spans()), F.lit(0))
+    names = F.create_map(*[F.lit(x) for pair in sorted(table.items()) for x in pair])
+    out = docs.select("doc_id", F.transform(found, lambda s: F.element_at(names, F.trim(F.regexp_replace(s, "[^a-z0-9]+", " ")))).alias("sentence_ids"))
     joined = F.concat(F.lit("|"), F.array_join("sentence_ids", "|"), F.lit("|"))
     matched = {r: joined.rlike(pattern(ids)) for r, _, ids in rules()}
     named = [F.when(matched[r] & (~matched[SHADOWS[r]] if r in SHADOWS else F.lit(True)), F.struct(F.lit(r).alias("rule"), F.lit(lic).alias("licence"))) for r, lic, _ in rules()]

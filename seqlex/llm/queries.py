@@ -54,4 +54,5 @@ QUERIES = {
     f.__name__: f
     for f in (op1_topk_search, op2_line_dedup, op3_resharding, op4_mixing, op5_sentencepiece, op6_licences, op7_language_id, op8_minhash, op9_context_tree, op10_quality)
 }
-ORACLE = {"op1_topk_search": topk_search.oracle(), "op2_line_dedup": line_dedup.oracle(), "op6_licences": licences.oracle()}
+#: The SQL of op6_licences (licences.oracle()) cuts texts at .!?; and line ends only, so it misses wrapped licences and is not registered.
+ORACLE = {"op1_topk_search": topk_search.oracle(), "op2_line_dedup": line_dedup.oracle()}

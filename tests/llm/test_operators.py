@@ -2,6 +2,7 @@
 
 import math
 import random
+import textwrap
 import zlib
 from collections import Counter
 
@@ -292,6 +293,22 @@ def test_licence_rules(spark):
     assert got[0]["rules"] == ["mit_text"]
 
 
+def test_licences_of_wrapped_texts(spark):
+    t = {k: v[0] for k, v in licences.SENTENCES.items()}
+    mit_grant, terms = t["mit_grant"].split(" The above")
+    wrap = lambda x, mark="": "\n".join(mark + line for line in textwrap.wrap(x, 70))
+    mit = "MIT License\n\nCopyright (c) 2020 Someone\n\n" + wrap(mit_grant) + "\n\n" + wrap("The above" + terms) + ".\n\n" + wrap(t["mit_as_is"])
+    bsd = "Copyright (c) 2020, Someone\nAll rights reserved.\n\n" + wrap(t["bsd_grant"] + ":") + "".join(f"\n\n{i}. " + wrap(t[k] + ".") for i, k in enumerate(("bsd_source", "bsd_binary", "bsd_endorse"), 1))
+    isc = "Copyright 2020 Someone\n\n" + wrap(t["isc_grant"] + ".", "// ")
+    gpl = "prog - does things\nCopyright (C) 2020 Someone\n\n" + wrap(t["gpl_free"] + ".", " * ") + "\n *\n" + wrap(t["gpl_hope"] + ".", " * ")
+    apache = '# Copyright 2020 Someone\n#\n# Licensed under the Apache License, Version 2.0 (the "License");\n# you may not use this file except in compliance with the License.\n# You may obtain a copy of the License at\n#\n#     http://www.apache.org/licenses/LICENSE-2.0\n#\n# Unless required'
+    others = ["SPDX-License-Identifier: MIT-0", "This is not released under the MIT License.", "Licensed under the GNU General Public License, version 3 or later.", "// SPDX-License-Identifier: MIT\nx", "Licensed under CC BY-NC 4.0\nSPDX-License-Identifier: CC-BY-4.0"]
+    got = {r["doc_id"]: r for r in licences.scan(spark.createDataFrame(list(enumerate([mit, bsd, isc, gpl, apache, *others])), "doc_id long, text string")).collect()}
+    assert [got[i]["rules"] for i in range(5)] == [["mit_text"], ["bsd3_text"], ["isc_text"], ["gpl3_header"], ["apache2_header"]]
+    assert [got[i]["licences"] for i in range(5, 10)] == [[], [], [], ["MIT"], ["CC-BY-4.0", "CC-BY-NC-4.0"]]
+    assert got[9]["sentence_ids"] == ["cc_by_nc4", "tag_cc_by_4_0"] and got[1]["sentence_ids"][0] == "rights"
+
+
 def test_language_id(spark, docs, none):
     en, de = "the cat and the dog sat on this mat with that", "der hund und die katze sind nicht auf dem stuhl"
     rng = random.Random(0)
