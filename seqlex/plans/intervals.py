@@ -163,11 +163,11 @@ def class_specific_regions(spark, d):
 
 def shuffled(df: DataFrame, seed: int = 1) -> DataFrame:
     """The same bases in keyed order: composition stays, words go."""
-    keyed = F.transform(F.sequence(F.lit(1), F.length("seq")), lambda i: F.struct(F.md5(F.concat_ws("|", F.lit(seed), "contig", i)).alias("k"), F.substring(F.col("seq"), i, F.lit(1)).alias("b")))
-    return df.withColumn("seq", F.array_join(F.transform(F.array_sort(keyed), lambda x: x["b"]), ""))
+    split = df.withColumn("__letters", F.explode(F.array(F.split("seq", ""))))
+    keyed = F.transform("__letters", lambda b, i: F.struct(F.md5(F.concat_ws("|", F.lit(seed), "contig", i + 1)).alias("k"), b.alias("b")))
+    return split.withColumn("seq", F.array_join(F.transform(F.array_sort(keyed), lambda x: x["b"]), "")).drop("__letters")
 
 
-@query("background_shuffle", f"WITH {S.CONTIGS}, s AS (SELECT contig, substr(seq, 1, 60) AS seq FROM contigs WHERE length(seq) >= 60) SELECT contig, array_to_string(list_transform(list_sort(list_transform(range(1, 61), lambda i: md5('1|' || contig || '|' || i) || substr(seq, i::INT, 1))), lambda x: substr(x, 33, 1)), '') AS seq FROM s")
+@query("background_shuffle", part=f"WITH {S.CONTIGS}, s AS (SELECT contig, substr(seq, 1, 60) AS seq FROM contigs WHERE length(seq) >= 60) SELECT contig, array_to_string(list_transform(list_sort(list_transform(range(1, 61), lambda i: md5('1|' || contig || '|' || i) || substr(seq, i::INT, 1))), lambda x: substr(x, 33, 1)), '') AS seq FROM s")
 def background_shuffle(spark, d):
-    s = T.contigs(spark, d).where(F.length("seq") >= 60).select("contig", F.substring("seq", 1, 60).alias("seq"))
-    return shuffled(s)
+    return shuffled(T.contigs(spark, d).select("contig", "seq"))

@@ -10,15 +10,19 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLE: dict[str, str] = {}
 #: SQL that reads the first 300 bases only: the queries read whole contigs, so it holds where no contig is longer.
 SHORT: dict[str, str] = {}
+#: SQL of other parts of the whole: a few ids, the most frequent tokens, first segments or first bases.
+PART: dict[str, str] = {}
 
 
-def query(name: str, sql: str | None = None, short: str | None = None):
+def query(name: str, sql: str | None = None, short: str | None = None, part: str | None = None):
     def keep(f: Callable[[SparkSession, str], DataFrame]):
         QUERIES[name] = f
         if sql is not None:
             ORACLE[name] = sql
         if short is not None:
             SHORT[name] = short
+        if part is not None:
+            PART[name] = part
         return f
 
     return keep

@@ -65,9 +65,9 @@ def _kmers(name: str, k: int, stride: int) -> None:
     def run(spark, d):
         return K.kmer_tokens(T.contigs(spark, d), k, stride).select("contig", "tokens")
 
-    @query(f"{name}_counts", f"WITH {S.CONTIGS} SELECT token, count(*) AS n FROM (SELECT unnest(list_concat({full}, {rest})) AS token FROM contigs) GROUP BY token ORDER BY n DESC, token LIMIT 500")
+    @query(f"{name}_counts", **{"sql" if 5**k < 500 else "part": f"WITH {S.CONTIGS} SELECT token, count(*) AS n FROM (SELECT unnest(list_concat({full}, {rest})) AS token FROM contigs) GROUP BY token ORDER BY n DESC, token LIMIT 500"})
     def counts(spark, d):
-        return K.kmer_counts(T.contigs(spark, d), k, stride).orderBy(F.desc("n"), "token").limit(500)
+        return K.kmer_counts(T.contigs(spark, d), k, stride).orderBy(F.desc("n"), "token")
 
 
 for _name, _k, _stride in (("kmer3_overlap", 3, 1), ("kmer6_overlap", 6, 1), ("kmer6_disjoint", 6, 6), ("onemer", 1, 1)):

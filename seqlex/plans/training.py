@@ -39,9 +39,9 @@ def segments_chunked(spark, d):
     return P.pack_chunks(t).groupBy("contig", "seg_no").agg(F.count(F.lit(1)).alias("n_tokens"), F.sum("len").alias("bases"))
 
 
-@query("mlm_mask", f"WITH {SEG}, r AS (SELECT contig, seg_no, (i - 1)::INT AS slot, tokens[i] AS token FROM seg, LATERAL (SELECT unnest(range(1, len(tokens) + 1)) AS i) WHERE seg_no = 0) SELECT contig, count(*) AS n, count(*) FILTER (('0x' || substr(md5('1|' || contig || '|' || seg_no || '|' || slot), 1, 8))::BIGINT < 644245094) AS selected FROM r GROUP BY contig")
+@query("mlm_mask", part=f"WITH {SEG}, r AS (SELECT contig, seg_no, (i - 1)::INT AS slot, tokens[i] AS token FROM seg, LATERAL (SELECT unnest(range(1, len(tokens) + 1)) AS i) WHERE seg_no = 0) SELECT contig, count(*) AS n, count(*) FILTER (('0x' || substr(md5('1|' || contig || '|' || seg_no || '|' || slot), 1, 8))::BIGINT < 644245094) AS selected FROM r GROUP BY contig")
 def mlm_mask(spark, d):
-    m = P.mask_segments(segments(spark, d).where("seg_no = 0"))
+    m = P.mask_segments(segments(spark, d))
     return m.groupBy("contig").agg(F.count(F.lit(1)).alias("n"), F.count_if("selected").alias("selected"))
 
 

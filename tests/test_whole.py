@@ -48,3 +48,27 @@ def test_whole_contigs(spark, small, name):
 
 def test_sql_of_cut_queries_is_not_registered():
     assert S.PREFIXES.endswith(f"{CUT}, lang FROM contigs)") and not set(registry.SHORT) & set(registry.ORACLE)
+
+
+CUTS = {
+    "knn_cosine": [("q.vec_id < 5", "q.vec_id % 50 = 0")],
+    "mlm_mask": [(" WHERE seg_no = 0", "")],
+    "background_shuffle": [("substr(seq, 1, 60) AS seq", "seq"), (" WHERE length(seq) >= 60", ""), ("range(1, 61)", "range(1, length(seq) + 1)")],
+} | {f"{k}_counts": [(" LIMIT 500", "")] for k in ("kmer6_overlap", "kmer6_disjoint")}
+
+
+def test_parts_are_known():
+    assert registry.PART.keys() == CUTS.keys() and not registry.PART.keys() & registry.ORACLE.keys()
+
+
+@pytest.mark.parametrize("name", sorted(CUTS))
+def test_all_of_the_rows(spark, small, name):
+    con = duckdb.connect()
+    for f in os.listdir(small):
+        con.execute(f"CREATE VIEW {f.removesuffix('.parquet')} AS SELECT * FROM '{small}/{f}'")
+    sql = registry.PART[name]
+    for cut, whole in CUTS[name]:
+        assert cut in sql
+        sql = sql.replace(cut, whole)
+    want = con.execute(sql).fetchall()
+    assert Counter(plain(tuple(r)) for r in registry.QUERIES[name](spark, small).collect()) == Counter(plain(r) for r in want)
