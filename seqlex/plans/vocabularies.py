@@ -96,12 +96,12 @@ def corpora(spark, d) -> dict[str, DataFrame]:
 SIZES = (64, 128, 256)
 
 
-def vocab_grid(spark, d, sizes=SIZES, min_freq: int = 20, symbols: int = 300_000, names=("whole", "motif", "element", "foreign")) -> DataFrame:
+def vocab_grid(spark, d, sizes=SIZES, min_freq: int = 20, names=("whole", "motif", "element", "foreign")) -> DataFrame:
     """(vocab, size, token): the grid of corpus and size. The sizes here stand for 1024, 2048 and 4096 on small tables; each corpus is trained once."""
     rows = []
     for name, u in corpora(spark, d).items():
         if name in names:
-            merges = P.train_bpe(u, max(sizes), min_freq, symbols, beyond="sample")
+            merges = P.train_bpe(u, max(sizes), min_freq)
             rows += [(name, s, t) for s in sizes for t in P.vocab(merges, s)]
     return spark.createDataFrame(rows, "vocab string, size int, token string")
 
@@ -115,7 +115,7 @@ for _corpus in ("whole", "motif", "element", "foreign"):
 
     @query(f"bpe_domain_{_corpus}")
     def _one(spark, d, name=_corpus):
-        return as_frame(spark, P.train_bpe(corpora(spark, d)[name], 128, 20, 300_000, beyond="sample"))
+        return as_frame(spark, P.train_bpe(corpora(spark, d)[name], 128, 20))
 
 
 # Vocabularies that SQL can rebuild: k-mers that occur, and the dictionary.

@@ -31,7 +31,7 @@ def tokenised(spark: SparkSession, d: str, rows: DataFrame, name: str) -> DataFr
     if name.startswith("bpe_"):
         _, corpus, size = name.split("_")
         u = unit_rows(spark, d) if corpus == "whole" else corpora(spark, d)[corpus]
-        return P.apply_bpe(rows, P.train_bpe(u, int(size), 20, 100_000, beyond="sample"))
+        return P.apply_bpe(rows, P.train_bpe(u, int(size), 20))
     k, stride = {"kmer3": (3, 1), "kmer6": (6, 1), "kmer6d": (6, 6)}[name]
     return K.kmer_tokens(rows, k, stride).select("contig", "tokens")
 

@@ -6,7 +6,8 @@ from collections import Counter
 import duckdb
 import pytest
 
-from seqlex.plans import registry
+from seqlex.operators import bpe
+from seqlex.plans import registry, vocabularies
 from seqlex.plans import sql as S
 
 registry.load()
@@ -72,3 +73,10 @@ def test_all_of_the_rows(spark, small, name):
         sql = sql.replace(cut, whole)
     want = con.execute(sql).fetchall()
     assert Counter(plain(tuple(r)) for r in registry.QUERIES[name](spark, small).collect()) == Counter(plain(r) for r in want)
+
+
+def test_training_takes_all_units(spark):
+    """The corpus has more than the 300,000 bases that were once sampled."""
+    units = [(r["unit"], r["n"]) for r in vocabularies.unit_rows(spark, SF).orderBy("unit").collect()]
+    assert sum(len(u) for u, _ in units) > 300_000
+    assert [tuple(r)[1:] for r in registry.QUERIES["bpe_domain_whole"](spark, SF).orderBy("rank").collect()] == bpe.train_local(units, 128, 20)
