@@ -420,3 +420,10 @@ def test_forest_finds_an_outlier():
     odd = np.vstack([x[:50], np.full((1, 5), 9.0)])
     s = iforest.Forest(x).scores(odd)
     assert s[-1] > s[:-1].max()
+
+
+def test_threshold_is_where_good_and_bad_part():
+    good, bad = np.linspace(0.3, 0.6, 1000), np.linspace(0.55, 0.7, 100)
+    t = iforest.threshold(good, bad, good)
+    assert (bad > t).mean() > 0.95 and (good > t).mean() < 0.2
+    assert abs(iforest.threshold(good, bad[:0], good) - np.quantile(good, 1 - iforest.MISSED)) < 1e-9
