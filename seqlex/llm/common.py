@@ -14,6 +14,10 @@ from pyspark.sql import functions as F
 
 #: Bytes of text that a vectorised pass handles at a time; bounds the temporary arrays of a worker.
 SLICE_BYTES = 1 << 20
+#: Keys that a join takes out as the most frequent ones, and broadcasts, at most.
+HOT = 4096
+#: Folders written by spool() and not yet discarded.
+spooled: list[str] = []
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -21,10 +25,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none (tests)."""
+    """The folder that driver and executors share. A temporary one serves only where the session names none and all runs in one process (tests)."""
     sc = spark.sparkContext
     named = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not named:
+        if not (sc.master == "local" or sc.master.startswith("local[")):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="seqlex-"))
         named = sc.getCheckpointDir()
     return named
@@ -38,9 +44,53 @@ def spool(df: DataFrame, label: str) -> DataFrame:
     jvm = spark._jvm
     where = jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
+    spooled.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def discard(spark: SparkSession, paths: list[str]) -> None:
+    """Delete spooled folders that nothing reads any more."""
+    for path in paths:
+        where = spark._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+        if path in spooled:
+            spooled.remove(path)
+
+
+def fresh(columns: list[str], name: str) -> str:
+    """name, or name with underscores before it where a column is called so (in whatever case)."""
+    taken = {c.lower() for c in columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
+def least_count(counts: DataFrame, column: str, bound: int) -> int:
+    """The least count that at most bound rows have or exceed, by a histogram of the counts' binary logarithms in eighths."""
+    n = F.col(column).cast("double")
+    table = counts.where(n > 0).groupBy(F.floor(F.log2(n) * 8).cast("int").alias("k")).agg(F.count(F.lit(1)).alias("m"), F.min(column).alias("n")).collect()
+    least, total = None, 0
+    for r in sorted(table, key=lambda r: -r["k"]):
+        if total + r["m"] > bound:
+            break
+        least, total = r["n"], total + r["m"]
+    return least if least is not None else 2**63 - 1
+
+
+def hot_keys(counts: DataFrame, on: list[str], n: str = "n") -> DataFrame:
+    """The most frequent keys of counts (on, n), at most HOT of them, as rows of the plan."""
+    rows = counts.where(F.col(n) >= least_count(counts, n, HOT)).select(*on).collect()
+    return counts.sparkSession.createDataFrame(rows, counts.select(*on).schema)
+
+
+def join_hot(left: DataFrame, right: DataFrame, on: list[str], hot: DataFrame, how: str = "inner") -> DataFrame:
+    """left joined to right, which has a row for a key at most. Rows of left with a hot key (hot is bounded by HOT) meet a broadcast part of right and are
+    not shuffled; the others meet by a shuffle, in which no key is frequent. The keys are not null."""
+    here = F.broadcast(hot)
+    often = left.join(here, on, "left_semi").join(F.broadcast(right.join(here, on, "left_semi")), on, how)
+    return often.unionByName(left.join(here, on, "left_anti").join(right, on, how))
+
+
 def split_by(df: DataFrame, key: Column, keys: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
     """(rows that may, rows that surely don't) have a key in keys' column `name`, without a shuffle of df. The keys are hashed into a bitmap of
     2**24 bits, of which at most 2**18 words are broadcast whatever the number of keys; an exact join of the first part must follow."""
