@@ -10,11 +10,12 @@ known up to the empty one. A text's score is the sum of the log10 probabilities
 Every node of every depth is kept. The grams of all texts, with their training counts (0 for one that only other texts have), are dealt out by the
 last SPLIT bytes of their context; a part builds its subtrees from depth SPLIT down by itself and gives for each gram the prediction of its byte's bits up
 to there, and for each node of depth SPLIT - 1 the sum over its extensions. The shallower nodes (at most 255 * 256) are
-completed on the driver. The log-probabilities so known are a table; the grams of the highest counts (at most `CAPACITY`) are looked up in the workers, as a
-cache, all others by a join, pre-summed for each document. The cache has no say in the results.
+completed on the driver. The log-probabilities so known are a table; the grams that all texts have most often (at most `CAPACITY`) are looked up in the
+workers, as a cache, all others by a join, pre-summed for each document. The cache has no say in the results.
 
-The base takes word counts over the whole vocabulary: the most frequent words (at most `HEAD_WORDS`, chosen by a count threshold from a histogram)
-are looked up in the workers, all others by a join on their hash, pre-summed for each document.
+The base takes word counts over the whole vocabulary: the words that all texts have most often (at most `HEAD_WORDS`, chosen by a count threshold from a
+histogram) are looked up in the workers, all others by a join on their hash, pre-summed for each document. As held-out texts count for what is looked up, no
+key of either join is frequent.
 
 Defined results: a null text is an empty one (its one token is the end). Repeated rows each count and are each scored. Without
 training documents N is 0 and every estimate is the prior. Only `doc_id` and `text` are read.
@@ -30,13 +31,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import give_back, id_crc, slices, spool, utf8
+from .common import give_back, id_crc, least_count, slices, spool, utf8
 from .shingles import word_hashes
 
 DEPTH, CAPACITY, HEAD_WORDS = 5, 1 << 19, 1 << 18
 #: Bytes of context by which grams are dealt out, and grams of which subtrees are built at once (those of one such context stay together).
 SPLIT, BUILT = 2, 1 << 17
-LAST = 2**63 - 1
 #: Bytes that are handled at once, and distinct grams that a worker holds before it hands them on.
 SLICE, HELD = 2 << 20, 1 << 20
 
@@ -75,53 +75,36 @@ def _summed(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarra
 
 
 def gram_counts(base: DataFrame) -> DataFrame:
-    """(gram, n) over all texts; n counts those that are not held out."""
+    """(gram, n, m) over all texts; n counts those that are not held out, m all."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        keys, counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+        keys, counts = np.zeros(0, np.uint64), np.zeros((0, 2), np.int64)
 
         def out() -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(counts)], ["gram", "n"])
+            return pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), *(pa.array(np.ascontiguousarray(c)) for c in counts.T)], ["gram", "n", "m"])
 
         for batch in batches:
             offsets, data = utf8(batch["text"])
             train = ~np.asarray(batch["held_out"].to_numpy(zero_copy_only=False), bool)
             for a, b in slices(offsets, SLICE):
                 g, row = grams(offsets[a : b + 1], data)
-                new, n = _summed(g, train[a:b][row].astype(np.int64))
+                new, n = _summed(g, np.stack([train[a:b][row], np.ones(len(g), bool)], 1).astype(np.int64))
                 keys, counts = _summed(np.concatenate([keys, new]), np.concatenate([counts, n]))
                 if len(keys) > HELD:
                     yield out()
                     keys, counts = keys[:0], counts[:0]
         yield out()
 
-    return base.select("text", "held_out").mapInArrow(run, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
+    return base.select("text", "held_out").mapInArrow(run, "gram long, n long, m long").groupBy("gram").agg(F.sum("n").alias("n"), F.sum("m").alias("m"))
 
 
-def _bounded(counts: DataFrame, capacity: int) -> tuple[np.ndarray, np.ndarray]:
-    """The grams of the highest counts, at most capacity: all of a count or none, by a histogram of the counts."""
-    size = F.floor(F.log2(F.col("n").cast("double")) * 4).cast("int")
-    table = {r["k"]: r["m"] for r in counts.groupBy(size.alias("k")).agg(F.count(F.lit(1)).alias("m")).collect()}
-    least, total = None, 0
-    for k in sorted(table, reverse=True):
-        if total + table[k] > capacity:
-            break
-        least, total = k, total + table[k]
-    got = (counts.where(size >= least) if least is not None else counts.where("false")).select("gram", "n").toArrow()
-    keys, n = np.asarray(got["gram"]).astype(np.int64).view(np.uint64), np.asarray(got["n"]).astype(np.int64)
+def _often(table: DataFrame, key: str, value: str, capacity: int) -> tuple[np.ndarray, np.ndarray, int]:
+    """(keys, values, least): rows of the table (key, value, m) of the highest m, at most capacity of them, by key; and the least m among them."""
+    least = least_count(table, "m", capacity)
+    got = table.where(F.col("m") >= least).select(key, value).toArrow()
+    keys, values = np.asarray(got[key]).astype(np.int64).view(np.uint64), np.asarray(got[value])
     order = np.argsort(keys)
-    return keys[order], n[order]
-
-
-def _least(counts: DataFrame, capacity: int) -> int:
-    """The least count of which at most capacity rows have it or more, by a histogram of the counts' bits in eighths."""
-    size = F.floor(F.log2(F.col("n").cast("double")) * 8).cast("int")
-    least, total = None, 0
-    for r in sorted(counts.where("n > 0").groupBy(size.alias("k")).agg(F.count(F.lit(1)).alias("m"), F.min("n").alias("n")).collect(), key=lambda r: -r["k"]):
-        if total + r["m"] > capacity:
-            break
-        least, total = r["n"], total + r["m"]
-    return least if least is not None else LAST
+    return keys[order], values[order], least
 
 
 def _log_kt(zeros: np.ndarray, ones: np.ndarray) -> np.ndarray:
@@ -217,18 +200,18 @@ def _levels(grams_: np.ndarray, counts: np.ndarray, depths: range) -> list[tuple
 
 
 def subtrees(counts: DataFrame) -> DataFrame:
-    """(gram, n, bits, zeros, ones, log): for each gram its bits' probabilities by depths SPLIT and on; rows without bits have sums over the extensions of a
+    """(gram, m, bits, zeros, ones, log): for each gram its bits' probabilities by depths SPLIT and on; rows without bits have sums over the extensions of a
     node of depth SPLIT - 1, to be summed up. Rows come dealt out and sorted by the last SPLIT bytes of their context."""
     above = np.uint64((1 << (8 * SPLIT)) - 1)
-    shape = ["gram", "n", "bits", "zeros", "ones", "log"]
+    shape = ["gram", "m", "bits", "zeros", "ones", "log"]
     none = lambda n, kind: pa.nulls(n, kind)
 
-    def build(g: np.ndarray, n: np.ndarray) -> Iterator[pa.RecordBatch]:
+    def build(g: np.ndarray, n: np.ndarray, m: np.ndarray) -> Iterator[pa.RecordBatch]:
         seen = n > 0
         tree = Tree(_levels(g[seen], n[seen], range(SPLIT, DEPTH + 1)), SPLIT)
         p = tree.bits(g).astype(np.float32)
         bits = pa.ListArray.from_arrays(pa.array(np.arange(0, 8 * len(g) + 1, 8, dtype=np.int32)), pa.array(np.ascontiguousarray(p.T).ravel()))
-        yield pa.RecordBatch.from_arrays([pa.array(g.view(np.int64)), pa.array(n), bits, *(none(len(g), pa.float64()) for _ in range(3))], shape)
+        yield pa.RecordBatch.from_arrays([pa.array(g.view(np.int64)), pa.array(m), bits, *(none(len(g), pa.float64()) for _ in range(3))], shape)
         keys, zeros, ones, log = tree.top
         if len(keys):
             up, at = np.unique(keys & above, return_inverse=True)
@@ -236,29 +219,29 @@ def subtrees(counts: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(up.view(np.int64)), none(len(up), pa.int64()), none(len(up), bits.type), *sums], shape)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple[np.ndarray, np.ndarray]] = []
+        held: list[tuple[np.ndarray, ...]] = []
         for batch in batches:
-            held.append((np.asarray(batch["gram"]).astype(np.int64).view(np.uint64), np.asarray(batch["n"]).astype(np.int64)))
-            if sum(len(g) for g, _ in held) < BUILT:
+            held.append((np.asarray(batch["gram"]).astype(np.int64).view(np.uint64), *(np.asarray(batch[c]).astype(np.int64) for c in "nm")))
+            if sum(len(x[0]) for x in held) < BUILT:
                 continue
-            g, n = (np.concatenate(x) for x in zip(*held, strict=True))
+            g, n, m = (np.concatenate(x) for x in zip(*held, strict=True))
             # The last context may go on in the next batch.
             own = g >> np.uint64(8) & above
             cut = int(np.flatnonzero(own != own[-1])[-1]) + 1 if (own != own[-1]).any() else 0
             if cut:
-                yield from build(g[:cut], n[:cut])
-            held = [(g[cut:], n[cut:])]
+                yield from build(g[:cut], n[:cut], m[:cut])
+            held = [(g[cut:], n[cut:], m[cut:])]
         if held:
             yield from build(*(np.concatenate(x) for x in zip(*held, strict=True)))
         give_back()
 
     key = F.shiftright("gram", 8).bitwiseAND(F.lit(int(above)))
     dealt = counts.withColumn("__key", key).repartition("__key").sortWithinPartitions("__key").drop("__key")
-    return dealt.mapInArrow(run, "gram long, n long, bits array<float>, zeros double, ones double, log double")
+    return dealt.mapInArrow(run, "gram long, m long, bits array<float>, zeros double, ones double, log double")
 
 
 def fit(base: DataFrame) -> DataFrame:
-    """(gram, n, log): the log10 probability of every gram of all texts, from the training texts' counts."""
+    """(gram, m, log): the log10 probability of every gram of all texts, from the training texts' counts, and its number in all texts."""
     counts = spool(gram_counts(base), "grams")
     parts = spool(subtrees(counts), "subtrees")
     sums = parts.where("bits is null").groupBy("gram").agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"), F.sum("log").alias("log")).toArrow()
@@ -274,9 +257,9 @@ def fit(base: DataFrame) -> DataFrame:
         for batch in batches:
             p = np.asarray(batch["bits"].flatten()).astype(float).reshape(-1, 8).T
             log = np.log10(shared.value.bits(np.asarray(batch["gram"]).astype(np.int64).view(np.uint64), p)).sum(0)
-            yield pa.RecordBatch.from_arrays([batch["gram"], batch["n"], pa.array(log)], ["gram", "n", "log"])
+            yield pa.RecordBatch.from_arrays([batch["gram"], batch["m"], pa.array(log)], ["gram", "m", "log"])
 
-    return spool(parts.where("bits is not null").select("gram", "n", "bits").mapInArrow(run, "gram long, n long, log double"), "predictions")
+    return spool(parts.where("bits is not null").select("gram", "m", "bits").mapInArrow(run, "gram long, m long, log double"), "predictions")
 
 
 def _rest(row: np.ndarray, key: np.ndarray, n: int) -> list[pa.Array]:
@@ -289,18 +272,20 @@ def _rest(row: np.ndarray, key: np.ndarray, n: int) -> list[pa.Array]:
     return [pa.ListArray.from_arrays(pa.array(ends), pa.array(x)) for x in (t[first].view(np.int64), times.astype(np.int64))]
 
 
-def word_counts(train: DataFrame) -> DataFrame:
-    """(h, c): occurrences of each word in the training texts."""
+def word_counts(base: DataFrame) -> DataFrame:
+    """(h, c, m): occurrences of each word in the texts that are not held out, and in all."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             offsets, data = utf8(batch["text"])
+            train = ~np.asarray(batch["held_out"].to_numpy(zero_copy_only=False), bool)
             for a, b in slices(offsets, SLICE):
-                _, h, _ = words(offsets[a : b + 1], data)
-                h, n = np.unique(h, return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(n, pa.int64())], ["h", "c"])
+                row, h, _ = words(offsets[a : b + 1], data)
+                h, at, n = np.unique(h, return_inverse=True, return_counts=True)
+                c = np.bincount(at, train[a:b][row], len(h)).astype(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(c), pa.array(n, pa.int64())], ["h", "c", "m"])
 
-    return train.select("text").mapInArrow(run, "h long, c long").groupBy("h").agg(F.sum("c").alias("c"))
+    return base.select("text", "held_out").mapInArrow(run, "h long, c long, m long").groupBy("h").agg(F.sum("c").alias("c"), F.sum("m").alias("m"))
 
 
 def words(offsets: np.ndarray, data: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -317,24 +302,19 @@ def score(docs: DataFrame, *, fold: int = 5, held: int = 1) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, bits_per_byte for each document."""
     sc = docs.sparkSession.sparkContext
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", (id_crc("doc_id", fold) == held).alias("held_out"))
-    train = base.where("not held_out").select(F.coalesce("text", F.lit("")).alias("text"))
-    vocabulary = spool(word_counts(train), "words")
-    sums = vocabulary.agg(F.sum("c"), F.count(F.lit(1))).first()
-    ends = train.count()
+    vocabulary = spool(word_counts(base), "words")
+    sums = vocabulary.agg(F.sum("c"), F.count_if(F.col("c") > 0)).first()
+    ends = base.where("not held_out").count()
     total, distinct = (sums[0] or 0) + ends, sums[1] + (ends > 0)
     floor = total + 0.5 * (distinct + 1)
-    head_h, head_c = _bounded(vocabulary.select(F.col("h").alias("gram"), F.col("c").alias("n")), HEAD_WORDS)
-    least = int(head_c.min()) if len(head_c) else 0
+    head_h, head_c, least = _often(vocabulary, "h", "c", HEAD_WORDS)
     predictions = fit(base)
-    least_gram = _least(predictions, CAPACITY)
-    head = predictions.where(F.col("n") >= least_gram).select("gram", "log").toArrow()
-    head_g, head_p = np.asarray(head["gram"]).astype(np.int64).view(np.uint64), np.asarray(head["log"]).astype(float)
-    order = np.argsort(head_g)
-    model = sc.broadcast((head_g[order], head_p[order], head_h, np.log10((head_c + 0.5) / floor)))
+    head_g, head_p, least_gram = _often(predictions, "gram", "log", CAPACITY)
+    model = sc.broadcast((head_g, head_p.astype(float), head_h, np.log10((head_c.astype(np.int64) + 0.5) / floor), head_c.astype(np.int64) > 0))
     end_log = math.log10((ends + 0.5) / floor) if floor else 0.0
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, known_log, head_h, head_log = model.value
+        known, known_log, head_h, head_log, head_seen = model.value
         for batch in batches:
             offsets, data = utf8(batch["text"])
             for a, b in slices(offsets, SLICE):
@@ -348,7 +328,7 @@ def score(docs: DataFrame, *, fold: int = 5, held: int = 1) -> DataFrame:
                 at = np.minimum(np.searchsorted(head_h, h), max(0, len(head_h) - 1))
                 found = head_h[at] == h if len(head_h) else np.zeros(len(h), bool)
                 head_sum = np.bincount(row[found], head_log[at[found]], n)
-                head_known = np.bincount(row[found], minlength=n)
+                head_known = np.bincount(row[found], head_seen[at[found]], n).astype(np.int64)
                 # The other words, summed within the document.
                 rest = _rest(row[~found], h[~found], n)
                 size = np.diff(offsets[a : b + 1]) + 1
@@ -358,13 +338,11 @@ def score(docs: DataFrame, *, fold: int = 5, held: int = 1) -> DataFrame:
     shape = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double, size long, rest array<long>, times array<long>, rest_grams array<long>, times_grams array<long>"
     scored = spool(base.mapInArrow(run, shape).withColumn("uid", F.monotonically_increasing_id()), "scored")
     tail = scored.where(F.size("rest") > 0).select("uid", F.explode(F.arrays_zip("rest", "times")).alias("x")).select("uid", F.col("x.rest").alias("h"), F.col("x.times").alias("n"))
-    # Words of the head never reach the join, so no key of it is frequent in training.
-    rare = vocabulary.where(F.col("c") < least) if least else vocabulary
-    c = F.coalesce("c", F.lit(0))
-    sums = tail.join(rare, "h", "left").groupBy("uid").agg(F.sum(F.when(c > 0, F.col("n")).otherwise(0)).alias("more_known"), F.sum(F.col("n") * F.log10((c + 0.5) / F.lit(floor or 1.0))).alias("more"))
+    # Words of the head never reach the join, so no key of it is frequent; every other word of a text is in the table.
+    rare = vocabulary.where(F.col("m") < least).select("h", "c")
+    sums = tail.join(rare, "h").groupBy("uid").agg(F.sum(F.when(F.col("c") > 0, F.col("n")).otherwise(0)).alias("more_known"), F.sum(F.col("n") * F.log10((F.col("c") + 0.5) / F.lit(floor or 1.0))).alias("more"))
     deep = scored.where(F.size("rest_grams") > 0).select("uid", F.explode(F.arrays_zip("rest_grams", "times_grams")).alias("x")).select("uid", F.col("x.rest_grams").alias("gram"), F.col("x.times_grams").alias("times"))
-    # Likewise: a gram of the cache never reaches the join, and every other gram of a text is in the table.
-    logs = deep.join(predictions.where(F.col("n") < least_gram).select("gram", "log"), "gram").groupBy("uid").agg(F.sum(F.col("times") * F.col("log")).alias("deep"))
+    logs = deep.join(predictions.where(F.col("m") < least_gram).select("gram", "log"), "gram").groupBy("uid").agg(F.sum(F.col("times") * F.col("log")).alias("deep"))
     out = scored.drop("rest", "times", "rest_grams", "times_grams").join(sums, "uid", "left").join(logs, "uid", "left")
     total_log = F.col("score") + F.coalesce("deep", F.lit(0.0))
     return out.select("doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("more_known", F.lit(0))).alias("n_known"), F.lit(int(total)).cast("long").alias("train_tokens"), (F.col("base_score") + F.coalesce("more", F.lit(0.0))).alias("base_score"), total_log.alias("score"), (-total_log / math.log10(2) / F.col("size")).alias("bits_per_byte"))
