@@ -9,7 +9,8 @@ from the longest `HEAD` vectors of the table. Rotation and head only steer the p
 The rotation is the SVD of a bounded sample (`SAMPLE` rows). Queries travel in batches of `QUERIES` at most, so each broadcast has a fixed
 bound; vectors are never shuffled, only k scores of a query from each partition.
 
-Defined results: rows with a null id, a null vector, or null or non-finite components take no part; shorter vectors count as
+Defined results: rows with a null id, a null vector, or null or non-finite components take no part, nor does a component whose 256-fold is beyond a
+double. Products that doubles can't hold exactly are summed as whole numbers of any size; a score beyond a long is the nearest long. Shorter vectors count as
 filled up with zeros. Rows repeated with one id count once, at their best score, and never as their own query's partner. Empty
 tables give no rows. Only the id and the vector are read.
 """
@@ -20,23 +21,37 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 SAMPLE, HEAD, QUERIES, BLOCK = 4096, 1024, 8192, 2048
 #: Sums of products below this are exact in doubles.
 EXACT = 2.0**52
+#: Components from here on have squares that may leave the range of a double; such vectors are never pruned.
+WILD = 1e140
+LEAST, MOST = -(2**63), 2**63 - 1
 
 
 def matrix(ids: pa.Array, vectors: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(ids, integer vectors as float64) of the rows that take part."""
-    rows = [(i, v) for i, v in zip(ids.to_pylist(), vectors.to_pylist(), strict=True) if i is not None and v is not None]
-    if not rows:
+    there = pc.and_(pc.is_valid(ids), pc.is_valid(vectors))
+    ids, vectors = ids.filter(there), vectors.filter(there)
+    if not len(ids):
         return np.zeros(0, np.int64), np.zeros((0, 0))
-    width = max(len(v) for _, v in rows)
-    out = np.array([[np.nan if x is None else x for x in v] + [0.0] * (width - len(v)) for _, v in rows], np.float64).reshape(len(rows), width)
+    size = np.asarray(pc.list_value_length(vectors), np.int64)
+    # A null component reads as not a number.
+    flat = vectors.flatten().to_numpy(zero_copy_only=False).astype(np.float64)
+    if (size == size[0]).all():
+        out = flat.reshape(len(size), size[0])
+    else:
+        out = np.zeros((len(size), size.max()))
+        row = np.repeat(np.arange(len(size)), size)
+        out[row, np.arange(len(flat)) - np.repeat(np.cumsum(size) - size, size)] = flat
+    with np.errstate(over="ignore"):
+        out = np.floor(256 * out)
     ok = np.isfinite(out).all(1)
-    return np.array([i for i, _ in rows], np.int64)[ok], np.floor(256 * out[ok])
+    return ids.to_numpy(zero_copy_only=False).astype(np.int64)[ok], out[ok]
 
 
 def widen(m: np.ndarray, width: int) -> np.ndarray:
@@ -47,14 +62,24 @@ def exact_scores(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Row by row inner products of integer-valued matrices, as int64."""
     if not len(a):
         return np.zeros(0, np.int64)
-    if np.abs(a).max(initial=0) * np.abs(b).max(initial=0) * max(1, a.shape[1]) < EXACT:
+    if float(np.abs(a).max(initial=0)) * float(np.abs(b).max(initial=0)) * max(1, a.shape[1]) < EXACT:
         return np.einsum("ij,ij->i", a, b).astype(np.int64)
-    return np.array([sum(int(x) * int(y) for x, y in zip(p, q, strict=True)) for p, q in zip(a, b, strict=True)], np.int64)
+    sums = (sum(int(x) * int(y) for x, y in zip(p, q, strict=True)) for p, q in zip(a.tolist(), b.tolist(), strict=True))
+    return np.array([max(LEAST, min(MOST, s)) for s in sums], np.int64)
+
+
+def is_wild(m: np.ndarray) -> np.ndarray:
+    return np.abs(m).max(1, initial=0) >= WILD
+
+
+def lengths(m: np.ndarray) -> np.ndarray:
+    """Euclidean lengths; infinite for wild rows."""
+    return np.where(is_wild(m), np.inf, np.linalg.norm(np.where(is_wild(m)[:, None], 0.0, m), axis=1))
 
 
 def best(ids: np.ndarray, scores: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     """The k best (id, score) of different ids, ties to the smaller id."""
-    order = np.lexsort((ids, -scores))
+    order = np.lexsort((ids, ~scores))
     _, first = np.unique(ids[order], return_index=True)
     keep = order[np.sort(first)[:k]]
     return ids[keep], scores[keep]
@@ -68,28 +93,37 @@ class Search:
         width = len(rotation)
         self.queries, self.rotation = widen(queries, width), rotation
         self.lead = max(1, width // 4)
-        turned = self.queries @ rotation
+        self.wild = is_wild(self.queries)
+        turned = np.where(self.wild[:, None], 0.0, self.queries) @ rotation
         self.turned, self.rest = turned[:, : self.lead], np.linalg.norm(turned[:, self.lead :], axis=1)
-        self.length = np.linalg.norm(self.queries, axis=1)
+        self.length = lengths(self.queries)
         self.found: dict[int, tuple[np.ndarray, np.ndarray]] = {}
         self.floor = np.full(len(ids), -np.inf)
 
     def offer(self, ids: np.ndarray, vectors: np.ndarray) -> None:
         vectors = widen(vectors, len(self.rotation))
-        order = np.argsort(-np.linalg.norm(vectors, axis=1), kind="stable")
+        order = np.argsort(-lengths(vectors), kind="stable")
         ids, vectors = ids[order], vectors[order]
-        length = np.linalg.norm(vectors, axis=1)
-        turned = vectors @ self.rotation
+        length, wild = lengths(vectors), is_wild(vectors)
+        turned = np.where(wild[:, None], 0.0, vectors) @ self.rotation
         rest = np.linalg.norm(turned[:, self.lead :], axis=1)
         active = np.arange(len(self.ids))
         for a in range(0, len(ids), BLOCK):
             b = slice(a, a + BLOCK)
-            slack = 1e-9 * self.length[active] * length[a] + 0.5
-            active = active[self.length[active] * length[a] + slack >= self.floor[active]]
+            # A wild vector or query can reach any score; nothing is concluded from its length.
+            reach = np.full(len(active), np.inf)
+            tame = ~self.wild[active] & ~wild[a]
+            reach[tame] = self.length[active[tame]] * length[a] * (1 + 1e-9) + 0.5
+            active = active[reach >= self.floor[active]]
             for at in range(0, len(active), 512):
                 q = active[at : at + 512]
                 bound = self.turned[q] @ turned[b, : self.lead].T + np.outer(self.rest[q], rest[b])
-                bound += 1e-9 * self.length[q, None] * length[a] + 0.5
+                bound += np.where(self.wild[q], np.inf, 1e-9 * np.where(self.wild[q], 0.0, self.length[q]) * (0.0 if wild[a] else length[a]) + 0.5)[:, None]
+                if wild[a]:
+                    # The block's longest tame vector is not known here; the lengths of its own vectors bound the rounding.
+                    own = np.where(wild[b], 0.0, length[b])
+                    bound += 1e-9 * np.where(self.wild[q], 0.0, self.length[q])[:, None] * own
+                    bound[:, wild[b]] = np.inf
                 hit, at_c = np.nonzero((bound >= self.floor[q, None]) & (ids[b][None, :] != self.ids[q, None]))
                 cut = np.searchsorted(hit, np.arange(len(q) + 1))
                 for r in np.flatnonzero(np.diff(cut)):
@@ -113,16 +147,17 @@ def top_k(frame: DataFrame, *, id_col: str = "vec_id", vector_col: str = "embedd
     sample = rows.limit(SAMPLE).toArrow()
     _, some = matrix(sample["id"].combine_chunks(), sample["v"].combine_chunks())
     # The right singular vectors, by descending singular value.
-    rotation = np.linalg.eigh(widen(some, width).T @ widen(some, width))[1][:, ::-1].copy()
+    some = widen(some[~is_wild(some)], width)
+    rotation = np.linalg.eigh(some.T @ some)[1][:, ::-1].copy()
 
     def longest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, kept = np.zeros(0, np.int64), np.zeros((0, width))
         for batch in batches:
             new_ids, new = matrix(batch["id"], batch["v"])
             ids, kept = np.concatenate([ids, new_ids]), np.concatenate([kept, widen(new, width)])
-            order = np.argsort(-np.linalg.norm(kept, axis=1), kind="stable")[:HEAD]
+            order = np.argsort(-lengths(kept), kind="stable")[:HEAD]
             ids, kept = ids[order], kept[order]
-        yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(np.linalg.norm(kept, axis=1)), pa.array(list(kept), pa.list_(pa.float64()))], ["id", "norm", "v"])
+        yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(lengths(kept)), pa.array(list(kept), pa.list_(pa.float64()))], ["id", "norm", "v"])
 
     head = rows.mapInArrow(longest, "id long, norm double, v array<double>").orderBy(F.desc("norm")).limit(HEAD).toArrow()
     head_ids = np.array(head["id"].to_pylist(), np.int64)
