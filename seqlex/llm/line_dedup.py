@@ -4,11 +4,13 @@ Each line that is worth a look (`min_chars` characters or more once trimmed) is
 merges HyperLogLog sketches of the sites on which it stands. Far from `min_sites` the estimate decides; lines whose
 estimate is near it (within `band`, about eight standard errors) get an exact distinct count. A line on min_sites sites or
 more is boilerplate and is removed from every document but its first carrier (the one of the smallest id), so that no
-content is lost from the corpus altogether.
+content is lost from the corpus altogether. The lines that stand most often (at most `HOT`) are taken out of the joins and met by a
+broadcast, so that no line's carriers land in one task.
 
 Defined results: a null text stays null, with no lines; a null site counts as one site; a null id is the last carrier. Lines
 repeated within a document count once for the spread and are removed, or kept, together. Rows that repeat with one id are
-treated alike. All columns of the input, whatever their names, return unchanged but for the text.
+treated alike. All columns of the input return unchanged but for the text and the two counts, which take the names given in `counts` and
+replace columns called so.
 """
 
 from __future__ import annotations
@@ -16,6 +18,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import fresh, hot_keys, join_hot, spool
+
 LAST = 2**63 - 1
 
 
@@ -31,37 +35,45 @@ def lines_of(docs: DataFrame, text: str, site: str, key: str, min_chars: int) ->
     return rows.where(F.length("line") >= min_chars).select("carrier", "site", h1.alias("h1"), h2.alias("h2"))
 
 
-def boilerplate(lines: DataFrame, *, min_sites: int, lg_k: int = 10, band: float = 0.25) -> DataFrame:
+KEY = ["h1", "h2"]
+
+
+def spread_of(lines: DataFrame, lg_k: int = 10) -> DataFrame:
+    """(h1, h2, sites, first, n) of each line: the estimated number of its sites, its first carrier and the number of its carriers."""
+    return lines.groupBy(*KEY).agg(F.hll_sketch_estimate(F.hll_sketch_agg("site", lg_k)).alias("sites"), F.min("carrier").alias("first"), F.count(F.lit(1)).alias("n"))
+
+
+def boilerplate(lines: DataFrame, spread: DataFrame, hot: DataFrame, *, min_sites: int, band: float = 0.25) -> DataFrame:
     """(h1, h2, first) of the lines on min_sites sites or more; first is their first carrier."""
-    spread = lines.groupBy("h1", "h2").agg(F.hll_sketch_estimate(F.hll_sketch_agg("site", lg_k)).alias("sites"), F.min("carrier").alias("first"))
     wide = spread.where(F.col("sites") >= min_sites * (1 - band))
     sure = wide.where(F.col("sites") > min_sites * (1 + band)).select("h1", "h2", "first")
     near = wide.where(F.col("sites") <= min_sites * (1 + band)).select("h1", "h2", "first")
-    exact = lines.join(near, ["h1", "h2"]).groupBy("h1", "h2", "first", "site").agg(F.lit(1).alias("one")).groupBy("h1", "h2", "first").agg(F.count(F.lit(1)).alias("exact"))
+    exact = join_hot(lines, near, KEY, hot).groupBy("h1", "h2", "first", "site").agg(F.lit(1).alias("one")).groupBy("h1", "h2", "first").agg(F.count(F.lit(1)).alias("exact"))
     return sure.unionByName(exact.where(F.col("exact") >= min_sites).select("h1", "h2", "first"))
 
 
-def clean(docs: DataFrame, *, text: str = "text", site: str = "source", key: str = "doc_id", min_sites: int = 10, min_chars: int = 20) -> DataFrame:
-    """docs with the boilerplate lines taken out of the text, plus `n_lines` and `n_removed` (replaced where docs has such columns)."""
-    from .common import spool
-
+def clean(docs: DataFrame, *, text: str = "text", site: str = "source", key: str = "doc_id", min_sites: int = 10, min_chars: int = 20, counts: tuple[str, str] = ("n_lines", "n_removed")) -> DataFrame:
+    """docs with the boilerplate lines taken out of the text, and the numbers of its lines and of those removed under the names in counts."""
     # The texts are split once; all later steps read these narrow rows.
     lines = spool(lines_of(docs, text, site, key, min_chars), "lines")
-    bad = spool(boilerplate(lines, min_sites=min_sites), "boilerplate")
-    hits = lines.join(bad, ["h1", "h2"]).where(F.col("carrier") != F.col("first"))
-    removed = hits.groupBy("carrier").agg(F.collect_set(F.struct("h1", "h2")).alias("__removed")).withColumnRenamed("carrier", "__carrier")
-    kept = docs.drop("n_lines", "n_removed")
-    joined = kept.join(removed, F.coalesce(F.col(key).cast("long"), F.lit(LAST)) == F.col("__carrier"), "left")
+    spread = spool(spread_of(lines), "spread")
+    hot = hot_keys(spread, KEY)
+    bad = spool(boilerplate(lines, spread, hot, min_sites=min_sites), "boilerplate")
+    hits = join_hot(lines, bad, KEY, hot).where(F.col("carrier") != F.col("first"))
+    gone, carrier = fresh(docs.columns, "__removed"), fresh(docs.columns, "__carrier")
+    removed = hits.groupBy(F.col("carrier").alias(carrier)).agg(F.collect_set(F.struct("h1", "h2")).alias(gone))
+    kept = docs.drop(*counts)
+    joined = kept.join(removed, F.coalesce(F.col(key).cast("long"), F.lit(LAST)) == F.col(carrier), "left")
     old = F.split(F.col(text), "\n")
 
     def stays(line: Column) -> Column:
         h1, h2 = _keys(F.trim(line))
-        return ~F.array_contains(F.col("__removed"), F.struct(h1.alias("h1"), h2.alias("h2"))) | (F.length(F.trim(line)) < min_chars)
+        return ~F.array_contains(F.col(gone), F.struct(h1.alias("h1"), h2.alias("h2"))) | (F.length(F.trim(line)) < min_chars)
 
-    new = F.when(F.col("__removed").isNull(), F.col(text)).otherwise(F.array_join(F.filter(old, stays), "\n"))
-    n_new = F.when(F.col("__removed").isNull(), F.size(old)).otherwise(F.size(F.filter(old, stays)))
-    out = joined.withColumn("n_lines", F.when(F.col(text).isNull(), 0).otherwise(F.size(old)).cast("long")).withColumn("n_removed", F.when(F.col(text).isNull(), 0).otherwise(F.size(old) - n_new).cast("long"))
-    return out.withColumn(text, new).select(*kept.columns, "n_lines", "n_removed")
+    new = F.when(F.col(gone).isNull(), F.col(text)).otherwise(F.array_join(F.filter(old, stays), "\n"))
+    n_new = F.when(F.col(gone).isNull(), F.size(old)).otherwise(F.size(F.filter(old, stays)))
+    n_old, n_gone = F.when(F.col(text).isNull(), 0).otherwise(F.size(old)).cast("long"), F.when(F.col(text).isNull(), 0).otherwise(F.size(old) - n_new).cast("long")
+    return joined.select(*[new.alias(c) if c == text else F.col(f"`{c}`") for c in kept.columns], n_old.alias(counts[0]), n_gone.alias(counts[1]))
 
 
 def oracle(min_sites: int = 10, min_chars: int = 20) -> str:
