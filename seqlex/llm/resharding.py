@@ -3,16 +3,17 @@
 Old shard sizes and new capacities are a transport problem: a byte that stays in the shard of its own number costs nothing, a
 moved one costs one (any cost table will do). It is solved exactly by successive cheapest paths on a graph of as many nodes as there are shards, so
 the driver's part does not grow with the data. Each flow is a stretch of its old shard's bytes. Within an old shard
-documents stand by descending size class, so the ends of all stretches that move fall among its smallest documents, and sizes
-come out equal but for a small document or two.
+documents stand by descending size class, so the ends of all stretches that move fall among its smallest documents. What the sizes are then off their
+capacities is levelled: of the `POOL` smallest documents of each shard, those that fit go from shards that hold too much to shards with room.
 
 No task holds a shard: an old shard is cut into blocks (size class and a hash of the id), whose totals, at most `MAX_BLOCKS`
-rows, give each block its place; prefix sums run within blocks. A document goes where its middle byte falls.
+rows, give each block its place; prefix sums run within blocks. A document goes where its middle byte falls. `rewrite` writes a shard's rows in
+ranges of its slots, by as many tasks as the rows need.
 
 The present layout of `documents` is taken to be `OLD` shards by crc32 of the id; the operator takes any column.
 
 Defined results: a null text has size 16 and the checksum of nothing; a null id is shard 0's. Repeated rows are placed one by one. An
-empty table gives no rows. Only `doc_id` and `text` are read for the assignment.
+empty table gives no rows. Only `doc_id` and `text` are read for the assignment. `rewrite` tells rows that repeat with one id and text apart by their number.
 """
 
 from __future__ import annotations
@@ -20,9 +21,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import id_crc, spool
+from .common import discard, fresh, id_crc, spool
 
-OLD, NEW, OVERHEAD, MAX_BLOCKS = 32, 40, 16, 200_000
+OLD, NEW, OVERHEAD, MAX_BLOCKS, POOL = 32, 40, 16, 200_000, 200
 
 
 def min_cost_flow(supply: list[int], room: list[int], cost: list[list[int]]) -> list[list[int]]:
@@ -91,6 +92,27 @@ def stretches(flow: list[list[int]]) -> list[tuple[int, int, int, int]]:
     return out
 
 
+def level(sizes: list[int], room: list[int], pools: dict[int, list[tuple]]) -> list[tuple]:
+    """(key, to) of documents to move so that sizes come nearer to room: from the fullest shard to the emptiest, the document of its pool (size, key) that is nearest to half their
+    distance, as long as the distance shrinks."""
+    over, moves = [s - r for s, r in zip(sizes, room, strict=True)], []
+    pools = {s: sorted(p) for s, p in pools.items()}
+    stuck: set[int] = set()
+    while len(stuck) < len(over):
+        a = max((j for j in range(len(over)) if j not in stuck), key=lambda j: over[j])
+        b = min(range(len(over)), key=lambda j: over[j])
+        gap, own = over[a] - over[b], pools.get(a, [])
+        k = min((k for k in range(len(own)) if 0 < own[k][0] < gap), key=lambda k: abs(2 * own[k][0] - gap), default=None)
+        if k is None:
+            stuck.add(a)
+            continue
+        size, key = own.pop(k)
+        moves.append((key, b))
+        over[a] -= size
+        over[b] += size
+    return moves
+
+
 def assign(docs: DataFrame, *, old: Column | None = None, n_old: int = OLD, n_new: int = NEW, capacities: list[int] | None = None) -> tuple[DataFrame, list[list[int]]]:
     """((doc_id, size, text_crc32, old_shard, shard, slot), the flow between old and new shards)."""
     spark = docs.sparkSession
@@ -120,6 +142,17 @@ def assign(docs: DataFrame, *, old: Column | None = None, n_old: int = OLD, n_ne
     twice = 2 * (F.col("start") + F.col("before")) + F.col("size")
     nth_cut = F.least(F.size(F.filter("ends", lambda e: 2 * e <= twice)) + 1, F.size("ends"))
     placed = spool(placed.select("doc_id", "size", "text_crc32", *key, "nth", F.element_at("to", nth_cut).alias("shard")), "placed")
+    sizes = {r["shard"]: r["s"] for r in placed.groupBy("shard").agg(F.sum("size").alias("s")).collect()}
+    nth = F.row_number().over(Window.partitionBy("shard").orderBy("size", *key, "nth"))
+    pools: dict[int, list[tuple]] = {}
+    for r in placed.select("shard", "size", *key, "nth").withColumn("k", nth).where(F.col("k") <= POOL).collect():
+        pools.setdefault(r["shard"], []).append((r["size"], (r["old_shard"], r["class"], r["part"], r["nth"])))
+    moves = level([sizes.get(j, 0) for j in range(n_new)], room, pools)
+    if moves:
+        moved = spark.createDataFrame([(*k, to) for k, to in moves], "old_shard int, class int, part int, nth long, to int")
+        placed = placed.join(F.broadcast(moved), [*key, "nth"], "left").withColumn("shard", F.coalesce("to", "shard")).drop("to")
+    # The place among a block's rows of one shard.
+    placed = spool(placed.withColumn("nth", F.row_number().over(Window.partitionBy("shard", *key).orderBy("nth")).cast("long")), "levelled")
     held = sorted((r["shard"], r["old_shard"], r["class"], r["part"], r["n"], r["first"]) for r in placed.groupBy("shard", *key).agg(F.count(F.lit(1)).alias("n"), F.min("nth").alias("first")).collect())
     used, offsets = [0] * n_new, []
     for s, o, c, p, n, first in held:
@@ -130,18 +163,33 @@ def assign(docs: DataFrame, *, old: Column | None = None, n_old: int = OLD, n_ne
     return out, flow
 
 
-def affected(flow: list[list[int]]) -> list[int]:
-    """New shards whose files change: those that get bytes from another shard or lose some of their own."""
-    n = len(flow[0]) if flow else 0
-    return [j for j in range(n) if any(row[j] for i, row in enumerate(flow) if i != j) or (j < len(flow) and sum(flow[j]) > flow[j][j])]
+def changed(assigned: DataFrame) -> list[int]:
+    """Shards that get a document from another one or lose one of their own, by the flow or by levelling."""
+    pairs = assigned.where("shard <> old_shard").select("shard", "old_shard").distinct().collect()
+    return sorted({x for r in pairs for x in (r["shard"], r["old_shard"])})
 
 
-def rewrite(docs: DataFrame, assigned: DataFrame, flow: list[list[int]], path: str) -> list[int]:
-    """Write the documents of the affected shards to path, a folder for each shard; files of other shards stay as they are. doc_id must be a key here."""
-    shards = affected(flow)
-    where = assigned.where(F.col("shard").isin(shards)).select(F.col("doc_id").alias("__id"), "shard", "slot")
+def rewrite(docs: DataFrame, assigned: DataFrame, path: str) -> list[int]:
+    """Write the documents of the changed shards to path, a folder for each shard; the files of other shards are not touched. Columns of docs called shard or slot give way.
+    docs must not read the folders that are replaced (write to another path, or spool them first)."""
+    spark = docs.sparkSession
+    shards = changed(assigned)
     clean = docs.drop("shard", "slot")
-    clean.join(where, clean["doc_id"] == F.col("__id")).drop("__id").repartition("shard").sortWithinPartitions("shard", "slot").write.mode("overwrite").partitionBy("shard").parquet(path)
+    at = {n: fresh(clean.columns, f"__{n}") for n in ("id", "size", "crc", "no")}
+    twin = Window.partitionBy(at["id"], at["size"], at["crc"])
+    size = F.coalesce(F.octet_length("text"), F.lit(0)).cast("long") + OVERHEAD
+    crc = F.crc32(F.coalesce(F.col("text"), F.lit("")).cast("binary"))
+    named = clean.withColumns({at["id"]: F.col("doc_id").cast("long"), at["size"]: size, at["crc"]: crc})
+    named = named.withColumn(at["no"], F.row_number().over(twin.orderBy(at["id"])))
+    where = assigned.select(F.col("doc_id").alias(at["id"]), F.col("size").alias(at["size"]), F.col("text_crc32").alias(at["crc"]), "shard", "slot")
+    where = where.withColumn(at["no"], F.row_number().over(twin.orderBy("shard", "slot"))).where(F.col("shard").isin(shards)).withColumnsRenamed({at[n]: f"{at[n]}_" for n in at})
+    same = [F.col(at[n]).eqNullSafe(F.col(f"{at[n]}_")) for n in at]
+    out = named.join(where, same[0] & same[1] & same[2] & same[3]).select(*clean.columns, "shard", "slot")
+    writer = out.repartitionByRange("shard", "slot").sortWithinPartitions("shard", "slot").write.mode("overwrite").option("partitionOverwriteMode", "dynamic")
+    writer.partitionBy("shard").parquet(path)
+    # A shard that lost all of its documents has no row to replace its folder.
+    left = {r["shard"] for r in assigned.select("shard").distinct().collect()}
+    discard(spark, [f"{path.rstrip('/')}/shard={s}" for s in shards if s not in left])
     return shards
 
 
