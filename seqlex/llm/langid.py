@@ -1,11 +1,13 @@
 """Language identification: averaged hashed subword embeddings under a linear softmax, with calibrated rejection.
 
-Training runs in numpy on the driver over a bounded sample of labelled rows (`sample_rows`, spread evenly over the
-languages by a hash of the id). The trained embedding and output matrices are multiplied once, so that a prediction is a
+Training runs in numpy on the driver over a bounded sample of labelled rows: at most `sample_rows` rows and about `sample_bytes` bytes, as many of each
+language, chosen by a hash of id and text, whole texts, those of over `LONG` bytes last. A model's size is that of its languages, so at most `languages` of them are
+learnt, those with the most rows (1,000 by default, or 262 MB of weights). The trained embedding and output matrices are multiplied once, so that a prediction is a
 mean of rows of one table of `BUCKETS` x languages: constant in size, whatever the corpus.
 
 Defined results: a null text, or one without any letter, is `und` with score 0 and rejected. Without any labelled row every
-text is `und`. Repeated rows are predicted alike; only `doc_id`, `text` and `lang` are read, so other columns cannot clash.
+text is `und`. Repeated rows are predicted alike, and ids that are null or repeat change neither the bounds of the sample nor that each language has a row in it;
+only `doc_id`, `text` and `lang` are read, so other columns cannot clash.
 """
 
 from __future__ import annotations
@@ -15,12 +17,12 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import give_back, id_crc, slices, utf8
 
-BUCKETS = 1 << 16
+BUCKETS, LONG = 1 << 16, 1 << 20
 GAP = b"    "
 
 _fold = np.full(256, 32, np.uint8)
@@ -53,7 +55,7 @@ class LanguageModel:
     def logits(self, texts: list[bytes]) -> np.ndarray:
         """A row for each text. The texts stand in one buffer with gaps, so no gram holds letters of two of them."""
         sizes = np.array([len(t) + len(GAP) for t in texts])
-        buffer = np.frombuffer(GAP[:2] + GAP.join(texts) + GAP, np.uint8)
+        buffer = np.frombuffer(GAP[:3] + GAP.join(texts) + GAP, np.uint8)
         starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
         total, count = 0, 0
         for ids in gram_ids(buffer):
@@ -82,7 +84,7 @@ def train(rows: list[tuple[str, str]], *, dims: int = 8, epochs: int = 6, rate:
     embed[0] = 0
     known, features = {lang: i for i, lang in enumerate(labels)}, []
     for text, lang in rows:
-        ids = np.concatenate(gram_ids(np.frombuffer(GAP[:2] + text.encode() + GAP, np.uint8)))
+        ids = np.concatenate(gram_ids(np.frombuffer(GAP[:3] + text.encode() + GAP, np.uint8)))
         ids, counts = np.unique(ids[ids > 0], return_counts=True)
         if len(ids):
             features.append((ids, counts / counts.sum(), known[lang]))
@@ -111,16 +113,24 @@ def train(rows: list[tuple[str, str]], *, dims: int = 8, epochs: int = 6, rate:
     return model
 
 
-def sample(docs: DataFrame, sample_rows: int) -> list[tuple[str, str]]:
-    """About sample_rows labelled whole texts outside the held-out fold, as many of each language, chosen by a hash of the id."""
-    labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (id_crc("doc_id", 4) != 2))
-    sizes = {r["lang"]: r["n"] for r in labelled.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n")).limit(1000).collect()}
+def sample(docs: DataFrame, sample_rows: int, *, sample_bytes: int = 64 << 20, languages: int = 1000) -> list[tuple[str, str]]:
+    """(text, language) of labelled whole texts outside the held-out fold, within the bounds that the module states, at least one of each learnt language."""
+    space = 1_000_003
+    h = F.pmod(F.xxhash64(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), "text", F.lit("langid")), F.lit(space)).cast("int")
+    labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (id_crc("doc_id", 4) != 2)).select("doc_id", "text", "lang", h.alias("h"))
+    sizes = labelled.groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.min("h").alias("least")).orderBy(F.desc("n"), "lang").limit(languages).collect()
     if not sizes:
         return []
-    quota = max(1, sample_rows // len(sizes))
-    rates = F.create_map(*[F.lit(x) for lang, n in sizes.items() for x in (lang, min(1.0, quota / n))])
-    drawn = F.pmod(F.xxhash64(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.lit("langid")), F.lit(1_000_003)) < F.element_at(rates, F.col("lang")) * 1_000_003
-    got = labelled.where(drawn).select("doc_id", "text", "lang").collect()
+    quota, share = max(1, sample_rows // len(sizes)), max(1, sample_bytes // len(sizes))
+    # Twice the quota by the hash, and the row of the least one; the exact choice is then made among few.
+    below = [(r["lang"], max(int(min(1.0, (2 * quota + 50) / r["n"]) * space), r["least"] + 1)) for r in sizes]
+    limits = docs.sparkSession.createDataFrame(below, "lang string, below int")
+    drawn = labelled.withColumn("lang", F.col("lang").cast("string")).join(F.broadcast(limits), "lang").where("h < below")
+    drawn = drawn.withColumn("size", F.octet_length("text").cast("long"))
+    order = Window.partitionBy("lang").orderBy(F.col("size") > LONG, "h", "text")
+    chosen = drawn.withColumn("nth", F.row_number().over(order)).where(F.col("nth") <= quota)
+    chosen = chosen.withColumn("before", F.sum("size").over(order.rowsBetween(Window.unboundedPreceding, 0)) - F.col("size")).where(F.col("before") < share)
+    got = chosen.select("doc_id", "text", "lang").collect()
     return [(r["text"], r["lang"]) for r in sorted(got, key=lambda r: (str(r["doc_id"]), r["text"]))]
 
 
