@@ -1,32 +1,44 @@
 """Byte-pair encoding over bases: pair counts, training and application.
 
-Units (lines) are deduplicated with their multiplicity before training, so a round costs the distinct text. `train_sql` keeps a unit as `<A><C>...`,
-in which replace() merges left to right without shared delimiters; each round is one aggregation. `train_local` asks that the distinct units hold at most
-LOCAL_SYMBOLS bases (checked) and keeps exact counts by recounting only the units that a merge touches. `train_batched` serves larger corpora: a round
-settles several merges and only pairs, whose number the vocabulary bounds, reach the driver. Ties go to the smaller left, then right, symbol in all three,
-so they give the same merges.
+Units (lines) are deduplicated with their multiplicity before training. A `Chain` holds the symbols of many units in flat arrays with links to both neighbours and the
+places of each adjacent pair, so a merge costs its occurrences and not the corpus. `train_local` runs it on the driver for at most LOCAL_SYMBOLS bases of distinct units
+(checked; about 40 bytes a base), `train_batched` on Spark for more: a round settles several merges, and only pairs, whose number the vocabulary bounds, reach the
+driver. `train_sql` is the plain form, an aggregation a round. Ties go to the smaller left, then right, symbol in all three, so they give the same merges.
+
+Applying a merge list replays it: each merge in its order, from left to right, over all units of a batch. This gives the cuts that training saw.
 """
 
 from __future__ import annotations
 
 import heapq
-import tempfile
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from seqlex.sources.tables import settled, spread
+
 SPECIAL_AND_ALPHABET = 10
-LOCAL_SYMBOLS = 20_000_000
+LOCAL_SYMBOLS = 30_000_000
+#: Bases that one chain of a worker holds.
+CHAIN_SYMBOLS = 2_000_000
+ALPHABET = ("A", "C", "G", "T", "N")
+
+Merge = tuple[str, str, int]
+
+_code = np.full(256, 4, np.int32)
+for _i, _b in enumerate(b"ACGTN"):
+    _code[_b] = _i
 
 
 def units(df: DataFrame, text: str = "text") -> DataFrame:
     """(unit, n): different lines of bases with their number."""
     from seqlex.functions.bases import to_bases
 
-    line = df.select(F.explode(F.split(text, "\n")).alias("line")).select(to_bases("line").alias("unit"))
+    line = spread(df.select(text)).select(F.explode(F.split(F.col(text), "\n")).alias("line")).select(to_bases("line").alias("unit"))
     return line.where(F.length("unit") > 0).groupBy("unit").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -45,9 +57,9 @@ def merge_pair(s: DataFrame, left: str, right: str) -> DataFrame:
     return s.withColumn("spelled", F.replace("spelled", F.lit(f"<{left}><{right}>"), F.lit(f"<{left}{right}>")))
 
 
-def train_sql(u: DataFrame, merges: int, min_freq: int = 100) -> list[tuple[str, str, int]]:
-    """The first merges, each with its count, as one aggregation a round; only the winner comes to the driver."""
-    s, out = spelled(u).cache(), []
+def train_sql(u: DataFrame, merges: int, min_freq: int = 100) -> list[Merge]:
+    """The first merges, each with its count, as one aggregation a round; only the winner comes to the driver. For a few merges: the plan grows with each."""
+    s, out = settled(spelled(u)), []
     for _ in range(merges):
         best = pair_counts(s).orderBy(F.desc("n"), "left", "right").first()
         if best is None or best["n"] < min_freq:
@@ -57,62 +69,122 @@ def train_sql(u: DataFrame, merges: int, min_freq: int = 100) -> list[tuple[str,
     return out
 
 
-def train_local(rows: list[tuple[str, int]], vocab_size: int, min_freq: int = 100) -> list[tuple[str, str, int]]:
-    words = [list(u) for u, _ in rows]
-    weight = [n for _, n in rows]
-    counts: Counter = Counter()
-    where: dict[tuple[str, str], set[int]] = defaultdict(set)
-    for i, w in enumerate(words):
-        for p in zip(w, w[1:], strict=False):
-            counts[p] += weight[i]
-            where[p].add(i)
-    heap = [(-n, *p) for p, n in counts.items()]
+class Chain:
+    """Symbols of units as linked lists in arrays. `symbol` is -1 between units and -2 where a symbol went into its left neighbour; `where` has the places
+    at which a pair was ever formed, stale ones included; `counts`, if wanted, the weighted number of places of each pair."""
+
+    def __init__(self, symbols: list[np.ndarray], weights: np.ndarray | None = None) -> None:
+        sizes = np.array([len(x) for x in symbols], np.int64)
+        ends = np.cumsum(sizes + 1)
+        self.first = ends - sizes
+        self.symbol = np.full(int(ends[-1]) + 1 if len(ends) else 1, -1, np.int32)
+        inside = np.ones(len(self.symbol), bool)
+        inside[np.concatenate([[0], ends])] = False
+        self.symbol[inside] = np.concatenate(symbols) if symbols else 0
+        # A unit's separator stands before it.
+        self.weight = None if weights is None else np.concatenate([np.repeat(weights, sizes + 1), [0]]).astype(np.int64)
+        size = len(self.symbol)
+        self.next, self.prior = np.arange(1, size + 1, dtype=np.int32), np.arange(-1, size - 1, dtype=np.int32)
+        self.where: dict[int, list[np.ndarray]] = defaultdict(list)
+        self.counts: Counter = Counter()
+        self._add(np.flatnonzero((self.symbol[:-1] >= 0) & (self.symbol[1:] >= 0)).astype(np.int32))
+
+    def _keys(self, at: np.ndarray) -> np.ndarray:
+        return self.symbol[at].astype(np.int64) << 32 | self.symbol[self.next[at]]
+
+    def _count(self, at: np.ndarray, keys: np.ndarray, sign: int) -> np.ndarray:
+        """Counts changed by the pairs at these places; the different keys."""
+        if self.weight is None:
+            return np.unique(keys)
+        found, inverse = np.unique(keys, return_inverse=True)
+        for k, n in zip(found.tolist(), np.bincount(inverse, self.weight[at], len(found)).tolist(), strict=True):
+            self.counts[k] += sign * int(n)
+        return found
+
+    def _add(self, at: np.ndarray) -> np.ndarray:
+        if not len(at):
+            return np.zeros(0, np.int64)
+        keys = self._keys(at)
+        order = np.argsort(keys, kind="stable")
+        at, keys = at[order], keys[order]
+        cut = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
+        for a, b in zip(cut.tolist(), np.append(cut[1:], len(keys)).tolist(), strict=True):
+            self.where[int(keys[a])].append(at[a:b])
+        return self._count(at, keys, 1)
+
+    def merge(self, a: int, b: int, c: int) -> set[int]:
+        """Each a that a b follows becomes c, from left to right; the keys of the pairs whose counts changed."""
+        found = self.where.pop(a << 32 | b, None)
+        if not found:
+            return set()
+        left = found[0] if len(found) == 1 else np.sort(np.concatenate(found))
+        left = left[(self.symbol[left] == a) & (self.symbol[self.next[left]] == b)]
+        if a == b and len(left) > 1:
+            # In a run, every other place.
+            starts = np.concatenate([[True], left[1:] != self.next[left[:-1]]])
+            nth = np.arange(len(left))
+            left = left[(nth - np.maximum.accumulate(np.where(starts, nth, 0))) % 2 == 0]
+        if not len(left):
+            return set()
+        right = self.next[left]
+        before, after = self.prior[left], self.next[right]
+        old = np.unique(np.concatenate([before[self.symbol[before] >= 0], left, right[self.symbol[after] >= 0]]))
+        changed = set(self._count(old, self._keys(old), -1).tolist())
+        self.symbol[left], self.symbol[right] = c, -2
+        self.next[left], self.prior[after] = after, left
+        new = np.unique(np.concatenate([self.prior[left], left]))
+        new = new[(self.symbol[new] >= 0) & (self.symbol[self.next[new]] >= 0)]
+        return changed | set(self._add(new).tolist())
+
+    def symbols(self) -> tuple[np.ndarray, np.ndarray]:
+        """(symbols of all units, end of each unit among them)."""
+        alive = np.concatenate([[0], np.cumsum(self.symbol >= 0)])
+        ends = alive[np.append(self.first[1:] - 1, len(self.symbol) - 1)] if len(self.first) else np.zeros(0, np.int64)
+        return self.symbol[self.symbol >= 0], ends
+
+
+def codes(unit: str) -> np.ndarray:
+    return _code[np.frombuffer(unit.encode(), np.uint8)]
+
+
+class Names:
+    """Symbols by number; a symbol is its string, however it was put together."""
+
+    def __init__(self) -> None:
+        self.of, self.number = list(ALPHABET), {b: i for i, b in enumerate(ALPHABET)}
+
+    def add(self, name: str) -> int:
+        if name not in self.number:
+            self.number[name] = len(self.of)
+            self.of.append(name)
+        return self.number[name]
+
+
+def train_local(rows: list[tuple[str, int]], vocab_size: int, min_freq: int = 100) -> list[Merge]:
+    names, chain = Names(), Chain([codes(u) for u, _ in rows], np.array([n for _, n in rows], np.int64))
+    entry = lambda k: (-chain.counts[k], names.of[k >> 32], names.of[k & 0xFFFFFFFF])
+    heap = [entry(k) for k in chain.counts]
     heapq.heapify(heap)
-    out: list[tuple[str, str, int]] = []
+    out: list[Merge] = []
     while heap and len(out) < vocab_size - SPECIAL_AND_ALPHABET:
-        n, a, b = heapq.heappop(heap)
-        if counts[a, b] != -n:
+        n, left, right = heapq.heappop(heap)
+        a, b = names.number[left], names.number[right]
+        if chain.counts[a << 32 | b] != -n:
             continue
         if -n < min_freq:
             break
-        out.append((a, b, -n))
-        changed: set[tuple[str, str]] = set()
-        for i in where.pop((a, b)):
-            w, new, k = words[i], [], 0
-            while k < len(w):
-                if k + 1 < len(w) and w[k] == a and w[k + 1] == b:
-                    new.append(a + b)
-                    k += 2
-                else:
-                    new.append(w[k])
-                    k += 1
-            old_pairs, new_pairs = Counter(zip(w, w[1:], strict=False)), Counter(zip(new, new[1:], strict=False))
-            for p in old_pairs.keys() | new_pairs.keys():
-                if (d := new_pairs[p] - old_pairs[p]) != 0:
-                    counts[p] += d * weight[i]
-                    changed.add(p)
-                    if new_pairs[p]:
-                        where[p].add(i)
-                    else:
-                        where[p].discard(i)
-            words[i] = new
-        for p in changed:
-            if counts[p] > 0:
-                heapq.heappush(heap, (-counts[p], *p))
+        out.append((left, right, -n))
+        for k in chain.merge(a, b, names.add(left + right)):
+            if chain.counts[k] > 0:
+                heapq.heappush(heap, entry(k))
+            else:
+                del chain.counts[k]
     return out
 
 
-def settled(df: DataFrame) -> DataFrame:
-    """Lineage cut by a checkpoint in the folder that the session names; a temporary one only where it names none (tests)."""
-    sc = df.sparkSession.sparkContext
-    if not sc.getCheckpointDir():
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="seqlex-"))
-    return df.checkpoint()
-
-
-def disjoint_head(ranked: list[tuple[str, str, int]], known: set[str]) -> list[tuple[str, str, int]]:
+def disjoint_head(ranked: list[Merge], known: set[str]) -> list[Merge]:
     """The ranked pairs up to the first that shares a symbol with one before it. A pair that spells a known symbol anew stands alone."""
-    head: list[tuple[str, str, int]] = []
+    head: list[Merge] = []
     used: set[str] = set()
     made: set[str] = set()
     for a, b, n in ranked:
@@ -127,7 +199,7 @@ def disjoint_head(ranked: list[tuple[str, str, int]], known: set[str]) -> list[t
     return head
 
 
-def not_outranked(head: list[tuple[str, str, int]], after: list[tuple[str, str, int]]) -> int:
+def not_outranked(head: list[Merge], after: list[Merge]) -> int:
     """How many of head's merges come first in a one-by-one training too. `after` has the pairs with a symbol of head, counted when all were merged.
     Disjoint symbols leave each other's counts alone, so only a pair with a new symbol can overtake; its count before the later merges is a sum over
     `after` in which each symbol made later stands for its own first or last part."""
@@ -145,48 +217,79 @@ def not_outranked(head: list[tuple[str, str, int]], after: list[tuple[str, str,
     return len(head)
 
 
-def train_batched(u: DataFrame, vocab_size: int, min_freq: int = 100, batch: int = 64) -> list[tuple[str, str, int]]:
-    """The merges of train_local for units of any number. A round merges the head of the ranked pairs, recounts, and keeps those that no new pair outranks."""
-    s, out, known = settled(spelled(u)), [], {"A", "C", "G", "T", "N"}
-    counts = pair_counts(s)
+def _pass(state: DataFrame, merges: list[tuple[int, int, int]]) -> DataFrame:
+    """(symbols, n, pair, m): the state (symbols, n) after some merges, and beside it the counts of its pairs in each task."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        totals: Counter = Counter()
+        for batch in batches:
+            flat, at = np.asarray(batch["symbols"].flatten()).astype(np.int32), np.asarray(batch["symbols"].offsets) - batch["symbols"].offsets[0].as_py()
+            chain = Chain(np.split(flat, at[1:-1]) if batch.num_rows else [], np.asarray(batch["n"]).astype(np.int64))
+            for m in merges:
+                chain.merge(*m)
+            totals.update({k: v for k, v in chain.counts.items() if v})
+            symbols, ends = chain.symbols()
+            lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]), pa.int32()), pa.array(symbols))
+            yield pa.RecordBatch.from_arrays([lists, batch["n"], pa.nulls(batch.num_rows, pa.int64()), pa.nulls(batch.num_rows, pa.int64())], ["symbols", "n", "pair", "m"])
+        if totals:
+            none = pa.nulls(len(totals), pa.list_(pa.int32()))
+            yield pa.RecordBatch.from_arrays([none, pa.nulls(len(totals), pa.int64()), pa.array(list(totals), pa.int64()), pa.array(list(totals.values()), pa.int64())], ["symbols", "n", "pair", "m"])
+
+    return settled(state.mapInArrow(run, "symbols array<int>, n long, pair long, m long"))
+
+
+def train_batched(u: DataFrame, vocab_size: int, min_freq: int = 100, batch: int = 64) -> list[Merge]:
+    """The merges of train_local for units of any number. A round merges the head of the ranked pairs in one pass that also counts, and keeps those that no new pair outranks."""
+
+    def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([codes(x) for x in b["unit"].to_pylist()], pa.list_(pa.int32())), b["n"]], ["symbols", "n"])
+
+    names, out = Names(), []
+    known = set(ALPHABET)
+    now = _pass(u.mapInArrow(split, "symbols array<int>, n long"), [])
+    state = lambda p: p.where("pair is null").select("symbols", "n")
+    named = lambda k, n: (names.of[k >> 32], names.of[k & 0xFFFFFFFF], n)
+
+    def counted(p: DataFrame) -> list[Merge]:
+        return [named(*r) for r in p.where("pair is not null").groupBy("pair").agg(F.sum("m").alias("m")).collect()]
+
+    counts = counted(now)
     while len(out) < vocab_size - SPECIAL_AND_ALPHABET:
-        ranked = [tuple(r) for r in counts.where(F.col("n") >= min_freq).orderBy(F.desc("n"), "left", "right").limit(batch).collect()]
+        ranked = heapq.nsmallest(batch, (c for c in counts if c[2] >= min_freq), key=lambda c: (-c[2], c[0], c[1]))
         head = disjoint_head(ranked[: vocab_size - SPECIAL_AND_ALPHABET - len(out)], known)
         if not head:
             break
-        merged = s
-        for a, b, _ in head:
-            merged = merge_pair(merged, a, b)
-        if len(head) > 1:
-            made = [a + b for a, b, _ in head]
-            after = [tuple(r) for r in pair_counts(merged).where(F.col("left").isin(made) | F.col("right").isin(made)).collect()]
-            head, merged = head[: not_outranked(head, after)], s
-            for a, b, _ in head:
-                merged = merge_pair(merged, a, b)
+        steps = [(names.number[a], names.number[b], names.add(a + b)) for a, b, _ in head]
+        made = {a + b for a, b, _ in head}
+        new = _pass(state(now), steps)
+        after = counted(new)
+        keep = not_outranked(head, [c for c in after if c[0] in made or c[1] in made]) if len(head) > 1 else 1
+        if keep < len(head):
+            head = head[:keep]
+            new = _pass(state(now), steps[:keep])
+            after = counted(new)
         out += head
         known |= {a + b for a, b, _ in head}
-        s = settled(merged)
-        counts = pair_counts(s)
+        now, counts = new, after
     return out
 
 
-def train_bpe(u: DataFrame, vocab_size: int, min_freq: int = 100, symbols: int = LOCAL_SYMBOLS, beyond: str = "batched") -> list[tuple[str, str, int]]:
-    """Units of more than `symbols` bases go to the batched trainer, or (beyond="sample") are thinned by a key of the unit."""
+def train_bpe(u: DataFrame, vocab_size: int, min_freq: int = 100, symbols: int = LOCAL_SYMBOLS) -> list[Merge]:
+    """Units of more than `symbols` bases go to the batched trainer; the merges are the same."""
     size = u.agg(F.sum(F.length("unit"))).first()[0] or 0
-    if size > symbols and beyond == "batched":
-        return train_batched(u, vocab_size, min_freq)
     if size > symbols:
-        keep = int(symbols / size * 0.95 * 1_000_000)
-        u = u.where(F.pmod(F.xxhash64("unit"), F.lit(1_000_000)) < keep)
-    return train_local([(r["unit"], r["n"]) for r in u.orderBy("unit").collect()], vocab_size, min_freq)
+        return train_batched(u, vocab_size, min_freq)
+    rows = u.select("unit", "n").toArrow().sort_by("unit")
+    return train_local(list(zip(rows["unit"].to_pylist(), rows["n"].to_pylist(), strict=True)), vocab_size, min_freq)
 
 
-def vocab(merges: list[tuple[str, str, int]], size: int) -> list[str]:
+def vocab(merges: list[Merge], size: int) -> list[str]:
     """The tokens of a vocabulary of `size`: the alphabet and the first size - 10 merges. Prefixes of one training are nested."""
-    return ["A", "C", "G", "T", "N", *dict.fromkeys(a + b for a, b, _ in merges[: size - SPECIAL_AND_ALPHABET])]
+    return [*ALPHABET, *dict.fromkeys(a + b for a, b, _ in merges[: size - SPECIAL_AND_ALPHABET])]
 
 
-def apply_sql(seq: Column, merges: list[tuple[str, str, int]]) -> Column:
+def apply_sql(seq: Column, merges: list[Merge]) -> Column:
     """Tokens by a chain of replaces; for a few dozen merges."""
     s = F.regexp_replace(seq, "(.)", "<$1>")
     for a, b, _ in merges:
@@ -194,33 +297,47 @@ def apply_sql(seq: Column, merges: list[tuple[str, str, int]]) -> Column:
     return F.split(F.regexp_replace(s, "^<|>$", ""), "><")
 
 
-def apply_bpe(df: DataFrame, merges: list[tuple[str, str, int]]) -> DataFrame:
-    """df (contig, seq) with tokens: pairs merge by rank, in Arrow batches; the merge list is bounded by the vocabulary."""
-    ranks = df.sparkSession.sparkContext.broadcast({(a, b): i for i, (a, b, _) in enumerate(merges)})
-
-    def encode(seq: str, rank: dict, memo: dict) -> list[str]:
-        if seq in memo:
-            return memo[seq]
-        w = list(seq)
-        while len(w) > 1:
-            pairs = set(zip(w, w[1:], strict=False))
-            best = min(pairs, key=lambda p: rank.get(p, 1 << 60))
-            if best not in rank:
-                break
-            new, k = [], 0
-            while k < len(w):
-                if k + 1 < len(w) and (w[k], w[k + 1]) == best:
-                    new.append(w[k] + w[k + 1])
-                    k += 2
-                else:
-                    new.append(w[k])
-                    k += 1
-            w = new
-        return w
+def replay(seqs: list[str], merges: list[Merge]) -> tuple[np.ndarray, np.ndarray, list[str]]:
+    """(symbols of all sequences, their ends, names of the symbols)."""
+    names, chain = Names(), Chain([codes(s) for s in seqs])
+    for a, b, _ in merges:
+        chain.merge(names.number[a], names.number[b], names.add(a + b))
+    return *chain.symbols(), names.of
+
+
+def apply_bpe(df: DataFrame, merges: list[Merge]) -> DataFrame:
+    """(contig, tokens) for (contig, seq), in Arrow batches of at most CHAIN_SYMBOLS bases; the merge list is bounded by the vocabulary."""
+    shared = df.sparkSession.sparkContext.broadcast(merges)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            tokens = [encode(s or "", ranks.value, {}) for s in batch["seq"].to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch["contig"], pa.array(tokens, pa.list_(pa.string()))], ["contig", "tokens"])
+            seqs, a = [s or "" for s in batch["seq"].to_pylist()], 0
+            while a < len(seqs):
+                b, size = a, 0
+                while b < len(seqs) and (b == a or size + len(seqs[b]) <= CHAIN_SYMBOLS):
+                    size, b = size + len(seqs[b]), b + 1
+                symbols, ends, names = replay(seqs[a:b], shared.value)
+                tokens = pa.array(names, pa.string()).take(pa.array(symbols))
+                yield pa.RecordBatch.from_arrays([batch["contig"].slice(a, b - a), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]), pa.int32()), tokens)], ["contig", "tokens"])
+                a = b
 
     return df.select("contig", "seq").mapInArrow(run, "contig long, tokens array<string>")
+
+
+def base_pair_counts(u: DataFrame) -> DataFrame:
+    """(left, right, n) of (unit, n) before any merge, counted in the workers: a task hands on 25 rows at most."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        totals = np.zeros(36, np.int64)
+        for batch in batches:
+            for a in range(0, batch.num_rows, 20_000):
+                part = batch.slice(a, 20_000)
+                # A sixth letter between units.
+                own = [np.append(codes(x), 5) for x in part["unit"].to_pylist()]
+                flat = np.concatenate(own)
+                weight = np.repeat(np.asarray(part["n"]).astype(np.int64), [len(x) for x in own])
+                totals += np.bincount(flat[:-1] * 6 + flat[1:], weight[:-1], 36).astype(np.int64)
+        rows = [(x, y, int(totals[6 * i + j])) for i, x in enumerate(ALPHABET) for j, y in enumerate(ALPHABET) if totals[6 * i + j]]
+        yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.string()), pa.array([r[2] for r in rows], pa.int64())], ["left", "right", "n"])
+
+    return u.select("unit", "n").mapInArrow(run, "left string, right string, n long").groupBy("left", "right").agg(F.sum("n").alias("n"))

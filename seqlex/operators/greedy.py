@@ -115,6 +115,26 @@ def walk(length: np.ndarray, offset: np.ndarray, entry: int, end: int) -> tuple[
     return places, at
 
 
+def exits(length: np.ndarray, offset: np.ndarray, end: int) -> tuple[list[int], list[int]]:
+    """(exit, tokens on the way) for each of REACH entries. Walks merge soon, so only the first goes all the way; the others stop where they meet one that is done."""
+    off, size = offset.tolist(), length.tolist()
+    left: dict[int, int] = {}
+    out: dict[int, int] = {}
+    for entry in range(REACH):
+        at, path = entry, []
+        while at < end and at not in left:
+            path.append(at)
+            p = at + off[at]
+            at = p + size[p]
+        to, n = (at, 0) if at >= end else (out[at], left[at])
+        for k, x in enumerate(reversed(path), 1):
+            left[x], out[x] = n + k, to
+        if not path and at == entry:
+            left.setdefault(entry, n)
+            out.setdefault(entry, to)
+    return [out[e] for e in range(REACH)], [left[e] for e in range(REACH)]
+
+
 def _arrays(rows: list[tuple[list[int], list[int], list[str], list[str]]]) -> pa.Array:
     ends = np.cumsum([0] + [len(r[0]) for r in rows]).astype(np.int32)
     flat = [[x for r in rows for x in r[k]] for k in range(4)]
@@ -137,7 +157,8 @@ def _emit(seq: str, places: list[int], length: np.ndarray, kind: np.ndarray, sta
 
 
 def greedy_tokenize(df: DataFrame, words: list[str], *, pick: str = "random", seed: int = 7, max_offset: int = 2, skip: str = "drop", min_len: int = 4, max_len: int = 12) -> DataFrame:
-    """(contig, n_bases, tokens) for (contig, seq). Sequences are handled one by one; cut very long ones and use greedy_chunked."""
+    """(contig, n_bases, tokens) for (contig, seq), and lang where there is one. Sequences are handled one by one; cut very long ones and use greedy_chunked."""
+    more = ["lang"] if "lang" in df.columns else []
     packed = df.sparkSession.sparkContext.broadcast(PackedDict(words, min_len, max_len))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -151,9 +172,9 @@ def greedy_tokenize(df: DataFrame, words: list[str], *, pick: str = "random", se
                     places, _ = walk(length, winners(length, max_offset), 0, len(raw))
                     rows.append(_emit(seq, places, length, kind, 0, skip, 0, len(raw)))
                     sizes.append(len(raw))
-                yield pa.RecordBatch.from_arrays([part["contig"], pa.array(sizes, pa.int64()), _arrays(rows)], ["contig", "n_bases", "tokens"])
+                yield pa.RecordBatch.from_arrays([part["contig"], pa.array(sizes, pa.int64()), _arrays(rows), *(part[c] for c in more)], ["contig", "n_bases", "tokens", *more])
 
-    return df.select("contig", "seq").mapInArrow(run, f"contig long, n_bases long, tokens {TOKENS}")
+    return df.select("contig", "seq", *more).mapInArrow(run, f"contig long, n_bases long, tokens {TOKENS}" + "".join(f", {c} string" for c in more))
 
 
 def transfer(chunks: DataFrame, words: list[str], *, size: int, pick: str = "random", seed: int = 7, max_offset: int = 2) -> DataFrame:
@@ -162,15 +183,15 @@ def transfer(chunks: DataFrame, words: list[str], *, size: int, pick: str = "ran
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            exits, counts = [], []
+            exits_, counts = [], []
             for contig, start, n, bases in zip(*(batch[c].to_pylist() for c in ("contig", "start", "n", "bases")), strict=True):
                 raw = bases.encode()
                 length, _ = offers(packed.value, raw, contig, start, n, pick, seed) if raw else (np.zeros(0, int),) * 2
                 offset, end = winners(length, max_offset), min(size, n - start)
-                got = [walk(length, offset, e, end) for e in range(REACH)]
-                exits.append([x - size for _, x in got])
-                counts.append([len(p) for p, _ in got])
-            yield pa.RecordBatch.from_arrays([batch["contig"], batch["chunk_no"], pa.array(exits, pa.list_(pa.int32())), pa.array(counts, pa.list_(pa.int64()))], ["contig", "chunk_no", "exits", "counts"])
+                to, n_tokens = exits(length, offset, end)
+                exits_.append([x - size for x in to])
+                counts.append(n_tokens)
+            yield pa.RecordBatch.from_arrays([batch["contig"], batch["chunk_no"], pa.array(exits_, pa.list_(pa.int32())), pa.array(counts, pa.list_(pa.int64()))], ["contig", "chunk_no", "exits", "counts"])
 
     return chunks.mapInArrow(run, "contig long, chunk_no int, exits array<int>, counts array<long>")
 

@@ -6,6 +6,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from seqlex.sources.tables import chunks
+
 
 def merge(iv: DataFrame, key: str = "contig", start: str = "start", end: str = "end") -> DataFrame:
     """Union of overlapping or touching intervals: a row opens an island where it starts beyond all earlier ends."""
@@ -37,9 +39,18 @@ def tile(iv: DataFrame, width: int = 300, keep_rest: bool = False) -> DataFrame:
     return cut.select("contig", "start", F.least(F.col("start") + width, F.col("stop")).alias("end"))
 
 
-def extract(iv: DataFrame, contigs: DataFrame) -> DataFrame:
-    """The bases of each interval, by an equi join on the contig."""
-    return iv.join(contigs.select("contig", "seq"), "contig").withColumn("seq", F.substring(F.col("seq"), (F.col("start") + 1).cast("int"), (F.col("end") - F.col("start")).cast("int")))
+def extract(iv: DataFrame, contigs: DataFrame, size: int = 1 << 16) -> DataFrame:
+    """iv with the bases of each interval, by an equi join on contig and piece: a row never meets more of a contig than the pieces of `size` bases it lies in."""
+    pieces = chunks(contigs.select("contig", "seq"), size, 0).select("contig", F.col("chunk_no").cast("long").alias("__piece"), "bases")
+    last = F.greatest(F.col("start"), F.col("end") - 1)
+    cut = iv.withColumn("__uid", F.monotonically_increasing_id()).withColumn("__piece", F.explode(F.sequence(F.floor(F.col("start") / size), F.floor(last / size))))
+    at = F.greatest(F.lit(0), F.col("start") - F.col("__piece") * size)
+    n = F.least(F.lit(size), F.col("end") - F.col("__piece") * size) - at
+    met = cut.join(pieces, ["contig", "__piece"]).withColumn("__part", F.struct("__piece", F.substring("bases", (at + 1).cast("int"), n.cast("int")).alias("s")))
+    one = F.floor(F.col("start") / size) == F.floor(last / size)
+    alone = met.where(one).select(*iv.columns, F.col("__part.s").alias("seq"))
+    joined = met.where(~one).groupBy("__uid", *iv.columns).agg(F.array_join(F.transform(F.array_sort(F.collect_list("__part")), lambda x: x["s"]), "").alias("seq"))
+    return alone.unionByName(joined.drop("__uid"))
 
 
 def overlap_pairs(a: DataFrame, b: DataFrame, bin_size: int = 512) -> DataFrame:
@@ -64,4 +75,5 @@ def nearest(a: DataFrame, b: DataFrame) -> DataFrame:
 
 
 def covered(iv: DataFrame) -> DataFrame:
-    return merge(iv).agg(F.count(F.lit(1)).alias("regions"), F.coalesce(F.sum(F.col("end") - F.col("start")), F.lit(0)).alias("bases"))
+    """(regions, bases) of (contig, start, end)."""
+    return merge_binned(iv).agg(F.count(F.lit(1)).alias("regions"), F.coalesce(F.sum(F.col("end") - F.col("start")), F.lit(0)).alias("bases"))

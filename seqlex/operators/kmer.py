@@ -2,9 +2,20 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: Bases that a worker counts at once.
+SLICE = 4_000_000
+
+_code = np.full(256, 4, np.int64)
+for _i, _b in enumerate(b"ACGT"):
+    _code[_b] = _i
+
 
 def kmers(seq: Column, k: int, stride: int, remainder: str = "onemer", n_policy: str = "keep", letters: Column | None = None) -> Column:
     """Array of tokens. With stride k the last n mod k bases become 1-mers (onemer), nothing (drop) or one short token (short).
@@ -40,11 +51,48 @@ def token_counts(df: DataFrame, *by: str) -> DataFrame:
     return df.select(*by, F.explode("tokens").alias("token")).groupBy(*by, "token").agg(F.count(F.lit(1)).alias("n"))
 
 
-def kmer_counts(contigs: DataFrame, k: int, stride: int = 1) -> DataFrame:
-    """(token, n) over whole contigs. A substring is linear in its place, so contigs are first cut to pieces of about 250 bases (a multiple of k), with
-    k - 1 bases of the next piece where tokens overlap; the counts are then linear in the bases."""
-    from seqlex.sources.tables import chunks
+def kmer_counts(contigs: DataFrame, k: int, stride: int = 1, by: str | None = None) -> DataFrame:
+    """(by, token, n) over whole contigs, with the tokens of kmer_tokens. Workers count packed codes (base five) of a slice at a time, in an array where 5**k is small and by
+    sorting beyond, and hand on a row for each different token only."""
+    kinds, dense = 5**k, 5**k <= 1 << 20
+
+    def rows(group, codes: np.ndarray, n: np.ndarray, width: int) -> pa.RecordBatch:
+        letters = np.frombuffer(b"ACGTN", np.uint8)[codes[:, None] // 5 ** np.arange(width - 1, -1, -1) % 5]
+        tokens = pa.Array.from_buffers(pa.string(), len(codes), [None, pa.py_buffer(np.arange(0, width * len(codes) + 1, width, dtype=np.int32)), pa.py_buffer(np.ascontiguousarray(letters).tobytes())])
+        return pa.RecordBatch.from_arrays([pa.array([group] * len(codes), pa.string()), tokens, pa.array(n, pa.int64())], ["by", "token", "n"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        totals: dict = {}
+        ones: dict = {}
+        for batch in batches:
+            groups = batch["by"].to_pylist()
+            for group in dict.fromkeys(groups):
+                own = [s for s, g in zip(batch["seq"].to_pylist(), groups, strict=True) if g == group and s]
+                a = 0
+                while a < len(own):
+                    b, size = a, 0
+                    while b < len(own) and (b == a or size < SLICE):
+                        size, b = size + len(own[b]), b + 1
+                    code = _code[np.frombuffer("".join(own[a:b]).encode(), np.uint8)]
+                    sizes = np.array([len(s) for s in own[a:b]])
+                    place = np.arange(len(code)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+                    left = np.repeat(sizes, sizes) - place
+                    packed = np.zeros(max(0, len(code) - k + 1), np.int64)
+                    for j in range(k):
+                        packed = packed * 5 + code[j : j + len(packed)]
+                    packed = packed[((left >= k) & (place % stride == 0))[: len(packed)]]
+                    if dense:
+                        totals[group] = totals.get(group, 0) + np.bincount(packed, minlength=kinds)
+                    else:
+                        yield rows(group, *np.unique(packed, return_counts=True), k)
+                    if stride == k and k > 1:
+                        rest = code[place >= np.repeat(sizes - sizes % k, sizes)]
+                        ones[group] = ones.get(group, 0) + np.bincount(rest, minlength=5)
+                    a = b
+        for found, width in ((totals, k), (ones, 1)):
+            for group, n in found.items():
+                yield rows(group, np.flatnonzero(n), n[n > 0], width)
 
-    size = 252 // k * k
-    pieces = chunks(contigs, size, k - 1 if stride == 1 else 0).select(F.col("bases").alias("seq"))
-    return token_counts(kmer_tokens(pieces, k, stride))
+    label = F.lit(None).cast("string") if by is None else F.col(by)
+    counts = contigs.select(label.alias("by"), "seq").mapInArrow(run, "by string, token string, n long").groupBy("by", "token").agg(F.sum("n").alias("n"))
+    return counts.drop("by") if by is None else counts.withColumnRenamed("by", by)

@@ -2,16 +2,31 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 
 def to_ids(tokens: DataFrame, vocab: DataFrame, unknown: str = "[UNK]") -> DataFrame:
-    """ids for tokens (array of structs with a token): a map of the small vocabulary as a literal of the plan."""
-    table = {r["token"]: r["token_id"] for r in vocab.select("token", "token_id").collect()}
-    lookup = F.create_map(*[F.lit(x) for pair in table.items() for x in pair])
-    return tokens.withColumn("ids", F.transform("tokens", lambda t: F.coalesce(F.try_element_at(lookup, t["token"]), F.lit(table[unknown]))))
+    """(contig, ids) of (contig, tokens: structs with a token): a hash lookup in Arrow; the vocabulary is small by nature."""
+    rows = [(r["token"], r["token_id"]) for r in vocab.select("token", "token_id").collect()]
+    shared = tokens.sparkSession.sparkContext.broadcast(rows)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known, ids = pa.array([t for t, _ in shared.value]), pa.array([i for _, i in shared.value], pa.int32())
+        miss = dict(shared.value)[unknown]
+        for batch in batches:
+            lists = batch["tokens"]
+            at = np.asarray(lists.offsets)
+            found = ids.take(pc.index_in(lists.flatten().field("token"), value_set=known)).fill_null(miss)
+            yield pa.RecordBatch.from_arrays([batch["contig"], pa.ListArray.from_arrays(pa.array(at - at[0], pa.int32()), found)], ["contig", "ids"])
+
+    return tokens.select("contig", "tokens").mapInArrow(run, "contig long, ids array<int>")
 
 
 def pack_segments(df: DataFrame, length: int = 512, tail: str = "keep", key: str = "contig") -> DataFrame:

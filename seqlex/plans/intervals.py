@@ -29,7 +29,6 @@ ELEMENTS = f"""elements AS (SELECT contig, e - n AS start, e AS "end", category
 MERGED = """flags AS (SELECT *, CASE WHEN start <= max("end") OVER (PARTITION BY contig ORDER BY start, "end" ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) THEN 0 ELSE 1 END AS opens FROM iv),
 isl AS (SELECT *, sum(opens) OVER (PARTITION BY contig ORDER BY start, "end" ROWS UNBOUNDED PRECEDING) AS island FROM flags),
 merged AS (SELECT contig, min(start)::BIGINT AS start, max("end")::BIGINT AS "end", count(*) AS n_members FROM isl GROUP BY contig, island)"""
-HITS = f"""{S.PREFIXES}, {S.MOTIFS}, iv AS (SELECT contig, i AS start, i + n AS "end" FROM (SELECT contig, i, n, substr(seq, i + 1, n) AS s FROM prefixes, LATERAL (SELECT unnest(range(0, length(seq))) AS i), (SELECT unnest(range(4, 13)) AS n) WHERE i + n <= length(seq)) h JOIN motifs m ON h.s = m.seq)"""
 GAPS = f"""{S.CONTIGS}, {ELEMENTS}, iv AS (SELECT contig, start, "end" FROM elements), {MERGED}, marks AS (SELECT contig, start, "end" FROM merged UNION ALL SELECT contig, length(seq), length(seq) FROM contigs),
 gaps AS (SELECT * FROM (SELECT contig, coalesce(lag("end") OVER (PARTITION BY contig ORDER BY start, "end"), 0)::BIGINT AS start, start AS "end" FROM marks) WHERE start < "end")"""
 TILES = f"""{GAPS}, tiles AS (SELECT contig, s AS start, s + 300 AS "end" FROM gaps, LATERAL (SELECT unnest(range(start, "end" - 299, 300)) AS s) WHERE "end" - start >= 300)"""
@@ -52,12 +51,12 @@ def regulatory_elements(spark, d):
     return elements(spark, d)
 
 
-@query("interval_merge", short=f"WITH {HITS}, {MERGED} SELECT * FROM merged")
+@query("interval_merge", sql=f"WITH {S.HITS}, {MERGED} SELECT * FROM merged")
 def interval_merge(spark, d):
     return R.merge(hits(spark, d))
 
 
-@query("interval_merge_binned", short=f"WITH {HITS}, {MERGED} SELECT contig, start, \"end\" FROM merged")
+@query("interval_merge_binned", sql=f"WITH {S.HITS}, {MERGED} SELECT contig, start, \"end\" FROM merged")
 def interval_merge_binned(spark, d):
     return R.merge_binned(hits(spark, d), 64)
 
@@ -77,7 +76,7 @@ def region_extract(spark, d):
     return R.extract(elements(spark, d), T.contigs(spark, d)).select("contig", "start", "end", "category", "seq")
 
 
-@query("region_coverage", short=f"WITH {HITS}, {MERGED} SELECT count(*) AS regions, sum(\"end\" - start)::BIGINT AS bases, round(sum(\"end\" - start) / (SELECT sum(length(seq)) FROM prefixes), 6) AS ratio FROM merged")
+@query("region_coverage", sql=f"WITH {S.HITS}, {MERGED} SELECT count(*) AS regions, sum(\"end\" - start)::BIGINT AS bases, round(sum(\"end\" - start) / (SELECT sum(length(seq)) FROM whole), 6) AS ratio FROM merged")
 def region_coverage(spark, d):
     total = T.contigs(spark, d).agg(F.sum(F.length("seq")).alias("total"))
     return R.covered(hits(spark, d)).crossJoin(F.broadcast(total)).select("regions", "bases", F.round(F.col("bases") / F.col("total"), 6).alias("ratio"))
@@ -120,18 +119,18 @@ def balanced_sets(spark, d):
     return balanced(spark, d)
 
 
-@query("interval_overlap_join", short=f"WITH {HITS}, {ELEMENTS} SELECT e.contig, e.start AS a_start, e.\"end\" AS a_end, h.start AS b_start, h.\"end\" AS b_end, least(e.\"end\", h.\"end\") - greatest(e.start, h.start) AS overlap FROM elements e JOIN iv h ON e.contig = h.contig AND e.start < h.\"end\" AND h.start < e.\"end\"")
+@query("interval_overlap_join", sql=f"WITH {S.HITS}, {ELEMENTS} SELECT e.contig, e.start AS a_start, e.\"end\" AS a_end, h.start AS b_start, h.\"end\" AS b_end, least(e.\"end\", h.\"end\") - greatest(e.start, h.start) AS overlap FROM elements e JOIN iv h ON e.contig = h.contig AND e.start < h.\"end\" AND h.start < e.\"end\"")
 def interval_overlap_join(spark, d):
     return R.overlap_pairs(elements(spark, d), hits(spark, d))
 
 
-@query("interval_nearest", short=f"WITH {HITS}, {ELEMENTS} SELECT h.contig, h.start, min(abs(h.start - e.start)) AS distance FROM (SELECT DISTINCT contig, start FROM iv) h LEFT JOIN elements e ON h.contig = e.contig GROUP BY h.contig, h.start")
+@query("interval_nearest", sql=f"WITH {S.HITS}, {ELEMENTS} SELECT h.contig, h.start, min(abs(h.start - e.start)) AS distance FROM (SELECT DISTINCT contig, start FROM iv) h LEFT JOIN elements e ON h.contig = e.contig GROUP BY h.contig, h.start")
 def interval_nearest(spark, d):
     return R.nearest(hits(spark, d).select("contig", "start").distinct(), elements(spark, d))
 
 
-@query("interval_jaccard", short=f"""WITH {HITS}, {ELEMENTS}, p AS (SELECT contig, unnest(range(start, "end")) AS p FROM iv), q AS (SELECT contig, unnest(range(start, "end")) AS p FROM elements), a AS (SELECT DISTINCT * FROM p), b AS (SELECT DISTINCT * FROM q)
-SELECT (SELECT count(*) FROM a JOIN b USING (contig, p)) AS both, (SELECT count(*) FROM (SELECT * FROM a UNION SELECT * FROM b)) AS any, round((SELECT count(*) FROM a JOIN b USING (contig, p)) / (SELECT count(*) FROM (SELECT * FROM a UNION SELECT * FROM b)), 6) AS jaccard""")
+@query("interval_jaccard", sql=f"""WITH {S.HITS}, {ELEMENTS}, p AS (SELECT contig, unnest(range(start, "end")) AS p FROM iv), q AS (SELECT contig, unnest(range(start, "end")) AS p FROM elements), a AS (SELECT DISTINCT * FROM p), b AS (SELECT DISTINCT * FROM q)
+SELECT both, "any", round(both / "any", 6) AS jaccard FROM (SELECT (SELECT count(*) FROM a JOIN b USING (contig, p)) AS both, (SELECT count(*) FROM (SELECT * FROM a UNION SELECT * FROM b)) AS "any")""")
 def interval_jaccard(spark, d):
     a, b = hits(spark, d), elements(spark, d).select("contig", "start", "end")
     size = lambda df, name: R.covered(df).select(F.col("bases").alias(name))
@@ -168,6 +167,6 @@ def shuffled(df: DataFrame, seed: int = 1) -> DataFrame:
     return split.withColumn("seq", F.array_join(F.transform(F.array_sort(keyed), lambda x: x["b"]), "")).drop("__letters")
 
 
-@query("background_shuffle", part=f"WITH {S.CONTIGS}, s AS (SELECT contig, substr(seq, 1, 60) AS seq FROM contigs WHERE length(seq) >= 60) SELECT contig, array_to_string(list_transform(list_sort(list_transform(range(1, 61), lambda i: md5('1|' || contig || '|' || i) || substr(seq, i::INT, 1))), lambda x: substr(x, 33, 1)), '') AS seq FROM s")
+@query("background_shuffle", f"WITH {S.CONTIGS} SELECT contig, coalesce(array_to_string(list_transform(list_sort(list_transform(range(1, length(seq) + 1), lambda i: md5('1|' || contig || '|' || i) || substr(seq, i::INT, 1))), lambda x: substr(x, 33, 1)), ''), '') AS seq FROM contigs")
 def background_shuffle(spark, d):
     return shuffled(T.contigs(spark, d).select("contig", "seq"))

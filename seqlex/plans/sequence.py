@@ -32,7 +32,7 @@ def base_composition(spark, d):
     return c.groupBy("lang").agg(*sums, F.sum(F.length("seq")).alias("bases")).withColumn("gc", F.round((F.col("n_g") + F.col("n_c")) / (F.col("bases") - F.col("n_n")), 6))
 
 
-@query("revcomp", short=f"WITH {S.PREFIXES} SELECT contig, {S.revcomp('seq')} AS rc FROM prefixes")
+@query("revcomp", sql=f"WITH {S.WHOLE} SELECT contig, {S.revcomp('seq')} AS rc FROM whole")
 def revcomp(spark, d):
     return T.contigs(spark, d).select("contig", B.revcomp("seq").alias("rc"))
 
@@ -52,7 +52,7 @@ def fixed_slices(spark, d):
     return T.slices(T.contigs(spark, d), 300, 300)
 
 
-@query("canonical_kmer", short=f"WITH {S.PREFIXES} SELECT token, count(*) AS n FROM (SELECT least(k, {S.revcomp('k')}) AS token FROM (SELECT substr(seq, i + 1, 4) AS k FROM prefixes, LATERAL (SELECT unnest(range(0, length(seq) - 3)) AS i))) GROUP BY token")
+@query("canonical_kmer", sql=f"WITH {S.WHOLE} SELECT token, count(*) AS n FROM (SELECT least(k, {S.revcomp('k')}) AS token FROM (SELECT substr(seq, i + 1, 4) AS k FROM whole, LATERAL (SELECT unnest(range(0, length(seq) - 3)) AS i))) GROUP BY token")
 def canonical_kmer(spark, d):
     return K.kmer_counts(T.contigs(spark, d), 4).groupBy(B.canonical(F.col("token")).alias("token")).agg(F.sum("n").alias("n"))
 
@@ -61,20 +61,20 @@ def _kmers(name: str, k: int, stride: int) -> None:
     full = f"list_transform(range(0, greatest(0, length(seq) - {k} + 1), {stride}), lambda i: substr(seq, i + 1, {k}))"
     rest = f"list_transform(range(length(seq) - length(seq) % {k}, length(seq)), lambda i: substr(seq, i + 1, 1))" if stride == k else "[]"
 
-    @query(name, short=f"WITH {S.PREFIXES} SELECT contig, list_concat({full}, {rest}) AS tokens FROM prefixes")
+    @query(name, sql=f"WITH {S.WHOLE} SELECT contig, list_concat({full}, {rest}) AS tokens FROM whole")
     def run(spark, d):
         return K.kmer_tokens(T.contigs(spark, d), k, stride).select("contig", "tokens")
 
-    @query(f"{name}_counts", **{"sql" if 5**k < 500 else "part": f"WITH {S.CONTIGS} SELECT token, count(*) AS n FROM (SELECT unnest(list_concat({full}, {rest})) AS token FROM contigs) GROUP BY token ORDER BY n DESC, token LIMIT 500"})
+    @query(f"{name}_counts", f"WITH {S.CONTIGS} SELECT token, count(*) AS n FROM (SELECT unnest(list_concat({full}, {rest})) AS token FROM contigs) GROUP BY token")
     def counts(spark, d):
-        return K.kmer_counts(T.contigs(spark, d), k, stride).orderBy(F.desc("n"), "token")
+        return K.kmer_counts(T.contigs(spark, d), k, stride)
 
 
 for _name, _k, _stride in (("kmer3_overlap", 3, 1), ("kmer6_overlap", 6, 1), ("kmer6_disjoint", 6, 6), ("onemer", 1, 1)):
     _kmers(_name, _k, _stride)
 
 
-@query("kmer_general", short=f"WITH {S.PREFIXES} SELECT contig, list_transform(list_transform(range(0, greatest(0, length(seq) - 4), 2), lambda i: substr(seq, i + 1, 5)), lambda t: CASE WHEN contains(t, 'N') THEN '[UNK]' ELSE t END) AS tokens FROM prefixes")
+@query("kmer_general", sql=f"WITH {S.WHOLE} SELECT contig, list_transform(list_transform(range(0, greatest(0, length(seq) - 4), 2), lambda i: substr(seq, i + 1, 5)), lambda t: CASE WHEN contains(t, 'N') THEN '[UNK]' ELSE t END) AS tokens FROM whole")
 def kmer_general(spark, d):
     return K.kmer_tokens(T.contigs(spark, d), 5, 2, n_policy="unk").select("contig", "tokens")
 
@@ -147,40 +147,40 @@ def pwm_information(spark, d):
     return V.information(V.matrices(T.table(spark, d, "embeddings"))).select("motif_id", F.round("bits", 6).alias("bits"))
 
 
-@query("greedy_candidates", short=f"WITH {S.PREFIXES}, {S.MOTIFS} SELECT contig, i AS start, i + n AS \"end\" FROM (SELECT contig, i, n, substr(seq, i + 1, n) AS s FROM prefixes, LATERAL (SELECT unnest(range(0, length(seq))) AS i), (SELECT unnest(range(4, 13)) AS n) WHERE i + n <= length(seq)) h JOIN motifs m ON h.s = m.seq")
+@query("greedy_candidates", f"WITH {S.HITS} SELECT contig, start, \"end\" FROM iv")
 def greedy_candidates(spark, d):
     return G.scan_motifs(T.contigs(spark, d), words(spark, d))
 
 
 def _greedy(name: str, pick: str, seed: int = SEED, max_offset: int = 2) -> None:
-    @query(name, short=f"WITH RECURSIVE {S.greedy(pick, seed, max_offset)} SELECT contig, idx, pos, len, token, kind FROM scan")
+    @query(name, sql=f"WITH {S.greedy(pick, seed, max_offset)} SELECT contig, idx, pos, len, token, kind FROM scan")
     def run(spark, d):
-        return G.token_rows(G.greedy_tokenize(T.contigs(spark, d), words(spark, d), pick=pick, seed=seed, max_offset=max_offset))
+        return G.token_rows(G.greedy_tokenize(T.contigs(spark, d).drop("lang"), words(spark, d), pick=pick, seed=seed, max_offset=max_offset))
 
 
 for _name, _pick, _seed, _offset in (("greedy_random", "random", SEED, 2), ("greedy_longest", "longest", SEED, 2), ("greedy_shortest", "shortest", SEED, 2), ("greedy_offset0", "longest", SEED, 0), ("greedy_offset1", "random", SEED, 1), ("greedy_seed1", "random", 1, 2), ("greedy_seed2", "random", 2, 2), ("greedy_seed3", "random", 3, 2)):
     _greedy(_name, _pick, _seed, _offset)
 
 
-@query("greedy_emit", short=f"WITH RECURSIVE {S.greedy('random', SEED)}, e AS (SELECT contig, pos, len, token, kind FROM scan UNION ALL SELECT s.contig, p, 1, substr(x.seq, p + 1, 1), 'one' FROM scan s JOIN prefixes x ON s.contig = x.contig, LATERAL (SELECT unnest(range(s.entry, s.pos)) AS p)) SELECT contig, pos, len, token, kind FROM e")
+@query("greedy_emit", sql=f"WITH {S.greedy('random', SEED)}, e AS (SELECT contig, pos, len, token, kind FROM scan UNION ALL SELECT s.contig, p, 1, substr(x.seq, p + 1, 1), 'one' FROM scan s JOIN whole x ON s.contig = x.contig, LATERAL (SELECT unnest(range(s.entry, s.pos)) AS p)) SELECT contig, pos, len, token, kind FROM e")
 def greedy_emit(spark, d):
     return G.token_rows(G.greedy_tokenize(T.contigs(spark, d), words(spark, d), seed=SEED, skip="emit")).drop("idx")
 
 
-@query("greedy_chunked")
+@query("greedy_chunked", f"WITH {S.greedy('random', SEED)}, c AS (SELECT *, entry // 4096 AS chunk_no FROM scan), n AS (SELECT contig, chunk_no::INT AS chunk_no, min(idx)::BIGINT AS token_offset, list({{'pos': pos::INT, 'len': len::INT, 'token': token, 'kind': kind}} ORDER BY idx) AS tokens FROM c GROUP BY contig, chunk_no) SELECT contig, chunk_no, token_offset, tokens FROM n")
 def greedy_chunked(spark, d):
     chunks = T.chunks(T.contigs(spark, d), 4096)
-    return G.greedy_chunked(chunks, words(spark, d), size=4096, seed=SEED)
+    return G.greedy_chunked(chunks, words(spark, d), size=4096, seed=SEED).where(F.size("tokens") > 0)
 
 
-@query("detokenize", short=f"WITH RECURSIVE {S.greedy('longest', SEED)} SELECT contig, string_agg(token, '' ORDER BY idx) AS joined, sum(len)::BIGINT AS emitted FROM scan GROUP BY contig")
+@query("detokenize", sql=f"WITH {S.greedy('longest', SEED)} SELECT contig, string_agg(token, '' ORDER BY idx) AS joined, sum(len)::BIGINT AS emitted FROM scan GROUP BY contig")
 def detokenize(spark, d):
     t = G.greedy_tokenize(T.contigs(spark, d), words(spark, d), pick="longest", seed=SEED).where("n_bases > 0")
     joined = G.detokenize(F.col("tokens"))
     return t.select("contig", joined.alias("joined"), F.length(joined).cast("long").alias("emitted"))
 
 
-@query("tokens_to_ids", short=f"WITH RECURSIVE {S.greedy('random', SEED)}, {S.VOCAB.replace(S.MOTIFS + ', ', '')} SELECT contig, list(coalesce(v.token_id, u.token_id) ORDER BY idx) AS ids FROM scan s LEFT JOIN vocab v ON s.token = v.token, (SELECT token_id FROM vocab WHERE token = '[UNK]') u GROUP BY contig")
+@query("tokens_to_ids", sql=f"WITH {S.greedy('random', SEED)}, {S.VOCAB.replace(S.MOTIFS + ', ', '')} SELECT contig, list(coalesce(v.token_id, u.token_id) ORDER BY idx) AS ids FROM scan s LEFT JOIN vocab v ON s.token = v.token, (SELECT token_id FROM vocab WHERE token = '[UNK]') u GROUP BY contig")
 def tokens_to_ids(spark, d):
     from seqlex.operators.segments import to_ids
 
@@ -191,10 +191,9 @@ def tokens_to_ids(spark, d):
 def token_summary(spark: SparkSession, d: str) -> DataFrame:
     """The flagship: whole documents through the dictionary, by language."""
     t = G.greedy_tokenize(T.contigs(spark, d), words(spark, d), seed=SEED)
-    rows = t.join(T.table(spark, d, "documents").select(F.col("doc_id").alias("contig"), "lang"), "contig")
     emitted = F.aggregate("tokens", F.lit(0), lambda acc, x: acc + x["len"])
     motif = F.size(F.filter("tokens", lambda x: x["kind"] == "motif"))
-    return rows.groupBy("lang").agg(F.sum("n_bases").alias("bases"), F.sum(F.size("tokens")).alias("tokens"), F.sum(emitted).alias("emitted"), F.sum(motif).alias("motif_tokens"))
+    return t.groupBy("lang").agg(F.sum("n_bases").alias("bases"), F.sum(F.size("tokens")).alias("tokens"), F.sum(emitted).alias("emitted"), F.sum(motif).alias("motif_tokens"))
 
 
-query("token_summary")(token_summary)
+query("token_summary", f"WITH {S.greedy('random', SEED)}, b AS (SELECT lang, sum(length(seq))::BIGINT AS bases FROM whole GROUP BY lang) SELECT w.lang, any_value(bases) AS bases, count(*) AS tokens, sum(len)::BIGINT AS emitted, count(*) FILTER (kind = 'motif') AS motif_tokens FROM scan s JOIN whole w ON s.contig = w.contig JOIN b ON b.lang = w.lang GROUP BY w.lang")(token_summary)

@@ -14,6 +14,7 @@ def revcomp(seq: str) -> str:
 
 
 CONTIGS = f"contigs AS (SELECT doc_id AS contig, {to_bases('text')} AS seq, lang FROM documents)"
+WHOLE = f"{CONTIGS}, whole AS (SELECT contig, seq, lang FROM contigs)"
 PREFIXES = f"{CONTIGS}, prefixes AS (SELECT contig, substr(seq, 1, 300) AS seq, lang FROM contigs)"
 
 MATRICES = """matrices AS (SELECT motif_id, width, family, list_transform(w, lambda r: list_transform(r, lambda x: CASE WHEN r[1] + r[2] + r[3] + r[4] > 0 THEN x / (r[1] + r[2] + r[3] + r[4]) ELSE 0.25 END)) AS rows FROM
@@ -31,18 +32,30 @@ VOCAB = f"""{MOTIFS}, vocab AS (SELECT (row_number() OVER (ORDER BY rank, token)
  SELECT unnest(['[PAD]', '[UNK]', '[CLS]', '[SEP]', '[MASK]']) AS token, 0 AS rank UNION ALL SELECT unnest(['A', 'C', 'G', 'T', 'N']), 1 UNION ALL SELECT x.b || y.b || z.b, 2 FROM (SELECT unnest(['A', 'C', 'G', 'T']) AS b) x, (SELECT unnest(['A', 'C', 'G', 'T']) AS b) y, (SELECT unnest(['A', 'C', 'G', 'T']) AS b) z UNION ALL SELECT seq, 3 FROM motifs) GROUP BY token))"""
 
 
-def greedy(pick: str = "random", seed: int = 7, max_offset: int = 2) -> str:
-    """CTEs that end in `scan` (contig, pos, len, kind, prev): the walk over 300-base prefixes."""
-    index = {"random": f"1 + (('0x' || substr(md5('{seed}|' || contig || '|' || i), 1, 8))::BIGINT % len(lens))", "longest": "len(lens)", "shortest": "1"}[pick]
-    others = " ".join(
-        f", lead(len, {o}) OVER w AS len{o}" for o in range(1, max_offset + 1)
-    )
+HITS = f"""{WHOLE}, {MOTIFS}, iv AS MATERIALIZED (SELECT contig, i AS start, i + n AS "end" FROM (SELECT contig, i, n, size, s[1 : n] AS s FROM (SELECT contig, length(seq) AS size, i, seq[i + 1 : i + 12] AS s FROM (SELECT contig, seq, unnest(range(0, length(seq))) AS i FROM whole)), (SELECT unnest(range(4, 13)) AS n)) h JOIN motifs m ON h.s = m.seq WHERE i + n <= size)"""
+#: Doublings of a walk's steps: more than 65,536 steps of a contig are not followed.
+DOUBLINGS = 17
+
+
+def greedy(pick: str = "random", seed: int = 7, max_offset: int = 2, tag: str = "", base: str | None = None) -> str:
+    """CTEs that end in `scan` (contig, entry, pos, len, token, kind, idx): the walk over whole contigs. The places that it visits are found by doubling: those within 2**k steps, and
+    the jump of 2**k steps from each place, give those within 2**(k + 1). Names end in tag; base replaces the CTEs of contigs and motifs."""
+    index = {"random": f"1 + (('0x' || substr(md5('{seed}|' || p.contig || '|' || p.i), 1, 8))::BIGINT % len(lens))", "longest": "len(lens)", "shortest": "1"}[pick]
+    others = " ".join(f", lead(len, {o}) OVER w AS len{o}" for o in range(1, max_offset + 1))
     best = "greatest(len" + "".join(f", coalesce(len{o}, 0)" for o in range(1, max_offset + 1)) + ")" if max_offset else "len"
     offset = "CASE " + " ".join(f"WHEN {'len' if o == 0 else f'len{o}'} = {best} THEN {o}" for o in range(max_offset + 1)) + " END"
-    return f"""{PREFIXES}, {MOTIFS}, places AS (SELECT contig, seq, unnest(range(0, length(seq))) AS i FROM prefixes),
-hits AS (SELECT contig, i, list(n ORDER BY n) AS lens FROM (SELECT contig, i, n, substr(seq, i + 1, n) AS s, length(seq) AS size FROM places, (SELECT unnest(range(4, 13)) AS n)) h JOIN motifs m ON h.s = m.seq WHERE i + n <= size GROUP BY contig, i),
-offer AS (SELECT p.contig, p.i, p.seq, CASE WHEN lens IS NOT NULL THEN lens[{index.replace("contig", "p.contig").replace("|| i)", "|| p.i)")}] WHEN p.i + 3 <= length(p.seq) AND NOT contains(substr(p.seq, p.i + 1, 3), 'N') THEN 3 ELSE 1 END AS len, CASE WHEN lens IS NOT NULL THEN 'motif' WHEN p.i + 3 <= length(p.seq) AND NOT contains(substr(p.seq, p.i + 1, 3), 'N') THEN 'three' ELSE 'one' END AS kind FROM places p LEFT JOIN hits h ON p.contig = h.contig AND p.i = h.i),
-near AS (SELECT *{others} FROM offer WINDOW w AS (PARTITION BY contig ORDER BY i)),
-jump AS (SELECT contig, i, i + {offset} AS pos, i + {offset} + {best} AS next FROM near),
-walk AS (SELECT contig, 0::BIGINT AS i FROM prefixes WHERE length(seq) > 0 UNION ALL SELECT w.contig, j.next FROM walk w JOIN jump j ON w.contig = j.contig AND w.i = j.i JOIN prefixes p ON p.contig = w.contig WHERE j.next < length(p.seq)),
-scan AS (SELECT w.contig, w.i AS entry, j.pos, o.len, substr(o.seq, j.pos + 1, o.len) AS token, o.kind, row_number() OVER (PARTITION BY w.contig ORDER BY w.i) - 1 AS idx FROM walk w JOIN jump j ON w.contig = j.contig AND w.i = j.i JOIN offer o ON o.contig = w.contig AND o.i = j.pos)"""
+    parts = [f"{WHOLE}, {MOTIFS}" if base is None else base] if base != "" else []
+    parts.append(f"places{tag} AS (SELECT contig, length(seq) AS size, i, seq[i + 1 : i + 12] AS s FROM (SELECT contig, seq, unnest(range(0, length(seq))) AS i FROM whole))")
+    parts.append(f"hits{tag} AS (SELECT contig, i, list(n ORDER BY n) AS lens FROM (SELECT contig, i, n, s[1 : n] AS s, size FROM places{tag}, (SELECT unnest(range(4, 13)) AS n)) h JOIN motifs m ON h.s = m.seq WHERE i + n <= size GROUP BY contig, i)")
+    three = "p.i + 3 <= p.size AND NOT contains(p.s[1 : 3], 'N')"
+    parts.append(f"offer{tag} AS MATERIALIZED (SELECT p.contig, p.i, p.size, p.s, CASE WHEN lens IS NOT NULL THEN lens[{index}] WHEN {three} THEN 3 ELSE 1 END AS len, CASE WHEN lens IS NOT NULL THEN 'motif' WHEN {three} THEN 'three' ELSE 'one' END AS kind FROM places{tag} p LEFT JOIN hits{tag} h ON p.contig = h.contig AND p.i = h.i)")
+    parts.append(f"near{tag} AS (SELECT *{others} FROM offer{tag} WINDOW w AS (PARTITION BY contig ORDER BY i))")
+    parts.append(f"jump{tag} AS MATERIALIZED (SELECT contig, size, i, i + {offset} AS pos, i + {offset} + {best} AS next FROM near{tag})")
+    parts.append(f"step{tag}_0 AS MATERIALIZED (SELECT contig, i, next AS j FROM jump{tag} WHERE next < size)")
+    parts.append(f"walk{tag}_0 AS (SELECT contig, 0::BIGINT AS i FROM whole WHERE length(seq) > 0)")
+    for k in range(DOUBLINGS):
+        parts.append(f"walk{tag}_{k + 1} AS MATERIALIZED (SELECT contig, i FROM walk{tag}_{k} UNION ALL SELECT w.contig, s.j FROM walk{tag}_{k} w JOIN step{tag}_{k} s ON w.contig = s.contig AND w.i = s.i)")
+        if k < DOUBLINGS - 1:
+            parts.append(f"step{tag}_{k + 1} AS MATERIALIZED (SELECT a.contig, a.i, b.j FROM step{tag}_{k} a JOIN step{tag}_{k} b ON a.contig = b.contig AND a.j = b.i)")
+    parts.append(f"scan{tag} AS MATERIALIZED (SELECT w.contig, w.i AS entry, j.pos, o.len, o.s[1 : o.len] AS token, o.kind, row_number() OVER (PARTITION BY w.contig ORDER BY w.i) - 1 AS idx FROM walk{tag}_{DOUBLINGS} w JOIN jump{tag} j ON w.contig = j.contig AND w.i = j.i JOIN offer{tag} o ON o.contig = w.contig AND o.i = j.pos)")
+    return ", ".join(parts)

@@ -32,14 +32,14 @@ def segments_n_filter(spark, d):
     return P.drop_n_segments(segments(spark, d)).agg(F.count(F.lit(1)).alias("kept"))
 
 
-@query("segments_chunked")
+@query("segments_chunked", f"WITH {S.greedy('random', 7)} SELECT contig, idx // 512 AS seg_no, count(*) AS n_tokens, sum(len)::BIGINT AS bases FROM scan GROUP BY ALL")
 def segments_chunked(spark, d):
     """Segments of the chunk-parallel scan: the running index comes from chunk counts."""
     t = G.greedy_chunked(T.chunks(T.contigs(spark, d), 4096), words(spark, d), size=4096)
     return P.pack_chunks(t).groupBy("contig", "seg_no").agg(F.count(F.lit(1)).alias("n_tokens"), F.sum("len").alias("bases"))
 
 
-@query("mlm_mask", part=f"WITH {SEG}, r AS (SELECT contig, seg_no, (i - 1)::INT AS slot, tokens[i] AS token FROM seg, LATERAL (SELECT unnest(range(1, len(tokens) + 1)) AS i) WHERE seg_no = 0) SELECT contig, count(*) AS n, count(*) FILTER (('0x' || substr(md5('1|' || contig || '|' || seg_no || '|' || slot), 1, 8))::BIGINT < 644245094) AS selected FROM r GROUP BY contig")
+@query("mlm_mask", sql=f"WITH {SEG}, r AS (SELECT contig, seg_no, (i - 1)::INT AS slot, tokens[i] AS token FROM seg, LATERAL (SELECT unnest(range(1, len(tokens) + 1)) AS i)) SELECT contig, count(*) AS n, count(*) FILTER (('0x' || substr(md5('1|' || contig || '|' || seg_no || '|' || slot), 1, 8))::BIGINT < 644245094) AS selected FROM r GROUP BY contig")
 def mlm_mask(spark, d):
     m = P.mask_segments(segments(spark, d))
     return m.groupBy("contig").agg(F.count(F.lit(1)).alias("n"), F.count_if("selected").alias("selected"))
@@ -58,14 +58,14 @@ def batch_pack(spark, d):
     return P.make_batches(segments(spark, d))
 
 
-@query("max_input_length", short=f"WITH {S.PREFIXES} SELECT lang, max(greatest(0, length(seq) - 2)) AS overlap3, max(length(seq) // 6 + length(seq) % 6) AS disjoint6 FROM prefixes GROUP BY lang")
+@query("max_input_length", sql=f"WITH {S.WHOLE} SELECT lang, max(greatest(0, length(seq) - 2)) AS overlap3, max(length(seq) // 6 + length(seq) % 6) AS disjoint6 FROM whole GROUP BY lang")
 def max_input_length(spark, d):
     three = K.kmer_tokens(T.contigs(spark, d), 3).select("lang", "seq", F.size("tokens").cast("long").alias("a"))
     p = K.kmer_tokens(three, 6, 6).select("lang", "a", F.size("tokens").cast("long").alias("b"))
     return p.groupBy("lang").agg(F.max("a").alias("overlap3"), F.max("b").alias("disjoint6"))
 
 
-@query("truncate_pad", short=f"WITH {S.PREFIXES}, t AS (SELECT contig, list_transform(range(0, length(seq)), lambda i: instr('ACGTN', substr(seq, i + 1, 1))) AS ids FROM prefixes) SELECT contig, list_concat(ids[1:128], list_transform(range(0, greatest(0, 128 - len(ids))), lambda x: 0)) AS ids, list_concat(list_transform(ids[1:128], lambda x: 1), list_transform(range(0, greatest(0, 128 - len(ids))), lambda x: 0)) AS mask FROM t")
+@query("truncate_pad", sql=f"WITH {S.WHOLE}, t AS (SELECT contig, list_transform(range(0, length(seq)), lambda i: instr('ACGTN', substr(seq, i + 1, 1))) AS ids FROM whole) SELECT contig, list_concat(ids[1:128], list_transform(range(0, greatest(0, 128 - len(ids))), lambda x: 0)) AS ids, list_concat(list_transform(ids[1:128], lambda x: 1), list_transform(range(0, greatest(0, 128 - len(ids))), lambda x: 0)) AS mask FROM t")
 def truncate_pad(spark, d):
     ids = F.transform("tokens", lambda t: F.instr(F.lit("ACGTN"), t))
     t = K.kmer_tokens(T.contigs(spark, d), 1).select("contig", ids.alias("ids"))

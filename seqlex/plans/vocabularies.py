@@ -48,7 +48,7 @@ def as_frame(spark: SparkSession, merges: list[tuple[str, str, int]]) -> DataFra
 
 @query("bpe_pair_counts", f"WITH {bpe_sql(UNITS, 1)} SELECT l AS \"left\", r AS \"right\", n FROM c0")
 def bpe_pair_counts(spark, d):
-    return P.pair_counts(P.spelled(unit_rows(spark, d)))
+    return P.base_pair_counts(unit_rows(spark, d))
 
 
 @query("bpe_train_small", f"WITH {bpe_sql(UNITS, 6)} {_list(6)}")
@@ -72,7 +72,7 @@ def bpe_min_frequency(spark, d):
     return as_frame(spark, P.train_bpe(unit_rows(spark, d), 16, min_freq=60000)).where("n >= 60000")
 
 
-@query("bpe_apply", short=f"WITH {bpe_sql(UNITS, 6)}, {S.PREFIXES}, a0 AS (SELECT contig, regexp_replace(seq, '(.)', '<\\1>', 'g') AS t FROM prefixes)" + "".join(f", a{r + 1} AS (SELECT contig, replace(t, '<' || m.l || '><' || m.r || '>', '<' || m.l || m.r || '>') AS t FROM a{r}, m{r} m)" for r in range(6)) + " SELECT contig, string_split(regexp_replace(t, '^<|>$', '', 'g'), '><') AS tokens FROM a6")
+@query("bpe_apply", f"WITH {bpe_sql(UNITS, 6)}, {S.WHOLE}, a0 AS (SELECT contig, regexp_replace(seq, '(.)', '<\\1>', 'g') AS t FROM whole WHERE length(seq) > 0)" + "".join(f", a{r + 1} AS (SELECT contig, replace(t, '<' || m.l || '><' || m.r || '>', '<' || m.l || m.r || '>') AS t FROM a{r}, m{r} m)" for r in range(6)) + " SELECT contig, string_split(regexp_replace(t, '^<|>$', '', 'g'), '><') AS tokens FROM a6")
 def bpe_apply(spark, d):
     merges = P.train_bpe(unit_rows(spark, d), 16)
     return P.apply_bpe(T.contigs(spark, d).where(F.length("seq") > 0), merges)
@@ -89,7 +89,7 @@ def corpora(spark, d) -> dict[str, DataFrame]:
     """Units of the four training corpora: whole documents, merged motif regions, elements, and foreign text (pages)."""
     contigs = T.contigs(spark, d)
     as_units = lambda df: df.where(F.length("seq") > 0).groupBy(F.col("seq").alias("unit")).agg(F.count(F.lit(1)).alias("n"))
-    motif = R.extract(R.merge(G.scan_motifs(contigs, words(spark, d))), contigs)
+    motif = R.extract(R.merge_binned(G.scan_motifs(contigs, words(spark, d))), contigs)
     return {"whole": unit_rows(spark, d), "motif": as_units(motif), "element": as_units(R.extract(elements(spark, d), contigs)), "foreign": P.units(T.table(spark, d, "pages"), "html")}
 
 
@@ -119,32 +119,34 @@ for _corpus in ("whole", "motif", "element", "foreign"):
 
 
 # Vocabularies that SQL can rebuild: k-mers that occur, and the dictionary.
-SETS = f"""{S.PREFIXES}, {S.MOTIFS}, v AS (SELECT DISTINCT 'k' || k AS vocab, substr(seq, i + 1, k) AS token FROM prefixes, (SELECT unnest([3, 4, 5]) AS k), LATERAL (SELECT unnest(range(0, length(seq) - k + 1)) AS i) UNION SELECT 'motif', seq FROM motifs UNION SELECT lang, substr(seq, i + 1, 6) FROM prefixes, LATERAL (SELECT unnest(range(0, length(seq) - 5)) AS i))"""
+SETS = f"""{S.WHOLE}, {S.MOTIFS}, six AS (SELECT lang, s, count(*) AS n FROM (SELECT lang, seq[i + 1 : i + 6] AS s FROM (SELECT lang, seq, unnest(range(0, length(seq))) AS i FROM whole)) GROUP BY ALL),
+v AS MATERIALIZED (SELECT DISTINCT 'k' || k AS vocab, s[1 : k] AS token FROM six, (SELECT unnest([3, 4, 5]) AS k) WHERE length(s) >= k UNION ALL SELECT 'motif', seq FROM motifs UNION ALL SELECT lang, s FROM six WHERE length(s) = 6)"""
 
 
 def sets(spark, d) -> DataFrame:
     p = T.contigs(spark, d)
-    parts = [K.kmer_tokens(p, k).select(F.lit(f"k{k}").alias("vocab"), F.explode("tokens").alias("token")) for k in (3, 4, 5)]
-    parts += [motif_strings(spark, d).select(F.lit("motif").alias("vocab"), F.col("seq").alias("token")), K.kmer_tokens(p, 6).select(F.col("lang").alias("vocab"), F.explode("tokens").alias("token"))]
-    return reduce(DataFrame.unionByName, parts).distinct()
+    parts = [K.kmer_counts(p, k).select(F.lit(f"k{k}").alias("vocab"), "token") for k in (3, 4, 5)]
+    parts += [motif_strings(spark, d).select(F.lit("motif").alias("vocab"), F.col("seq").alias("token")), K.kmer_counts(p, 6, by="lang").select(F.col("lang").alias("vocab"), "token")]
+    return reduce(DataFrame.unionByName, parts)
 
 
 def jaccard_matrix(v: DataFrame) -> DataFrame:
-    """(a, b, shared, total, jaccard): an equi join on the token; sizes by inclusion and exclusion."""
-    n = v.groupBy("vocab").agg(F.count(F.lit(1)).alias("n"))
-    met = v.alias("x").join(v.alias("y"), "token").groupBy(F.col("x.vocab").alias("a"), F.col("y.vocab").alias("b")).agg(F.count(F.lit(1)).alias("shared"))
+    """(a, b, shared, total, jaccard): the vocabularies of each token once, pairs of them counted by the set; sizes by inclusion and exclusion."""
+    cells = v.groupBy("token").agg(F.array_sort(F.collect_set("vocab")).alias("in")).groupBy("in").agg(F.count(F.lit(1)).alias("m"))
+    n = cells.select(F.explode("in").alias("vocab"), "m").groupBy("vocab").agg(F.sum("m").alias("n"))
+    met = cells.select("in", "m", F.explode("in").alias("a")).select("a", "m", F.explode("in").alias("b")).where("a < b").groupBy("a", "b").agg(F.sum("m").alias("shared"))
     sized = n.select(F.col("vocab").alias("a"), F.col("n").alias("na")).join(n.select(F.col("vocab").alias("b"), F.col("n").alias("nb")), F.col("a") < F.col("b"))
     out = sized.join(met, ["a", "b"], "left").select("a", "b", F.coalesce("shared", F.lit(0)).alias("shared"), "na", "nb")
     total = F.col("na") + F.col("nb") - F.col("shared")
     return out.select("a", "b", "shared", total.alias("total"), F.round(F.col("shared") / total, 6).alias("jaccard"))
 
 
-@query("vocab_jaccard", short=f"WITH {SETS}, n AS (SELECT vocab, count(*) AS n FROM v GROUP BY 1), b AS (SELECT x.vocab AS a, y.vocab AS b, count(*) AS shared FROM v x JOIN v y USING (token) GROUP BY 1, 2) SELECT p.vocab AS a, q.vocab AS b, coalesce(shared, 0) AS shared, p.n + q.n - coalesce(shared, 0) AS total, round(coalesce(shared, 0) / (p.n + q.n - coalesce(shared, 0)), 6) AS jaccard FROM n p JOIN n q ON p.vocab < q.vocab LEFT JOIN b ON b.a = p.vocab AND b.b = q.vocab")
+@query("vocab_jaccard", sql=f"WITH {SETS}, n AS (SELECT vocab, count(*) AS n FROM v GROUP BY 1), b AS (SELECT x.vocab AS a, y.vocab AS b, count(*) AS shared FROM v x JOIN v y USING (token) GROUP BY 1, 2) SELECT p.vocab AS a, q.vocab AS b, coalesce(shared, 0) AS shared, p.n + q.n - coalesce(shared, 0) AS total, round(coalesce(shared, 0) / (p.n + q.n - coalesce(shared, 0)), 6) AS jaccard FROM n p JOIN n q ON p.vocab < q.vocab LEFT JOIN b ON b.a = p.vocab AND b.b = q.vocab")
 def vocab_jaccard(spark, d):
     return jaccard_matrix(sets(spark, d))
 
 
-@query("vocab_venn", short=f"WITH {SETS} SELECT cell, count(*) AS n FROM (SELECT token, string_agg(vocab, '+' ORDER BY vocab) AS cell FROM v GROUP BY token) GROUP BY cell")
+@query("vocab_venn", sql=f"WITH {SETS} SELECT cell, count(*) AS n FROM (SELECT token, string_agg(vocab, '+' ORDER BY vocab) AS cell FROM v GROUP BY token) GROUP BY cell")
 def vocab_venn(spark, d):
     return venn(sets(spark, d))
 
@@ -164,13 +166,13 @@ def vocab_nested(spark, d):
     return found.groupBy("size").agg(F.count(F.lit(1)).alias("tokens"), F.count_if(F.col("t").isNull()).alias("missing"))
 
 
-@query("vocab_novel", short=f"WITH {SETS} SELECT token FROM v WHERE vocab = 'de' EXCEPT SELECT token FROM v WHERE vocab = 'en'")
+@query("vocab_novel", sql=f"WITH {SETS} SELECT token FROM v WHERE vocab = 'de' EXCEPT SELECT token FROM v WHERE vocab = 'en'")
 def vocab_novel(spark, d):
     v = sets(spark, d)
     return v.where("vocab = 'de'").select("token").join(v.where("vocab = 'en'").select("token"), "token", "left_anti")
 
 
-@query("token_length_dist", short=f"WITH {SETS} SELECT vocab, length(token) AS len, count(*) AS n FROM v GROUP BY ALL")
+@query("token_length_dist", sql=f"WITH {SETS} SELECT vocab, length(token) AS len, count(*) AS n FROM v GROUP BY ALL")
 def token_length_dist(spark, d):
     return sets(spark, d).groupBy("vocab", F.length("token").cast("long").alias("len")).agg(F.count(F.lit(1)).alias("n"))
 
@@ -188,12 +190,12 @@ def usage(spark, d) -> DataFrame:
     return motif_vocab(spark, d).select("token", "kind").join(used, "token", "left").select("token", "kind", F.coalesce("n", F.lit(0)).alias("n"))
 
 
-@query("token_freq_dist", short=f"WITH RECURSIVE {SCAN} SELECT token, kind, n FROM usage")
+@query("token_freq_dist", sql=f"WITH {SCAN} SELECT token, kind, n FROM usage")
 def token_freq_dist(spark, d):
     return usage(spark, d)
 
 
-@query("low_freq_share", short=f"WITH RECURSIVE {SCAN} SELECT kind, round(avg(CASE WHEN n < 10 THEN 1 ELSE 0 END), 6) AS share FROM usage GROUP BY kind")
+@query("low_freq_share", sql=f"WITH {SCAN} SELECT kind, round(avg(CASE WHEN n < 10 THEN 1 ELSE 0 END), 6) AS share FROM usage GROUP BY kind")
 def low_freq_share(spark, d):
     return usage(spark, d).groupBy("kind").agg(F.round(F.avg(F.when(F.col("n") < 10, 1).otherwise(0)), 6).alias("share"))
 
@@ -206,7 +208,7 @@ def token_entropy(spark, d):
     return motif_strings(spark, d).select("seq", F.round(B.token_entropy(F.col("seq")), 6).alias("bits"))
 
 
-@query("usage_entropy", short=f"WITH RECURSIVE {SCAN} SELECT round(-sum(p * log2(p)), 6) AS bits FROM (SELECT n / (SELECT sum(n) FROM usage) AS p FROM usage WHERE n > 0)")
+@query("usage_entropy", sql=f"WITH {SCAN} SELECT round(-sum(p * log2(p)), 6) AS bits FROM (SELECT n / (SELECT sum(n) FROM usage) AS p FROM usage WHERE n > 0)")
 def usage_entropy(spark, d):
     u = usage(spark, d).where("n > 0")
     total = u.agg(F.sum("n").alias("all"))
@@ -226,7 +228,7 @@ def rank_sum(df: DataFrame, group: str, value: str, a, b) -> DataFrame:
     return s.select("n1", "n2", "w1", "u", F.round((F.col("u") - F.col("n1") * F.col("n2") / 2) / sd, 6).alias("z"))
 
 
-@query("wilcoxon_rank_sum", short=f"""WITH {SETS}, e AS (SELECT vocab AS g, round({_e.replace('seq', 'token')}, 6) AS x FROM v WHERE vocab IN ('de', 'en')), r AS (SELECT *, count(*) OVER (PARTITION BY x) AS ties, rank() OVER (ORDER BY x) AS rk FROM e),
+@query("wilcoxon_rank_sum", sql=f"""WITH {SETS}, e AS (SELECT vocab AS g, round({_e.replace('seq', 'token')}, 6) AS x FROM v WHERE vocab IN ('de', 'en')), r AS (SELECT *, count(*) OVER (PARTITION BY x) AS ties, rank() OVER (ORDER BY x) AS rk FROM e),
 s AS (SELECT (count(*) FILTER (g = 'de'))::DOUBLE AS n1, (count(*) FILTER (g = 'en'))::DOUBLE AS n2, sum(CASE WHEN g = 'de' THEN rk + (ties - 1) / 2 ELSE 0 END)::DOUBLE AS w1, sum(ties::DOUBLE * ties - 1) AS t FROM r)
 SELECT n1, n2, w1, w1 - n1 * (n1 + 1) / 2 AS u, round((w1 - n1 * (n1 + 1) / 2 - n1 * n2 / 2) / sqrt(n1 * n2 / 12 * (n1 + n2 + 1 - t / ((n1 + n2) * (n1 + n2 - 1)))), 6) AS z FROM s""")
 def wilcoxon_rank_sum(spark, d):
@@ -248,7 +250,7 @@ def wilcoxon_signed_rank(spark, d):
     return signed_rank(x.select(F.round(F.col("a") - F.col("b"), 6).alias("x"), F.lit(0.0).alias("y")), "x", "y")
 
 
-@query("compression", short=f"WITH RECURSIVE {S.greedy('random', 7)} SELECT count(*) AS tokens, sum(len)::BIGINT AS emitted, (SELECT sum(length(seq)) FROM prefixes)::BIGINT AS bases, count(*) FILTER (kind = 'motif') AS motif_tokens, round((SELECT sum(length(seq)) FROM prefixes) / count(*), 6) AS bases_per_token FROM scan")
+@query("compression", sql=f"WITH {S.greedy('random', 7)} SELECT count(*) AS tokens, sum(len)::BIGINT AS emitted, (SELECT sum(length(seq)) FROM whole)::BIGINT AS bases, count(*) FILTER (kind = 'motif') AS motif_tokens, round((SELECT sum(length(seq)) FROM whole) / count(*), 6) AS bases_per_token FROM scan")
 def compression(spark, d):
     t = G.greedy_tokenize(T.contigs(spark, d), words(spark, d), seed=7)
     emitted = F.aggregate("tokens", F.lit(0), lambda acc, x: acc + x["len"])
@@ -256,7 +258,7 @@ def compression(spark, d):
     return s.withColumn("bases_per_token", F.round(F.col("bases") / F.col("tokens"), 6))
 
 
-@query("motif_integrity", short=f"""WITH RECURSIVE {S.greedy('random', 7)}, occ AS (SELECT contig, i AS s, i + n AS e FROM hits h, LATERAL (SELECT unnest(lens) AS n)) SELECT count(*) AS hits, count(*) FILTER (EXISTS (SELECT 1 FROM scan t WHERE t.contig = o.contig AND t.pos <= o.s AND t.pos + t.len >= o.e)) AS intact FROM occ o""")
+@query("motif_integrity", f"""WITH {S.greedy('random', 7)}, occ AS (SELECT contig, i AS s, i + n AS e FROM hits h, LATERAL (SELECT unnest(lens) AS n)), close AS (SELECT o.contig, o.s, o.e, s - unnest(range(0, 12)) AS pos FROM occ o), whole_ones AS (SELECT DISTINCT n.contig, n.s, n.e FROM close n JOIN scan t ON t.contig = n.contig AND t.pos = n.pos WHERE t.pos + t.len >= n.e) SELECT (SELECT count(*) FROM occ) AS hits, (SELECT count(*) FROM whole_ones) AS intact""")
 def motif_integrity(spark, d):
     """Motif occurrences that stand within one token; a token holds at most one bin border, so a range join by bins serves."""
     spans = scan_rows(spark, d).select("contig", F.col("pos").cast("long").alias("start"), (F.col("pos") + F.col("len")).cast("long").alias("end"))
@@ -265,7 +267,7 @@ def motif_integrity(spark, d):
     return all_.crossJoin(found.agg(F.coalesce(F.sum("whole"), F.lit(0)).alias("intact")))
 
 
-@query("seed_agreement", short="WITH RECURSIVE " + S.greedy("random", 1) + ", " + S.greedy("random", 2).replace(f"{S.PREFIXES}, {S.MOTIFS}, ", "").replace("places AS", "places2 AS").replace("hits", "hits2").replace("offer", "offer2").replace("near", "near2").replace("jump", "jump2").replace("walk", "walk2").replace("scan AS", "scan2 AS").replace("FROM places", "FROM places2") + " SELECT count(*) FILTER (a.pos IS NOT NULL AND b.pos IS NOT NULL) AS both, count(*) AS any FROM scan a FULL JOIN scan2 b ON a.contig = b.contig AND a.pos = b.pos")
+@query("seed_agreement", f"WITH {S.greedy('random', 1)}, {S.greedy('random', 2, tag='b', base='')} SELECT count(*) FILTER (a.pos IS NOT NULL AND b.pos IS NOT NULL) AS both, count(*) AS any FROM scan a FULL JOIN scanb b ON a.contig = b.contig AND a.pos = b.pos")
 def seed_agreement(spark, d):
     """Cut points shared by two seeds."""
     rows = [G.token_rows(G.greedy_tokenize(T.contigs(spark, d), words(spark, d), seed=s)).select("contig", "pos", F.lit(1).alias(f"s{s}")) for s in (1, 2)]
@@ -273,7 +275,7 @@ def seed_agreement(spark, d):
     return both.agg(F.count_if(F.col("s1").isNotNull() & F.col("s2").isNotNull()).alias("both"), F.count(F.lit(1)).alias("any"))
 
 
-@query("step_cost", short=f"WITH RECURSIVE {S.greedy('random', 7)} SELECT count(*) AS steps, 27 * count(*) AS probes, max(pos + len - entry) AS longest_jump, round((SELECT sum(length(seq)) FROM prefixes) / 8.3, 1) AS bound FROM scan")
+@query("step_cost", sql=f"WITH {S.greedy('random', 7)} SELECT count(*) AS steps, 27 * count(*) AS probes, max(pos + len - entry) AS longest_jump, round((SELECT sum(length(seq)) FROM whole) / 8.3, 1) AS bound FROM scan")
 def step_cost(spark, d):
     rows = scan_rows(spark, d).select("contig", "idx", (F.col("pos") + F.col("len")).cast("long").alias("exit"))
     entry = F.coalesce(F.lag("exit").over(Window.partitionBy("contig").orderBy("idx")), F.lit(0))
@@ -281,7 +283,7 @@ def step_cost(spark, d):
     return rows.select((F.col("exit") - entry).alias("jump")).agg(F.count(F.lit(1)).alias("steps"), (27 * F.count(F.lit(1))).alias("probes"), F.max("jump").alias("longest_jump")).crossJoin(total)
 
 
-@query("space_cost", short=f"WITH RECURSIVE {SCAN} SELECT (SELECT sum(len) FROM vocab WHERE kind = 'motif')::BIGINT AS dictionary_bases, (SELECT count(*) FROM vocab) AS tokens_known, (SELECT count(*) FROM scan) * 2 AS output_bytes")
+@query("space_cost", sql=f"WITH {SCAN} SELECT (SELECT sum(len) FROM vocab WHERE kind = 'motif')::BIGINT AS dictionary_bases, (SELECT count(*) FROM vocab) AS tokens_known, (SELECT count(*) FROM scan) * 2 AS output_bytes")
 def space_cost(spark, d):
     v = motif_vocab(spark, d).agg(F.sum(F.when(F.col("kind") == "motif", F.col("len"))).alias("dictionary_bases"), F.count(F.lit(1)).alias("tokens_known"))
     return v.crossJoin(scan_rows(spark, d).agg((F.count(F.lit(1)) * 2).alias("output_bytes")))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import tempfile
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -12,12 +14,30 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def settled(df: DataFrame) -> DataFrame:
+    """Lineage cut by a checkpoint in the folder that the session names. A temporary one serves only where it names none and all runs in one process (tests)."""
+    sc = df.sparkSession.sparkContext
+    if not sc.getCheckpointDir():
+        named = df.sparkSession.conf.get("spark.checkpoint.dir", None)
+        if not named and not (sc.master == "local" or sc.master.startswith("local[")):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="seqlex-"))
+    return df.checkpoint()
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """A scan dealt to as many tasks as there are cores where it gives fewer (a file of one row group is one task); larger scans are left alone."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
+
+
 def contigs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(contig, seq, lang): a document as a contig. Only three columns are read.
 
     The bases pass through a one-element explode: a projection alone would be inlined into the lambdas of later array functions and into
     filters pushed below them, and so be computed anew for each element."""
-    return table(spark, sf_dir, "documents").select(F.col("doc_id").alias("contig"), F.explode(F.array(to_bases("text"))).alias("seq"), "lang")
+    docs = spread(table(spark, sf_dir, "documents").select("doc_id", "text", "lang"))
+    return docs.select(F.col("doc_id").alias("contig"), F.explode(F.array(to_bases("text"))).alias("seq"), "lang")
 
 
 def prefixes(spark: SparkSession, sf_dir: str, length: int = 300) -> DataFrame:
