@@ -37,8 +37,8 @@ from .shingles import word_hashes
 DEPTH, CAPACITY, HEAD_WORDS = 5, 1 << 19, 1 << 18
 #: Bytes of context by which grams are dealt out, and grams of which subtrees are built at once (those of one such context stay together).
 SPLIT, BUILT = 2, 1 << 17
-#: Bytes that are handled at once, and distinct grams that a worker holds before it hands them on.
-SLICE, HELD = 2 << 20, 1 << 20
+#: Bytes that are handled at once, and grams that a worker holds before it counts them and hands them on.
+SLICE, HELD = 2 << 20, 6 << 20
 
 _lower = np.arange(256, dtype=np.uint8)
 _lower[65:91] += 32
@@ -78,21 +78,27 @@ def gram_counts(base: DataFrame) -> DataFrame:
     """(gram, n, m) over all texts; n counts those that are not held out, m all."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        keys, counts = np.zeros(0, np.uint64), np.zeros((0, 2), np.int64)
+        held: list[np.ndarray] = []
 
         def out() -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), *(pa.array(np.ascontiguousarray(c)) for c in counts.T)], ["gram", "n", "m"])
+            # A gram has 48 bits; whether it counts for training is the lowest bit of what is sorted.
+            flat = np.sort(np.concatenate([*held, np.zeros(0, np.uint64)]))
+            held.clear()
+            first = np.flatnonzero(np.concatenate([[True], flat[1:] != flat[:-1]])) if len(flat) else np.zeros(0, np.int64)
+            keys, times = flat[first], np.diff(np.append(first, len(flat)))
+            g = keys >> np.uint64(1)
+            cut = np.flatnonzero(np.concatenate([[True], g[1:] != g[:-1]])) if len(g) else np.zeros(0, np.int64)
+            n, m = (np.add.reduceat(x, cut) if len(cut) else np.zeros(0, np.int64) for x in (times * (keys & np.uint64(1)).astype(np.int64), times))
+            return pa.RecordBatch.from_arrays([pa.array(g[cut].view(np.int64)), pa.array(n), pa.array(m)], ["gram", "n", "m"])
 
         for batch in batches:
             offsets, data = utf8(batch["text"])
             train = ~np.asarray(batch["held_out"].to_numpy(zero_copy_only=False), bool)
             for a, b in slices(offsets, SLICE):
                 g, row = grams(offsets[a : b + 1], data)
-                new, n = _summed(g, np.stack([train[a:b][row], np.ones(len(g), bool)], 1).astype(np.int64))
-                keys, counts = _summed(np.concatenate([keys, new]), np.concatenate([counts, n]))
-                if len(keys) > HELD:
+                held.append(g << np.uint64(1) | train[a:b][row].astype(np.uint64))
+                if sum(map(len, held)) > HELD:
                     yield out()
-                    keys, counts = keys[:0], counts[:0]
         yield out()
 
     return base.select("text", "held_out").mapInArrow(run, "gram long, n long, m long").groupBy("gram").agg(F.sum("n").alias("n"), F.sum("m").alias("m"))
@@ -262,10 +268,52 @@ def fit(base: DataFrame) -> DataFrame:
     return spool(parts.where("bits is not null").select("gram", "m", "bits").mapInArrow(run, "gram long, m long, log double"), "predictions")
 
 
+class Lookup:
+    """Values by key in an open-addressed table a quarter full, for whole arrays of keys at once."""
+
+    EMPTY = np.uint64(2**64 - 1)
+
+    def __init__(self, keys: np.ndarray, values: np.ndarray) -> None:
+        bits = max(4, int(4 * len(keys)).bit_length())
+        self.shift, self.mask = np.uint64(64 - bits), np.int64((1 << bits) - 1)
+        self.keys, self.at = np.full(1 << bits, self.EMPTY, np.uint64), np.zeros(1 << bits, np.int32)
+        self.values = values
+        left, slot = np.flatnonzero(keys != self.EMPTY), self._slot(keys)
+        while len(left):
+            # Of the keys that want a free slot the first takes it; the others try the next one.
+            free = left[self.keys[slot[left]] == self.EMPTY]
+            _, first = np.unique(slot[free], return_index=True)
+            won = free[first]
+            self.keys[slot[won]], self.at[slot[won]] = keys[won], won
+            left = left[self.keys[slot[left]] != keys[left]]
+            slot[left] = slot[left] + 1 & self.mask
+
+    def _slot(self, keys: np.ndarray) -> np.ndarray:
+        return (keys * np.uint64(0x9E3779B97F4A7C15) >> self.shift).astype(np.int64)
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        """The place of each key among the values, or -1."""
+        slot = self._slot(keys)
+        got = self.keys[slot]
+        out = np.where(got == keys, self.at[slot], -1)
+        left = np.flatnonzero((got != keys) & (got != self.EMPTY))
+        while len(left):
+            slot[left] = slot[left] + 1 & self.mask
+            got = self.keys[slot[left]]
+            hit = got == keys[left]
+            out[left[hit]] = self.at[slot[left[hit]]]
+            left = left[~hit & (got != self.EMPTY)]
+        return np.where(keys == self.EMPTY, -1, out)
+
+
 def _rest(row: np.ndarray, key: np.ndarray, n: int) -> list[pa.Array]:
     """Different keys of each of n rows and how often they occur there, as two list columns."""
-    order = np.lexsort((key, row))
-    r, t = row[order], key[order]
+    if n <= 1 << 16 and len(key) and int(key.max()) < 1 << 48:
+        both = np.sort(row.astype(np.uint64) << np.uint64(48) | key)
+        r, t = (both >> np.uint64(48)).astype(np.int64), both & np.uint64((1 << 48) - 1)
+    else:
+        order = np.lexsort((key, row))
+        r, t = row[order], key[order]
     first = np.flatnonzero(np.concatenate([[True], (r[1:] != r[:-1]) | (t[1:] != t[:-1])])) if len(r) else np.zeros(0, np.int64)
     times = np.diff(np.append(first, len(r)))
     ends = np.searchsorted(r[first], np.arange(n + 1)).astype(np.int32)
@@ -310,24 +358,24 @@ def score(docs: DataFrame, *, fold: int = 5, held: int = 1) -> DataFrame:
     head_h, head_c, least = _often(vocabulary, "h", "c", HEAD_WORDS)
     predictions = fit(base)
     head_g, head_p, least_gram = _often(predictions, "gram", "log", CAPACITY)
-    model = sc.broadcast((head_g, head_p.astype(float), head_h, np.log10((head_c.astype(np.int64) + 0.5) / floor), head_c.astype(np.int64) > 0))
+    model = sc.broadcast((Lookup(head_g, head_p.astype(float)), Lookup(head_h, np.log10((head_c.astype(np.int64) + 0.5) / floor)), head_c.astype(np.int64) > 0))
     end_log = math.log10((ends + 0.5) / floor) if floor else 0.0
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, known_log, head_h, head_log, head_seen = model.value
+        known, head, head_seen = model.value
         for batch in batches:
             offsets, data = utf8(batch["text"])
             for a, b in slices(offsets, SLICE):
                 n = b - a
                 g, row = grams(offsets[a : b + 1], data)
-                at = np.minimum(np.searchsorted(known, g), max(0, len(known) - 1))
-                found = known[at] == g if len(known) else np.zeros(len(g), bool)
-                total_log = np.bincount(row[found], known_log[at[found]], n)
+                at = known.find(g)
+                found = at >= 0
+                total_log = np.bincount(row[found], known.values[at[found]], n)
                 more = _rest(row[~found], g[~found], n)
                 row, h, n_words = words(offsets[a : b + 1], data)
-                at = np.minimum(np.searchsorted(head_h, h), max(0, len(head_h) - 1))
-                found = head_h[at] == h if len(head_h) else np.zeros(len(h), bool)
-                head_sum = np.bincount(row[found], head_log[at[found]], n)
+                at = head.find(h)
+                found = at >= 0
+                head_sum = np.bincount(row[found], head.values[at[found]], n)
                 head_known = np.bincount(row[found], head_seen[at[found]], n).astype(np.int64)
                 # The other words, summed within the document.
                 rest = _rest(row[~found], h[~found], n)

@@ -635,6 +635,16 @@ def test_word_tail_takes_the_join(docs, none, monkeypatch):
     assert ctw.score(none).count() == 0
 
 
+def test_lookup_finds_its_keys():
+    rng = np.random.default_rng(1)
+    for n in (0, 1, 7, 5000):
+        keys = np.unique(rng.integers(0, 2**64, n, dtype=np.uint64))
+        table = ctw.Lookup(keys, keys.astype(float))
+        assert (table.find(keys) == np.arange(len(keys))).all()
+        other = np.setdiff1d(np.concatenate([rng.integers(0, 2**64, 3000, dtype=np.uint64), np.array([2**64 - 1], np.uint64)]), keys)
+        assert (table.find(other) == -1).all()
+
+
 def test_rare_grams_take_the_join(docs, monkeypatch):
     """The grams that the workers hold are a cache: no score depends on their number, nor on how many subtrees are built at once."""
     whole = {(str(r["doc_id"]), r["n_tokens"]): r["score"] for r in ctw.score(docs).collect()}
