@@ -14,8 +14,8 @@ no link into the ball; nodes outside the ball are compared with each other, and
 even when all of a bin could be shared: a bound from above, so no link between texts that share a bucket is lost. Two texts at similarity 0.8 share
 no bucket with probability 7e-4, at 0.85 1e-5.
 
-Groups are the connected components of the verified links, found by alternating star contractions on distributed tables. Where one bucket, node or component holds
-many rows, its rows meet a broadcast of at most `HOT` such keys and are not sent to one task.
+Groups are the connected components of the verified links, found by alternating star contractions on distributed tables. Where one bucket, text or component may hold
+many rows, both sides of the join are written tables or fresh shuffles and nothing after it needs its partitioning, so that adaptive execution splits it.
 
 Defined results: equal texts, the empty one included, are one group; a null text stands alone; a text of fewer than five words
 is one shingle. Repeated rows with one id are members of one group like any equal texts. Only `doc_id` and `text` are read.
@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import give_back, hot_keys, join_hot, mix, slices, split_by, spool, utf8
+from .common import give_back, mix, slices, split_by, spool, utf8
 from .shingles import multisets, overlap
 
 BANDS, ROWS, THRESHOLD = 24, 6, 0.8
@@ -185,8 +185,8 @@ def components(edges: DataFrame) -> DataFrame:
     now = spool(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct(), "edges")
     while True:
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = spool(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"), F.count(F.lit(1)).alias("n")), "low")
-        large = join_hot(both, low.drop("n"), ["u"], hot_keys(low, ["u"])).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
+        low = spool(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m")), "low")
+        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
         after = spool(small, "edges")
@@ -249,7 +249,7 @@ def _block_links(rows: pa.Table) -> pa.Table:
     return pa.table({n: pa.array([x[k] for x in out], t) for k, (n, t) in enumerate((("a", pa.int64()), ("b", pa.int64()), ("similarity", pa.float64())))})
 
 
-def remaining_links(members: DataFrame, centres: DataFrame, hot: DataFrame, stars: DataFrame, labels: DataFrame, texts: DataFrame, threshold: float) -> DataFrame:
+def remaining_links(members: DataFrame, centres: DataFrame, stars: DataFrame, labels: DataFrame, texts: DataFrame, threshold: float) -> DataFrame:
     """Verified links (a, b, similarity) between components of a bucket that its star did not settle: among the nodes outside the ball of the centre, and between them and the
     ball where one of them lies in the ring (2t-1 <= s < t) and in another component."""
     named = members.join(stars.withColumnsRenamed({"a": "node", "b": "centre"}), ["node", "centre"], "left")
@@ -257,14 +257,14 @@ def remaining_links(members: DataFrame, centres: DataFrame, hot: DataFrame, star
     found = labels.withColumnRenamed("label", "found")
     named = named.join(found, "node", "left").withColumn("label", F.coalesce("found", "node")).drop("found")
     outer = centres.join(labels.select(F.col("node").alias("centre"), F.col("label").alias("centre_label")), "centre", "left").select("bucket", F.coalesce("centre_label", "centre").alias("centre_label"))
-    named = spool(join_hot(named, outer, ["bucket"], hot), "named")
+    named = spool(named.join(outer, "bucket"), "named")
     inside = F.col("similarity") >= threshold
     ring = ~inside & (F.col("similarity") >= 2 * threshold - 1) & (F.col("label") != F.col("centre_label"))
     open_ = named.groupBy("bucket").agg(F.sum((~inside).cast("long")).alias("out"), F.max(ring.cast("int")).alias("ring"), F.count(F.lit(1)).alias("all"), F.sum(F.when(~inside, F.col("weight")).otherwise(0)).alias("out_weight"), F.sum("weight").alias("all_weight"))
     size = lambda c: F.when(F.col("ring") == 1, F.col(f"all{c}")).otherwise(F.col(f"out{c}"))
     open_ = open_.where("out > 0 and (out > 1 or ring = 1)").select("bucket", "ring", F.greatest(F.ceil(size("") / BLOCK), F.ceil(size("_weight") / BLOCK_SHINGLES)).cast("int").alias("blocks"))
-    rows = join_hot(named, open_, ["bucket"], hot).where(~inside | (F.col("ring") == 1)).select("bucket", "node", "label", inside.alias("inside"), "weight", "blocks", F.pmod(F.xxhash64("node", "bucket"), F.col("blocks")).cast("int").alias("block"))
-    rows = spool(rows, "open")
+    rows = named.join(spool(open_, "open"), "bucket").where(~inside | (F.col("ring") == 1)).select("bucket", "node", "label", inside.alias("inside"), "weight", "blocks", F.pmod(F.xxhash64("node", "bucket"), F.col("blocks")).cast("int").alias("block"))
+    rows = spool(rows, "rest")
     bins = spool(binned(texts.join(rows.select("node").distinct(), "node", "left_semi")), "bins")
     rows = rows.join(bins, "node")
     facing = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")
@@ -279,25 +279,24 @@ def classes(docs: DataFrame, *, bands: int = BANDS, rows: int = ROWS, threshold:
     signed = spool(base.where(F.col("text").isNotNull()).mapInArrow(_sign(bands, rows), "doc_id long, node long, weight long, keys array<long>"), "signed")
     nodes = spool(signed.where("weight > 0").select("node", "weight", "keys").dropDuplicates(["node"]), "nodes")
     spread = nodes.select("node", "weight", F.explode("keys").alias("bucket"))
-    centres = spool(spread.groupBy("bucket").agg(F.min("node").alias("centre"), F.count(F.lit(1)).alias("n")).where("n > 1"), "centres")
-    hot = hot_keys(centres, ["bucket"])
-    members = spool(join_hot(spread, centres.drop("n"), ["bucket"], hot), "members")
+    centres = spool(spread.groupBy("bucket").agg(F.min("node").alias("centre"), F.max("node").alias("last")).where("centre < last").drop("last"), "centres")
+    members = spool(spread.join(centres, "bucket"), "members")
     pairs = spool(members.where("node <> centre").select(F.col("node").alias("a"), F.col("centre").alias("b")).distinct(), "pairs")
     wanted = spool(members.select("node").distinct(), "wanted")
     likely, _ = split_by(base.where(F.col("text").isNotNull()), F.col("node"), wanted, "node")
     texts = spool(likely.join(wanted, "node", "left_semi").select("node", "text").dropDuplicates(["node"]), "texts")
     stars = spool(verify(pairs, texts), "stars")
     labels = components(stars.where(F.col("similarity") >= threshold))
-    more = spool(remaining_links(members, centres, hot, stars, labels, texts, threshold), "more")
+    more = spool(remaining_links(members, centres, stars, labels, texts, threshold), "more")
     if more.limit(1).count():
         # Components of components: the old stars and the new links.
         labels = components(labels.select(F.col("node").alias("a"), F.col("label").alias("b")).unionByName(more.select("a", "b")))
     # Rows are summed by text, texts by component; what a component comes to goes back the same way.
     by_text = signed.groupBy("node").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("n"))
     by_text = spool(by_text.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node")), "by_text")
-    heads = spool(by_text.groupBy("label").agg(F.min("first").alias("class_id"), F.sum("n").alias("class_size"), F.count(F.lit(1)).alias("texts")), "heads")
-    classes_ = join_hot(by_text.select("node", "label"), heads.drop("texts"), ["label"], hot_keys(heads, ["label"], "texts")).drop("label")
-    placed = join_hot(signed.select("doc_id", "node"), classes_, ["node"], hot_keys(by_text, ["node"])).select("doc_id", "class_id", "class_size")
+    heads = spool(by_text.groupBy("label").agg(F.min("first").alias("class_id"), F.sum("n").alias("class_size")), "heads")
+    by_class = spool(by_text.select("node", "label").join(heads, "label").drop("label"), "by_class")
+    placed = signed.select("doc_id", "node").join(by_class, "node").select("doc_id", "class_id", "class_size")
     alone = docs.where(F.col("text").isNull()).select(F.col("doc_id").cast("long"), F.col("doc_id").cast("long").alias("class_id"), F.lit(1).cast("long").alias("class_size"))
     return placed.unionByName(alone).withColumn("representative", F.col("doc_id").eqNullSafe(F.col("class_id")))
 

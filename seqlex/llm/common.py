@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 #: Bytes of text that a vectorised pass handles at a time; bounds the temporary arrays of a worker.
 SLICE_BYTES = 1 << 20
 #: Keys that a join takes out as the most frequent ones, and broadcasts, at most.
-HOT = 4096
+HOT = 1024
 #: Folders written by spool() and not yet discarded.
 spooled: list[str] = []
 

@@ -110,6 +110,9 @@ def train(rows: list[tuple[str, str]], *, dims: int = 8, epochs: int = 6, rate:
         p = softmax(z / model.temperature)
         right = p.max(1)[p.argmax(1) == y]
         model.threshold = float(min(0.5, np.quantile(right, reject))) if len(right) else 0.0
+    del features, held, fit
+    # The driver lives on; what training held goes back.
+    give_back()
     return model
 
 

@@ -742,7 +742,7 @@ def test_hot_keys_meet_by_broadcast(spark, monkeypatch):
     counts = left.groupBy("k").agg(F.count(F.lit(1)).alias("n"))
     for how in ("inner", "left"):
         want = sorted(map(str, left.join(right, "k", how).collect()))
-        for bound in (0, 1, 10, 4096):
+        for bound in (0, 1, 10, 1024):
             monkeypatch.setattr(common, "HOT", bound)
             hot = common.hot_keys(counts, ["k"])
             assert hot.count() <= bound
