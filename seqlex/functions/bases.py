@@ -42,6 +42,21 @@ def token_entropy(token: Column) -> Column:
     return total
 
 
+# Coefficients of a rational Chebyshev fit of the complementary error function (relative error under 1.2e-7), constant term first.
+ERFC_TERMS = (-1.26551223, 1.00002368, 0.37409196, 0.09678418, -0.18628806, 0.27886807, -1.13520398, 1.48851587, -0.82215223, 0.17087277)
+_t = "(1.0::DOUBLE / (1.0::DOUBLE + 0.5::DOUBLE * {x}))"
+ERFC = f"({_t} * exp(-{{x}} * {{x}} + " + " + ".join(f"({c}::DOUBLE) * pow({_t}, {k})" for k, c in enumerate(ERFC_TERMS)) + "))"
+
+
+def erfc(x: Column) -> Column:
+    """Complementary error function of x >= 0."""
+    t = 1.0 / (1.0 + 0.5 * x)
+    poly = F.lit(0.0)
+    for c in reversed(ERFC_TERMS):
+        poly = poly * t + c
+    return t * F.exp(-x * x + poly)
+
+
 def mcc(tp: Column, tn: Column, fp: Column, fn: Column) -> Column:
     """Matthews correlation in doubles; 0 where a margin is empty."""
     tp, tn, fp, fn = (c.cast("double") for c in (tp, tn, fp, fn))

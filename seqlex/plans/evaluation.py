@@ -6,14 +6,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from seqlex.functions import bases as B
 from seqlex.functions.bases import keyed_fold
+from seqlex.operators import greedy as G
 from seqlex.operators import kmer as K
 from seqlex.operators import models as M
+from seqlex.operators import pwm as V
 from seqlex.sources import tables as T
 
 from . import sql as S
 from .registry import query
-from .sequence import motif_vocab
+from .sequence import words
 
 FOLD = "('0x' || substr(md5('{}|' || {}), 1, 8))::BIGINT % 10"
 TOK = "list_concat(list_transform(range(0, greatest(0, length(seq) - 5), 6), lambda i: substr(seq, i + 1, 6)), list_transform(range(length(seq) - length(seq) % 6, length(seq)), lambda i: substr(seq, i + 1, 1)))"
@@ -46,7 +49,7 @@ def nb_sql(spark, d):
     return predictions(spark, d)
 
 
-@query("mcc_multiclass")
+@query("mcc_multiclass", f"WITH {NB}, q AS (SELECT f.y, yhat FROM p JOIN f USING (id)), t AS (SELECT y, count(*)::DOUBLE AS t FROM q GROUP BY y), h AS (SELECT yhat, count(*)::DOUBLE AS p FROM q GROUP BY yhat), m AS (SELECT sum(coalesce(t, 0) * coalesce(p, 0)) AS tp, sum(coalesce(t, 0) * coalesce(t, 0)) AS tt, sum(coalesce(p, 0) * coalesce(p, 0)) AS pp, sum(coalesce(t, 0)) AS s FROM t FULL JOIN h ON t.y = h.yhat), hit AS (SELECT (count(*) FILTER (y = yhat))::DOUBLE AS c FROM q) SELECT round(CASE WHEN (s * s - pp) * (s * s - tt) > 0 THEN (c * s - tp) / sqrt((s * s - pp) * (s * s - tt)) ELSE 0 END, 6) AS mcc FROM m, hit")
 def mcc_multiclass(spark, d):
     return M.mcc_multiclass(predictions(spark, d))
 
@@ -112,10 +115,12 @@ def token_profile(spark, d):
     return profiles(spark, d)[0]
 
 
-@query("length_breakdown", f"SELECT bucket, count(*) AS n, round(avg(n_chars), 6) AS mean_chars FROM (SELECT n_chars, CASE WHEN n_chars <= 100 THEN 'to_100' WHEN n_chars <= 500 THEN 'to_500' ELSE 'over_500' END AS bucket FROM documents) GROUP BY bucket")
+@query("length_breakdown", f"WITH {NB}, b AS (SELECT p.id, yhat, f.y, CASE WHEN length(x.seq) <= 100 THEN 'to_100' WHEN length(x.seq) <= 500 THEN 'to_500' ELSE 'over_500' END AS bucket FROM p JOIN f USING (id) JOIN contigs x ON x.contig = p.id) SELECT bucket, count(*) AS n, round(avg((y = yhat)::INT), 6) AS accuracy FROM b GROUP BY bucket")
 def length_breakdown(spark, d):
-    n = F.col("n_chars")
-    return T.table(spark, d, "documents").select("n_chars", F.when(n <= 100, "to_100").when(n <= 500, "to_500").otherwise("over_500").alias("bucket")).groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("n_chars"), 6).alias("mean_chars"))
+    """Accuracy of the language task by the length of the sequence."""
+    n = F.length("seq")
+    size = T.contigs(spark, d).select(F.col("contig").alias("id"), F.when(n <= 100, "to_100").when(n <= 500, "to_500").otherwise("over_500").alias("bucket"))
+    return predictions(spark, d).join(size, "id").groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg((F.col("y") == F.col("yhat")).cast("int")), 6).alias("accuracy"))
 
 
 def nearest_centroid(spark, d) -> DataFrame:
@@ -141,7 +146,93 @@ def zero_shot(spark, d):
     out = KMeans(k=4, seed=1).fit(x).transform(x)
     cells = out.groupBy("prediction", "lang").agg(F.count(F.lit(1)).alias("n"))
     purity = cells.groupBy("prediction").agg(F.max("n").alias("top"), F.sum("n").alias("all")).agg(F.round(F.sum("top") / F.sum("all"), 4).alias("purity"))
-    return purity.withColumn("silhouette", F.lit(round(ClusteringEvaluator().evaluate(out), 4)))
+    return purity.crossJoin(rand_index(cells, "prediction", "lang")).withColumn("silhouette", F.lit(round(ClusteringEvaluator().evaluate(out), 4)))
+
+
+def rand_index(cells: DataFrame, a: str, b: str) -> DataFrame:
+    """(ari): the adjusted Rand index of two partitions from the counts n of their cells."""
+    two = lambda c: F.col(c).cast("double") * (F.col(c) - 1) / 2
+    sums = [cells.groupBy(x).agg(F.sum("n").alias("m")).agg(F.sum(two("m")).alias(f"s{i}")) for i, x in enumerate((a, b))]
+    all_ = cells.agg(F.sum(two("n")).alias("both"), F.sum("n").alias("n")).withColumn("pairs", two("n"))
+    x = all_.crossJoin(sums[0]).crossJoin(sums[1])
+    expected, top = F.col("s0") * F.col("s1") / F.col("pairs"), (F.col("s0") + F.col("s1")) / 2
+    return x.select(F.round(F.when(top > expected, (F.col("both") - expected) / (top - expected)).otherwise(1.0), 4).alias("ari"))
+
+
+@query("proxy_classifier")
+def proxy_classifier(spark, d):
+    """(tokenizer, n, accuracy, mcc): logistic regression on normalised token counts with one feature budget for all tokenizers, tried on fold 0."""
+    from functools import reduce
+
+    from pyspark.ml.classification import LogisticRegression
+    from pyspark.ml.feature import HashingTF, Normalizer, StringIndexer
+
+    p = T.prefixes(spark, d).where(F.length("seq") >= 30)
+    cuts = {"kmer3": K.kmer_tokens(p, 3), "kmer6d": K.kmer_tokens(p, 6, 6), "motif_random": dictionary_tokens(spark, d, p)}
+    out = []
+    for name, rows in cuts.items():
+        rows = rows.withColumn("fold", keyed_fold("nb", F.col("contig")))
+        x = Normalizer(inputCol="c", outputCol="features", p=1.0).transform(HashingTF(inputCol="tokens", outputCol="c", numFeatures=4096).transform(rows))
+        x = StringIndexer(inputCol="lang", outputCol="label", stringOrderType="alphabetAsc", handleInvalid="skip").fit(x).transform(x)
+        said = LogisticRegression(maxIter=30, regParam=1e-4).fit(x.where("fold <> 0")).transform(x.where("fold = 0")).select(F.col("label").alias("y"), F.col("prediction").alias("yhat"))
+        score = said.agg(F.count(F.lit(1)).alias("n"), F.round(F.avg((F.col("y") == F.col("yhat")).cast("int")), 6).alias("accuracy"))
+        out.append(score.crossJoin(M.mcc_multiclass(said)).select(F.lit(name).alias("tokenizer"), "*"))
+    return reduce(DataFrame.unionByName, out)
+
+
+def dictionary_tokens(spark, d, rows: DataFrame) -> DataFrame:
+    """(contig, lang, tokens array<string>) by the random pick."""
+    t = G.greedy_tokenize(rows, words(spark, d), seed=7)
+    return t.select("contig", "lang", F.transform("tokens", lambda x: x["token"]).alias("tokens"))
+
+
+CLASSES = ("en", "de", "fr")
+
+
+def class_attributions(spark, d) -> DataFrame:
+    """(y, token, kind, mean_score, n): mean attribution of dictionary tokens toward each of three classes, over the test sequences of that class, from a margin of the class against the
+    other two."""
+    from functools import reduce
+
+    three = T.prefixes(spark, d).where(F.col("lang").isin(*CLASSES))
+    t = dictionary_tokens(spark, d, three).withColumn("fold", keyed_fold("nb", F.col("contig")))
+    counts, out = M.profile(t.select(F.col("contig").alias("id"), F.explode("tokens").alias("token"))), []
+    for c in CLASSES:
+        rows = t.select(F.col("contig").alias("id"), F.when(F.col("lang") == c, "yes").otherwise("no").alias("y"), "fold")
+        w, prior = M.nb_train(counts, rows.where("fold <> 0").select("id", "y"))
+        own = rows.where("fold = 0 and y = 'yes'").select("id")
+        a = M.attribution(counts.join(own, "id", "left_semi"), w, prior, "yes", "no")
+        out.append(a.groupBy("token").agg(F.round(F.avg("score"), 6).alias("mean_score"), F.count(F.lit(1)).alias("n")).select(F.lit(c).alias("y"), "token", "mean_score", "n"))
+    kind = F.when(F.length("token") > 3, "motif").when(F.length("token") == 3, "three").otherwise("one")
+    return reduce(DataFrame.unionByName, out).withColumn("kind", kind)
+
+
+@query("attribution_by_kind")
+def attribution_by_kind(spark, d):
+    """Motif tokens against 3-mers and single bases: mean, median and upper decile of the mean attributions of each class."""
+    q = lambda p: F.round(F.percentile("mean_score", F.lit(p)), 6)
+    return class_attributions(spark, d).groupBy("y", "kind").agg(F.count(F.lit(1)).alias("tokens"), F.round(F.avg("mean_score"), 6).alias("mean"), q(0.5).alias("median"), q(0.9).alias("p90"))
+
+
+def top_motifs(spark, d, n: int = 200) -> DataFrame:
+    nth = F.row_number().over(Window.partitionBy("y").orderBy(F.desc("mean_score"), "token"))
+    return class_attributions(spark, d).where("kind = 'motif'").withColumn("nth", nth).where(F.col("nth") <= n)
+
+
+@query("top_overlap_venn")
+def top_overlap_venn(spark, d):
+    """(cell, n): motif tokens among the 200 highest of one class only, of two, or of all three."""
+    cells = top_motifs(spark, d).groupBy("token").agg(F.array_join(F.array_sort(F.collect_set("y")), "+").alias("cell"))
+    return cells.groupBy("cell").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("token_to_family")
+def token_to_family(spark, d):
+    """(family, en, de, fr): mean attribution of the 200 highest motif tokens of each class by the matrix family they come from; a token of several families counts in each."""
+    c = V.consensus(V.matrices(T.table(spark, d, "embeddings")))
+    both = c.select("family", F.col("seq").alias("token")).unionByName(c.select("family", B.revcomp("seq").alias("token"))).distinct()
+    met = top_motifs(spark, d).join(F.broadcast(both), "token")
+    return met.groupBy("family").pivot("y", list(CLASSES)).agg(F.round(F.avg("mean_score"), 6))
 
 
 def attributions(spark, d) -> DataFrame:

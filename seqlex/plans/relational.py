@@ -107,5 +107,27 @@ _plain = {
     "scalar_subquery": "SELECT o_orderkey FROM orders WHERE o_totalprice > (SELECT avg(o_totalprice) * 1.5 FROM orders)",
     "cte": "WITH big AS (SELECT o_custkey, sum(o_totalprice) AS t FROM orders GROUP BY o_custkey) SELECT c_name, round(t, 2) AS t FROM big JOIN customer ON o_custkey = c_custkey WHERE t > 500000",
 }
+_plain |= {
+    "filter_rlike": ("SELECT p_partkey FROM part WHERE regexp_matches(p_type, '^[A-M]')", "SELECT p_partkey FROM part WHERE p_type RLIKE '^[A-M]'"),
+    "join_cross": "SELECT r_name, n_name FROM region CROSS JOIN nation",
+    "join_theta": "SELECT a.n_nationkey AS a, b.n_nationkey AS b FROM nation a JOIN nation b ON a.n_regionkey < b.n_regionkey AND a.n_nationkey > b.n_nationkey",
+    "join_null_safe": "SELECT a.doc_id AS a, count(*) AS n FROM labels a JOIN nation b ON nullif(a.quality, 0) IS NOT DISTINCT FROM nullif(b.n_regionkey, 0) GROUP BY a.doc_id",
+    "join_right": "SELECT o_orderkey, c_custkey FROM orders RIGHT JOIN customer ON o_custkey = c_custkey",
+    "agg_collect_set": ("SELECT c_nationkey, list_sort(list(DISTINCT c_mktsegment)) AS segments FROM customer GROUP BY c_nationkey", "SELECT c_nationkey, array_sort(collect_set(c_mktsegment)) AS segments FROM customer GROUP BY c_nationkey"),
+    "agg_pivot": "SELECT l_returnflag, sum(CASE WHEN l_linestatus = 'F' THEN l_quantity END) AS f, sum(CASE WHEN l_linestatus = 'O' THEN l_quantity END) AS o FROM lineitem GROUP BY l_returnflag",
+    "percentile_exact": ("SELECT l_returnflag, round(quantile_cont(l_quantity, 0.5), 6) AS median, round(quantile_cont(l_extendedprice, 0.9), 4) AS p90 FROM lineitem GROUP BY l_returnflag", "SELECT l_returnflag, round(percentile(l_quantity, 0.5), 6) AS median, round(percentile(l_extendedprice, 0.9), 4) AS p90 FROM lineitem GROUP BY l_returnflag"),
+    "win_first_last": "SELECT o_orderkey, first_value(o_orderkey) OVER w AS a, last_value(o_orderkey) OVER w AS b, nth_value(o_orderkey, 2) OVER w AS c FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)",
+    "win_range_days": ("SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY o_orderdate RANGE BETWEEN INTERVAL 30 DAYS PRECEDING AND CURRENT ROW) AS n FROM orders", "SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY o_orderdate RANGE BETWEEN INTERVAL '30' DAY PRECEDING AND CURRENT ROW) AS n FROM orders"),
+    "win_distribution": "SELECT c_custkey, round(percent_rank() OVER w, 9) AS p, round(cume_dist() OVER w, 9) AS d FROM customer WINDOW w AS (PARTITION BY c_nationkey ORDER BY c_acctbal, c_custkey)",
+    "sort_nulls_last": "SELECT doc_id, lang FROM documents ORDER BY lang DESC NULLS LAST, doc_id LIMIT 50",
+    "limit_offset": "SELECT c_custkey FROM customer ORDER BY c_acctbal DESC, c_custkey LIMIT 20 OFFSET 10",
+    "topk_global": "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 200",
+    "sample_keyed": ("SELECT doc_id FROM documents WHERE substr(md5(doc_id::VARCHAR), 1, 1) < '4'", "SELECT doc_id FROM documents WHERE substr(md5(cast(doc_id AS string)), 1, 1) < '4'"),
+    "intersect_all": "SELECT c_nationkey AS k FROM customer INTERSECT ALL SELECT s_nationkey FROM supplier",
+    "except_all": "SELECT c_nationkey AS k FROM customer EXCEPT ALL SELECT s_nationkey FROM supplier",
+    "json_fields": ("SELECT event_id, (props ->> '$.k')::BIGINT AS k FROM events", "SELECT event_id, cast(get_json_object(props, '$.k') AS bigint) AS k FROM events"),
+    "html_titles": ("SELECT page_id, regexp_extract(html, '(?is)<title>(.*?)</title>', 1) AS title, len(regexp_extract_all(html, '(?i)<a ')) AS links FROM pages", "SELECT page_id, regexp_extract(html, '(?is)<title>(.*?)</title>', 1) AS title, cast(size(regexp_extract_all(html, '(?i)<a ', 0)) AS bigint) AS links FROM pages"),
+    "vector_norms": ("SELECT vec_id, round(sqrt(list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE))), 6) AS norm FROM embeddings", "SELECT vec_id, round(sqrt(aggregate(transform(embedding, x -> cast(x AS double) * cast(x AS double)), 0.0D, (a, x) -> a + x)), 6) AS norm FROM embeddings"),
+}
 for _name, _text in _plain.items():
-    same(_name, _text)
+    same(_name, *((_text,) if isinstance(_text, str) else _text))

@@ -93,11 +93,12 @@ def corpora(spark, d) -> dict[str, DataFrame]:
     return {"whole": unit_rows(spark, d), "motif": as_units(motif), "element": as_units(R.extract(elements(spark, d), contigs)), "foreign": P.units(T.table(spark, d, "pages"), "html")}
 
 
-SIZES = (64, 128, 256)
+SIZES = (1024, 2048, 4096)
 
 
 def vocab_grid(spark, d, sizes=SIZES, min_freq: int = 20, names=("whole", "motif", "element", "foreign")) -> DataFrame:
-    """(vocab, size, token): the grid of corpus and size. The sizes here stand for 1024, 2048 and 4096 on small tables; each corpus is trained once."""
+    """(vocab, size, token): the grid of corpus and size; each corpus is trained once, and smaller sizes are its first merges. min_freq is lower than the published 100, as the tables are
+    smaller than a genome."""
     rows = []
     for name, u in corpora(spark, d).items():
         if name in names:
@@ -115,7 +116,7 @@ for _corpus in ("whole", "motif", "element", "foreign"):
 
     @query(f"bpe_domain_{_corpus}")
     def _one(spark, d, name=_corpus):
-        return as_frame(spark, P.train_bpe(corpora(spark, d)[name], 128, 20))
+        return as_frame(spark, P.train_bpe(corpora(spark, d)[name], max(SIZES), 20))
 
 
 # Vocabularies that SQL can rebuild: k-mers that occur, and the dictionary.
@@ -217,20 +218,25 @@ def usage_entropy(spark, d):
 
 
 def rank_sum(df: DataFrame, group: str, value: str, a, b) -> DataFrame:
-    """(n1, n2, w1, u, z, p): average ranks and the tie-corrected normal approximation, over vocabulary-sized inputs."""
-    rows = df.where(F.col(group).isin(a, b)).select(F.col(group).alias("g"), F.col(value).alias("x"))
-    w = Window.partitionBy("x")
-    ranked = rows.withColumn("ties", F.count(F.lit(1)).over(w)).withColumn("r", F.rank().over(Window.orderBy("x")) + (F.col("ties") - 1) / 2)
-    s = ranked.agg(F.count_if(F.col("g") == a).cast("double").alias("n1"), F.count_if(F.col("g") == b).cast("double").alias("n2"), F.sum(F.when(F.col("g") == a, F.col("r")).otherwise(0.0)).alias("w1"), F.sum(F.col("ties").cast("double") * F.col("ties") - 1).alias("t"))
+    """(n1, n2, w1, u, z, p, stars): average ranks and the tie-corrected normal approximation, two-sided; two stars under 0.001, one under 0.01. z and p are null where a group is
+    empty or all values are equal. Ties are summed first, so the
+    running count sorts the different values only."""
+    rows = df.where(F.col(group).isin(a, b)).groupBy(F.col(value).alias("x")).agg(F.count_if(F.col(group) == a).alias("na"), F.count(F.lit(1)).alias("ties"))
+    before = F.coalesce(F.sum("ties").over(Window.orderBy("x").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    ranked = rows.withColumn("r", before + (F.col("ties") + 1) / 2)
+    ties = F.col("ties").cast("double")
+    s = ranked.agg(F.sum("na").cast("double").alias("n1"), (F.sum("ties") - F.sum("na")).cast("double").alias("n2"), F.sum(F.col("na") * F.col("r")).alias("w1"), F.sum(ties * (ties * ties - 1)).alias("t"))
     n = F.col("n1") + F.col("n2")
     s = s.withColumn("u", F.col("w1") - F.col("n1") * (F.col("n1") + 1) / 2)
-    sd = F.sqrt(F.col("n1") * F.col("n2") / 12 * (n + 1 - F.col("t") / (n * (n - 1))))
-    return s.select("n1", "n2", "w1", "u", F.round((F.col("u") - F.col("n1") * F.col("n2") / 2) / sd, 6).alias("z"))
+    sd = F.sqrt(F.col("n1") * F.col("n2") / 12 * (n + 1 - F.coalesce(F.try_divide("t", n * (n - 1)), F.lit(0.0))))
+    s = s.select("n1", "n2", "w1", "u", F.round(F.try_divide(F.col("u") - F.col("n1") * F.col("n2") / 2, sd), 6).alias("z"))
+    p = F.round(B.erfc(F.abs("z") / F.sqrt(F.lit(2.0))), 6)
+    return s.withColumn("p", p).withColumn("stars", F.when(F.col("p") < 0.001, "**").when(F.col("p") < 0.01, "*").otherwise(""))
 
 
 @query("wilcoxon_rank_sum", sql=f"""WITH {SETS}, e AS (SELECT vocab AS g, round({_e.replace('seq', 'token')}, 6) AS x FROM v WHERE vocab IN ('de', 'en')), r AS (SELECT *, count(*) OVER (PARTITION BY x) AS ties, rank() OVER (ORDER BY x) AS rk FROM e),
 s AS (SELECT (count(*) FILTER (g = 'de'))::DOUBLE AS n1, (count(*) FILTER (g = 'en'))::DOUBLE AS n2, sum(CASE WHEN g = 'de' THEN rk + (ties - 1) / 2 ELSE 0 END)::DOUBLE AS w1, sum(ties::DOUBLE * ties - 1) AS t FROM r)
-SELECT n1, n2, w1, w1 - n1 * (n1 + 1) / 2 AS u, round((w1 - n1 * (n1 + 1) / 2 - n1 * n2 / 2) / sqrt(n1 * n2 / 12 * (n1 + n2 + 1 - t / ((n1 + n2) * (n1 + n2 - 1)))), 6) AS z FROM s""")
+, z AS (SELECT n1, n2, w1, w1 - n1 * (n1 + 1) / 2 AS u, round((w1 - n1 * (n1 + 1) / 2 - n1 * n2 / 2) / sqrt(n1 * n2 / 12 * (n1 + n2 + 1 - t / ((n1 + n2) * (n1 + n2 - 1)))), 6) AS z FROM s), p AS (SELECT *, round({B.ERFC.format(x="(abs(z) / sqrt(2.0::DOUBLE))")}, 6) AS p FROM z) SELECT *, CASE WHEN p < 0.001 THEN '**' WHEN p < 0.01 THEN '*' ELSE '' END AS stars FROM p""")
 def wilcoxon_rank_sum(spark, d):
     v = sets(spark, d).withColumn("x", F.round(B.token_entropy(F.col("token")), 6))
     return rank_sum(v, "vocab", "x", "de", "en")
@@ -238,9 +244,53 @@ def wilcoxon_rank_sum(spark, d):
 
 def signed_rank(df: DataFrame, x: str, y: str) -> DataFrame:
     """(n, w_plus, w_minus): ranks of absolute differences, zeros dropped."""
-    diff = df.select((F.col(x) - F.col(y)).alias("d")).where("d <> 0").withColumn("a", F.abs("d"))
-    ranked = diff.withColumn("r", F.rank().over(Window.orderBy("a")) + (F.count(F.lit(1)).over(Window.partitionBy("a")) - 1) / 2)
-    return ranked.agg(F.count(F.lit(1)).alias("n"), F.sum(F.when(F.col("d") > 0, F.col("r")).otherwise(0.0)).alias("w_plus"), F.sum(F.when(F.col("d") < 0, F.col("r")).otherwise(0.0)).alias("w_minus"))
+    diff = df.select((F.col(x) - F.col(y)).alias("d")).where("d <> 0")
+    tied = diff.groupBy(F.abs("d").alias("a")).agg(F.count_if(F.col("d") > 0).alias("up"), F.count(F.lit(1)).alias("ties"))
+    before = F.coalesce(F.sum("ties").over(Window.orderBy("a").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    ranked = tied.withColumn("r", before + (F.col("ties") + 1) / 2)
+    return ranked.agg(F.sum("ties").alias("n"), F.sum(F.col("up") * F.col("r")).alias("w_plus"), F.sum((F.col("ties") - F.col("up")) * F.col("r")).alias("w_minus"))
+
+
+@query("bpe_growth")
+def bpe_growth(spark, d):
+    """(smaller, larger, novel, mean_bits, z, p, stars): tokens that the whole corpus' vocabulary gains from size to size, their mean composition entropy, and its rank-sum test
+    against the tokens known before."""
+    merges, out = P.train_bpe(unit_rows(spark, d), max(SIZES), 20), []
+    for small, large in zip(SIZES, SIZES[1:], strict=False):
+        old = set(P.vocab(merges, small))
+        rows = spark.createDataFrame([(t, "old" if t in old else "new") for t in P.vocab(merges, large)], "token string, g string").withColumn("x", F.round(B.token_entropy(F.col("token")), 6))
+        new = rows.where("g = 'new'").agg(F.count(F.lit(1)).alias("novel"), F.round(F.avg("x"), 6).alias("mean_bits"))
+        test = rank_sum(rows, "g", "x", "new", "old").select("z", "p", "stars")
+        out.append(new.crossJoin(test).select(F.lit(small).alias("smaller"), F.lit(large).alias("larger"), "novel", "mean_bits", "z", "p", "stars"))
+    return reduce(DataFrame.unionByName, out)
+
+
+@query("bpe_grid_jaccard")
+def bpe_grid_jaccard(spark, d):
+    """Pairs of the nine vocabularies of corpus and size."""
+    g = vocab_grid(spark, d, names=("whole", "motif", "element"))
+    return jaccard_matrix(g.select(F.concat_ws("_", "vocab", "size").alias("vocab"), "token"))
+
+
+@query("bpe_domain_venn")
+def bpe_domain_venn(spark, d):
+    """(size, cell, n, share): tokens of each combination of the three corpora, and their share of a vocabulary's size."""
+    g = vocab_grid(spark, d, names=("whole", "motif", "element"))
+    cells = g.groupBy("size", "token").agg(F.array_join(F.array_sort(F.collect_set("vocab")), "+").alias("cell")).groupBy("size", "cell").agg(F.count(F.lit(1)).alias("n"))
+    return cells.withColumn("share", F.round(F.col("n") / F.col("size"), 6))
+
+
+@query("bpe_usage")
+def bpe_usage(spark, d):
+    """(vocab, tokens, unused, rare, mean_len): the vocabularies of the largest size applied to the whole corpus; rare tokens are used fewer than ten times."""
+    out = []
+    for name, u in corpora(spark, d).items():
+        merges = P.train_bpe(u, max(SIZES), 20)
+        known = spark.createDataFrame([(t,) for t in P.vocab(merges, max(SIZES))], "token string")
+        used = P.apply_bpe(T.contigs(spark, d), merges).select(F.explode("tokens").alias("token")).groupBy("token").agg(F.count(F.lit(1)).alias("n"))
+        all_ = known.join(used, "token", "left").withColumn("n", F.coalesce("n", F.lit(0)))
+        out.append(all_.agg(F.count(F.lit(1)).alias("tokens"), F.count_if(F.col("n") == 0).alias("unused"), F.count_if(F.col("n") < 10).alias("rare"), F.round(F.avg(F.length("token")), 6).alias("mean_len")).select(F.lit(name).alias("vocab"), "*"))
+    return reduce(DataFrame.unionByName, out)
 
 
 @query("wilcoxon_signed_rank", "WITH x AS (SELECT avg(l_quantity) FILTER (l_returnflag = 'A') - avg(l_quantity) FILTER (l_returnflag = 'R') AS d0 FROM lineitem GROUP BY l_suppkey), y AS (SELECT round(d0, 6) AS d FROM x WHERE round(d0, 6) <> 0), r AS (SELECT d, rank() OVER (ORDER BY abs(d)) + (count(*) OVER (PARTITION BY abs(d)) - 1) / 2 AS r FROM y) SELECT count(*) AS n, sum(CASE WHEN d > 0 THEN r ELSE 0 END)::DOUBLE AS w_plus, sum(CASE WHEN d < 0 THEN r ELSE 0 END)::DOUBLE AS w_minus FROM r")

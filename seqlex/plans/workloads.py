@@ -47,11 +47,13 @@ def evaluate(spark: SparkSession, d: str, data: DataFrame, tokenizers: tuple[str
         counts = M.profile(tokens.select(F.col("contig").alias("id"), F.explode("tokens").alias("token")))
         rows = keyed.select(F.col("contig").alias("id"), "task", F.concat_ws("|", "task", "label").alias("y"), "fold")
         w, prior = M.nb_train(counts, rows.where("fold <> 0").select("id", "y"))
-        # Classes are task and label together; a row is scored against its own task's classes.
-        test = rows.where("fold = 0")
-        s = counts.join(test, "id").join(w.withColumnRenamed("y", "c"), "token").where(F.col("task") == F.regexp_extract("c", "^(.*)\\|", 1))
-        s = s.groupBy("id", "task", "y", "c").agg(F.sum(F.col("n") * F.col("w")).alias("s")).join(F.broadcast(prior.withColumnRenamed("y", "c")), "c")
-        best = s.groupBy("id", "task", "y").agg(F.max_by("c", F.col("s") + F.col("prior")).alias("c"))
+        # Classes are task and label together; a row is scored against its own task's classes, by the priors alone where it has no known token.
+        test, own = rows.where("fold = 0"), F.regexp_extract("y", "^(.*)\\|", 1).alias("task")
+        s = counts.join(test, "id").join(w.select(F.col("y").alias("c"), own, "token", "w"), ["task", "token"])
+        s = s.groupBy("id", "task", "c").agg(F.sum(F.col("n") * F.col("w")).alias("s"))
+        every = test.select("id", "task", "y").join(F.broadcast(prior.select(F.col("y").alias("c"), own, "prior")), "task")
+        both = every.join(s, ["id", "task", "c"], "left")
+        best = both.groupBy("id", "task", "y").agg(F.max_by("c", F.struct(F.coalesce("s", F.lit(0.0)) + F.col("prior"), "c")).alias("c"))
         label = lambda c: F.regexp_extract(c, "([01])$", 1).cast("int")
         scored = M.scores(best.select("task", label("y").alias("y"), label("c").alias("yhat")), "task")
         out.append(scored.select(F.lit(suite).alias("suite"), "task", F.lit(name).alias("tokenizer"), "mcc", "accuracy"))
@@ -72,7 +74,7 @@ def label_tasks(spark, d, length: int = 300) -> DataFrame:
 def w01(spark, d):
     """k-mers, foreign BPE and whole-corpus BPE on language and label tasks."""
     data = language_tasks(spark, d).unionByName(label_tasks(spark, d))
-    return evaluate(spark, d, data, ("kmer3", "kmer6", "kmer6d", "bpe_foreign_256", "bpe_whole_256"), "S1")
+    return evaluate(spark, d, data, ("kmer3", "kmer6", "kmer6d", "bpe_foreign_4096", "bpe_whole_4096"), "S1")
 
 
 @query("w06_balanced_elements")
@@ -88,7 +90,7 @@ def w08(spark, d):
 
 @query("w09_vocabulary_size")
 def w09(spark, d):
-    return evaluate(spark, d, language_tasks(spark, d), ("bpe_whole_64", "bpe_whole_128", "bpe_whole_256"), "S1")
+    return evaluate(spark, d, language_tasks(spark, d), ("bpe_whole_1024", "bpe_whole_2048", "bpe_whole_4096"), "S1")
 
 
 @query("w12_pick_rules")
@@ -171,12 +173,12 @@ def w07(spark, d):
 
 @query("w10_domains")
 def w10(spark, d):
-    return evaluate(spark, d, language_tasks(spark, d), tuple(f"bpe_{c}_{n}" for c in ("whole", "motif", "element") for n in (64, 128)), "S1")
+    return evaluate(spark, d, language_tasks(spark, d), tuple(f"bpe_{c}_{n}" for c in ("whole", "motif", "element") for n in (1024, 2048, 4096)), "S1")
 
 
 @query("w11_dictionary_vs_bpe")
 def w11(spark, d):
-    return evaluate(spark, d, language_tasks(spark, d).unionByName(label_tasks(spark, d)), ("motif_random", "bpe_whole_256", "bpe_motif_256", "bpe_element_256"), "S1")
+    return evaluate(spark, d, language_tasks(spark, d).unionByName(label_tasks(spark, d)), ("motif_random", "bpe_whole_4096", "bpe_motif_4096", "bpe_element_4096"), "S1")
 
 
 @query("w13_other_species")
@@ -208,7 +210,7 @@ def w17(spark, d):
 def w18(spark, d):
     """For each tokenizer on whole documents: segments of 512 tokens, those over half N, tokens, bases a token, and passes over the corpus in the budget."""
     total, out = T.contigs(spark, d).agg(F.sum(F.length("seq")).alias("corpus")), []
-    for name in ("kmer3", "kmer6d", "motif_random", "bpe_whole_256"):
+    for name in ("kmer3", "kmer6d", "motif_random", "bpe_whole_4096"):
         cut = SEG.pack_segments(tokenised(spark, d, T.contigs(spark, d).select("contig", "seq"), name))
         share = cut.select("n_tokens", SEG.n_share(F.col("tokens")).alias("n_share"))
         out.append(share.agg(F.count(F.lit(1)).alias("segments"), F.count_if(F.col("n_share") > 0.5).alias("discarded"), F.sum("n_tokens").alias("tokens")).withColumn("tokenizer", F.lit(name)))
