@@ -6,6 +6,7 @@ from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from seqlex.functions.bases import keyed_fold, to_bases
 from seqlex.operators import bpe as P
@@ -23,29 +24,38 @@ from .sequence import words
 from .vocabularies import corpora, unit_rows
 
 
-def tokenised(spark: SparkSession, d: str, rows: DataFrame, name: str) -> DataFrame:
-    """(contig, tokens array<string>) of rows (contig, seq) by the tokenizer called name."""
+#: BPE is trained to this size once a corpus; the smaller vocabularies are its first merges.
+LARGEST = 4096
+
+
+def tokenised(spark: SparkSession, d: str, rows: DataFrame, name: str, learnt: dict | None = None) -> DataFrame:
+    """(contig, tokens array<string>) of rows (contig, seq) by the tokenizer called name. learnt keeps the merges of the corpora trained so far."""
     if name.startswith("motif_"):
         t = G.greedy_tokenize(rows, words(spark, d), pick=name.split("_")[1], seed=int(name.split("_")[2]) if name.count("_") > 1 else 7)
         return t.select("contig", F.transform("tokens", lambda x: x["token"]).alias("tokens"))
     if name.startswith("bpe_"):
         _, corpus, size = name.split("_")
-        u = unit_rows(spark, d) if corpus == "whole" else corpora(spark, d)[corpus]
-        return P.apply_bpe(rows, P.train_bpe(u, int(size), 20))
+        learnt = {} if learnt is None else learnt
+        if corpus not in learnt:
+            u = unit_rows(spark, d) if corpus == "whole" else corpora(spark, d)[corpus]
+            learnt[corpus] = P.train_bpe(u, LARGEST, 20)
+        return P.apply_bpe(rows, learnt[corpus][: int(size) - P.SPECIAL_AND_ALPHABET])
     k, stride = {"kmer3": (3, 1), "kmer6": (6, 1), "kmer6d": (6, 6)}[name]
     return K.kmer_tokens(rows, k, stride).select("contig", "tokens")
 
 
 def evaluate(spark: SparkSession, d: str, data: DataFrame, tokenizers: tuple[str, ...], suite: str) -> DataFrame:
     """data: (task, contig, seq, label 0/1), and fold where the task sets it. Naive Bayes on token counts with the same folds for every tokenizer; the MCC
-    of the held-out fold 0."""
+    of the held-out fold 0. A sequence that several tasks share is tokenised once; rows and counts are checkpointed, as
+    training and scoring both read them."""
     fold = F.col("fold") if "fold" in data.columns else keyed_fold("w", F.concat_ws("|", "task", "contig", "label"))
-    out = []
+    out, learnt = [], {}
+    keyed = T.settled(data.select("task", "label", F.xxhash64("task", "contig", "seq", "label").alias("id"), F.xxhash64("seq").alias("contig"), "seq", fold.alias("fold")))
     for name in tokenizers:
-        keyed = data.select("task", "label", F.xxhash64("task", "contig", "seq", "label").alias("contig"), "seq", fold.alias("fold"))
-        tokens = tokenised(spark, d, keyed.select("contig", "seq").distinct(), name)
-        counts = M.profile(tokens.select(F.col("contig").alias("id"), F.explode("tokens").alias("token")))
-        rows = keyed.select(F.col("contig").alias("id"), "task", F.concat_ws("|", "task", "label").alias("y"), "fold")
+        tokens = tokenised(spark, d, keyed.select("contig", "seq").distinct(), name, learnt)
+        counts = M.profile(tokens.select(F.col("contig").alias("id"), F.explode("tokens").alias("token"))).withColumnRenamed("id", "contig")
+        counts = T.settled(keyed.select("id", "contig").distinct().join(counts, "contig").select("id", "token", "n"))
+        rows = keyed.select("id", "task", F.concat_ws("|", "task", "label").alias("y"), "fold")
         w, prior = M.nb_train(counts, rows.where("fold <> 0").select("id", "y"))
         # Classes are task and label together; a row is scored against its own task's classes, by the priors alone where it has no known token.
         test, own = rows.where("fold = 0"), F.regexp_extract("y", "^(.*)\\|", 1).alias("task")
@@ -60,9 +70,9 @@ def evaluate(spark: SparkSession, d: str, data: DataFrame, tokenizers: tuple[str
     return reduce(DataFrame.unionByName, out)
 
 
-def language_tasks(spark, d, length: int = 300) -> DataFrame:
+def language_tasks(spark, d, length: int = 300, langs: tuple[str, ...] = ("en", "de", "fr")) -> DataFrame:
     p = T.prefixes(spark, d, length).where(F.length("seq") >= 30)
-    return reduce(DataFrame.unionByName, [p.select(F.lit(f"lang_{x}_{length}").alias("task"), "contig", "seq", (F.col("lang") == x).cast("int").alias("label")) for x in ("en", "de", "fr")])
+    return reduce(DataFrame.unionByName, [p.select(F.lit(f"lang_{x}_{length}").alias("task"), "contig", "seq", (F.col("lang") == x).cast("int").alias("label")) for x in langs])
 
 
 def label_tasks(spark, d, length: int = 300) -> DataFrame:
@@ -70,40 +80,11 @@ def label_tasks(spark, d, length: int = 300) -> DataFrame:
     return reduce(DataFrame.unionByName, [p.select(F.lit(f"{x}_{length}").alias("task"), "contig", "seq", F.col(x).alias("label")) for x in ("quality", "toxic")])
 
 
-@query("w01_baselines")
-def w01(spark, d):
-    """k-mers, foreign BPE and whole-corpus BPE on language and label tasks."""
-    data = language_tasks(spark, d).unionByName(label_tasks(spark, d))
-    return evaluate(spark, d, data, ("kmer3", "kmer6", "kmer6d", "bpe_foreign_4096", "bpe_whole_4096"), "S1")
-
-
-@query("w06_balanced_elements")
-def w06(spark, d):
-    data = balanced(spark, d).select(F.col("category").alias("task"), (F.col("contig") * 1_000_000 + F.col("start")).alias("contig"), "seq", "label")
-    return evaluate(spark, d, data, ("kmer6d", "motif_random"), "S5")
-
-
 @query("w08_length_effect")
 def w08(spark, d):
     return reduce(DataFrame.unionByName, [evaluate(spark, d, language_tasks(spark, d, n), ("kmer3", "motif_random"), f"S1_{n}") for n in (70, 300, 1000)])
 
 
-@query("w09_vocabulary_size")
-def w09(spark, d):
-    return evaluate(spark, d, language_tasks(spark, d), ("bpe_whole_1024", "bpe_whole_2048", "bpe_whole_4096"), "S1")
-
-
-@query("w12_pick_rules")
-def w12(spark, d):
-    return evaluate(spark, d, language_tasks(spark, d), ("motif_random", "motif_longest", "motif_shortest"), "S1")
-
-
-@query("w14_seeds")
-def w14(spark, d):
-    runs = evaluate(spark, d, language_tasks(spark, d), ("motif_random_1", "motif_random_2", "motif_random_3", "motif_random_4"), "S1")
-    return M.mean_std(runs, "suite", "task", value="mcc")
-
-
 def texts(spark, d, name: str, key: str, text: str, length: int, *more: str) -> DataFrame:
     """(contig, seq, more): first bases of another table's texts."""
     rows = T.table(spark, d, name).select(F.col(key).alias("contig"), F.explode(F.array(to_bases(text))).alias("seq"), *more)
@@ -132,26 +113,38 @@ def turns(spark, d, length: int = 300) -> DataFrame:
     return rows.select("contig", F.substring("seq", 1, length).alias("seq"), "role").where(F.length("seq") >= 30)
 
 
+def human_tasks(spark, d) -> DataFrame:
+    """Four languages and the toxic label at three lengths, and three roles: 18 tasks."""
+    lengths = (300, 600, 1000)
+    sets = [language_tasks(spark, d, n, ("en", "de", "fr", "es")) for n in lengths]
+    sets += [label_tasks(spark, d, n).where("task like 'toxic%'") for n in lengths]
+    return reduce(DataFrame.unionByName, [*sets, *[one_of(turns(spark, d), "role", r) for r in ("user", "assistant", "system")]])
+
+
 @query("w03_human_tasks")
 def w03(spark, d):
-    data = language_tasks(spark, d, 600).unionByName(label_tasks(spark, d, 600).where("task like 'toxic%'"))
-    data = reduce(DataFrame.unionByName, [data, *[one_of(turns(spark, d), "role", r) for r in ("user", "assistant", "system")]])
-    return evaluate(spark, d, data, ("kmer6d", "motif_random"), "S2")
+    return evaluate(spark, d, human_tasks(spark, d), ("kmer6d", "motif_random"), "S2")
 
 
-@query("w04_regulatory_tasks")
-def w04(spark, d):
-    """Elements against tiles, planted passages against their shuffled bases, elements of each language against tiles."""
+def regulatory_tasks(spark, d) -> DataFrame:
+    """Elements against tiles, planted passages against their shuffled bases, elements of each language and toxic ones against tiles: seven sets of three tasks."""
     key = (F.col("contig") * 1_000_000 + F.col("start")).alias("contig")
-    b = balanced(spark, d).select("category", key, "seq", "label")
+    b = T.settled(balanced(spark, d).select("category", key, "seq", "label"))
     passages = texts(spark, d, "benchmark", "item_id", "text", 100)
     tasks = [b.select(F.lit("element").alias("task"), "contig", "seq", "label"), versus("passage", passages, shuffled(passages))]
-    tasks.append(b.select(F.concat(F.lit("element_"), F.substring("category", 1, 2)).alias("task"), "contig", "seq", "label"))
-    return evaluate(spark, d, reduce(DataFrame.unionByName, tasks), ("kmer6d", "motif_random"), "S3")
+    lang, toxic = F.split_part("category", F.lit("_"), F.lit(1)), F.split_part("category", F.lit("_"), F.lit(2))
+    tasks.append(b.where(lang.isin("en", "de", "fr", "es")).select(F.concat(F.lit("element_"), lang).alias("task"), "contig", "seq", "label"))
+    tasks.append(b.where(toxic == "1").select(F.lit("element_toxic").alias("task"), "contig", "seq", "label"))
+    return reduce(DataFrame.unionByName, tasks)
 
 
-@query("w05_mixed_tasks")
-def w05(spark, d):
+@query("w04_regulatory_tasks")
+def w04(spark, d):
+    return evaluate(spark, d, regulatory_tasks(spark, d), ("kmer6d", "motif_random"), "S3")
+
+
+def mixed_tasks(spark, d) -> DataFrame:
+    """Texts of different tables, roles and languages against each other."""
     docs = T.prefixes(spark, d).where(F.length("seq") >= 30)
     said = turns(spark, d)
     tasks = [
@@ -161,7 +154,74 @@ def w05(spark, d):
         versus("turn_document", said, docs),
         versus("es_de", docs.where("lang = 'es'"), docs.where("lang = 'de'")),
     ]
-    return evaluate(spark, d, reduce(DataFrame.unionByName, tasks), ("kmer6d", "motif_random"), "S4")
+    return reduce(DataFrame.unionByName, tasks)
+
+
+@query("w05_mixed_tasks")
+def w05(spark, d):
+    return evaluate(spark, d, mixed_tasks(spark, d), ("kmer6d", "motif_random"), "S4")
+
+
+def element_tasks(spark, d) -> DataFrame:
+    """Each category of elements against its own sampled tiles."""
+    return balanced(spark, d).select(F.col("category").alias("task"), (F.col("contig") * 1_000_000 + F.col("start")).alias("contig"), "seq", "label")
+
+
+@query("w06_balanced_elements")
+def w06(spark, d):
+    return evaluate(spark, d, element_tasks(spark, d), ("kmer6d", "motif_random"), "S5")
+
+
+def first_suite(spark, d) -> DataFrame:
+    """The quality label at five lengths, three languages at 100 bases, the toxic label at 300."""
+    sets = [label_tasks(spark, d, n).where("task like 'quality%'") for n in (70, 100, 300, 500, 1000)]
+    return reduce(DataFrame.unionByName, [*sets, language_tasks(spark, d, 100), label_tasks(spark, d).where("task like 'toxic%'")])
+
+
+SUITES = {"S1": first_suite, "S2": human_tasks, "S3": regulatory_tasks, "S4": mixed_tasks, "S5": element_tasks}
+
+
+def on_suites(spark, d, tokenizers: tuple[str, ...]) -> DataFrame:
+    """(suite, task, tokenizer, mcc, accuracy) of the tasks of all five suites."""
+    data = [tasks(spark, d).select(F.concat(F.lit(f"{suite}/"), "task").alias("task"), "contig", "seq", "label") for suite, tasks in SUITES.items()]
+    scored = evaluate(spark, d, reduce(DataFrame.unionByName, data), tokenizers, "")
+    name = F.split("task", "/", 2)
+    return scored.select(name[0].alias("suite"), name[1].alias("task"), "tokenizer", "mcc", "accuracy")
+
+
+def by_suite(scored: DataFrame) -> DataFrame:
+    """(suite, tokenizer, mean, std, n, place): over a suite's tasks, of the accuracy in S3 and of the MCC elsewhere. Place 1 is the best tokenizer of a suite, 2 the second best;
+    equal means share a place."""
+    value = scored.withColumn("value", F.when(F.col("suite") == "S3", F.col("accuracy")).otherwise(F.col("mcc")))
+    return M.mean_std(value, "suite", "tokenizer").withColumn("place", F.dense_rank().over(Window.partitionBy("suite").orderBy(F.desc("mean"))))
+
+
+@query("suite_marks")
+def suite_marks(spark, d):
+    """All five suites: mean, deviation and place of disjoint 6-mers and of the dictionary."""
+    return by_suite(on_suites(spark, d, ("kmer6d", "motif_random")))
+
+
+#: Tokenizers of the experiments whose tasks are languages, and, where said so, labels. `on_suites` takes any of these over all suites.
+COMPARED = {
+    "w01_baselines": (True, ("kmer3", "kmer6", "kmer6d", "bpe_foreign_4096", "bpe_whole_4096")),
+    "w09_vocabulary_size": (False, ("bpe_whole_1024", "bpe_whole_2048", "bpe_whole_4096")),
+    "w10_domains": (False, tuple(f"bpe_{c}_{n}" for c in ("whole", "motif", "element") for n in (1024, 2048, 4096))),
+    "w11_dictionary_vs_bpe": (True, ("motif_random", "bpe_whole_4096", "bpe_motif_4096", "bpe_element_4096")),
+    "w12_pick_rules": (False, ("motif_random", "motif_longest", "motif_shortest")),
+}
+for _name, (_labels, _tokenizers) in COMPARED.items():
+
+    @query(_name)
+    def _compared(spark, d, labels=_labels, tokenizers=_tokenizers):
+        data = language_tasks(spark, d)
+        return evaluate(spark, d, data.unionByName(label_tasks(spark, d)) if labels else data, tokenizers, "S1")
+
+
+@query("w14_seeds")
+def w14(spark, d):
+    runs = evaluate(spark, d, language_tasks(spark, d), ("motif_random_1", "motif_random_2", "motif_random_3", "motif_random_4"), "S1")
+    return M.mean_std(runs, "suite", "task", value="mcc")
 
 
 @query("w07_zero_shot")
@@ -171,16 +231,6 @@ def w07(spark, d):
     return E.zero_shot(spark, d).crossJoin(near)
 
 
-@query("w10_domains")
-def w10(spark, d):
-    return evaluate(spark, d, language_tasks(spark, d), tuple(f"bpe_{c}_{n}" for c in ("whole", "motif", "element") for n in (1024, 2048, 4096)), "S1")
-
-
-@query("w11_dictionary_vs_bpe")
-def w11(spark, d):
-    return evaluate(spark, d, language_tasks(spark, d).unionByName(label_tasks(spark, d)), ("motif_random", "bpe_whole_4096", "bpe_motif_4096", "bpe_element_4096"), "S1")
-
-
 @query("w13_other_species")
 def w13(spark, d):
     """Labels learnt on one language and tried on two others."""
