@@ -67,3 +67,9 @@ def mcc(tp: Column, tn: Column, fp: Column, fn: Column) -> Column:
 def keyed_fold(task: str, key: Column, folds: int = 10) -> Column:
     """A fold by md5 of task and id: the same on any engine and any partitioning."""
     return F.conv(F.substring(F.md5(F.concat(F.lit(f"{task}|"), key.cast("string"))), 1, 8), 16, 10).cast("long") % folds
+
+
+def page_text(html) -> Column:
+    """The text of a page: scripts, styles, comments and tags become blanks, and runs of blanks one. Entities stay as they are written."""
+    gone = F.regexp_replace(html, "(?is)<script.*?</script>|<style.*?</style>|<!--.*?-->", " ")
+    return F.trim(F.regexp_replace(F.regexp_replace(gone, "<[^>]*>", " "), "[ \\t\\r\\n]+", " "))

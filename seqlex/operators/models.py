@@ -38,6 +38,11 @@ def mean_std(results: DataFrame, *by: str, value: str = "value", ddof: int = 1)
     return results.groupBy(*by).agg(F.round(F.avg(value), 6).alias("mean"), F.round(std, 6).alias("std"), F.count(F.lit(1)).alias("n"))
 
 
+def places(means: DataFrame, *by: str) -> DataFrame:
+    """means with `place`: 1 for the highest mean of each group, 2 for the second; equal means share a place."""
+    return means.withColumn("place", F.dense_rank().over(Window.partitionBy(*by).orderBy(F.desc("mean"))))
+
+
 def profile(rows: DataFrame) -> DataFrame:
     """(id, token, n) of rows (id, token)."""
     return rows.groupBy("id", "token").agg(F.count(F.lit(1)).alias("n"))

@@ -21,4 +21,4 @@ def query(name: str, sql: str | None = None):
 
 
 def load() -> None:
-    from . import evaluation, intervals, relational, sequence, training, vocabularies, workloads  # noqa: F401
+    from . import evaluation, intervals, relational, results, sequence, training, vocabularies, workloads  # noqa: F401

@@ -6,9 +6,8 @@ from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
-from seqlex.functions.bases import keyed_fold, to_bases
+from seqlex.functions.bases import keyed_fold, page_text, to_bases
 from seqlex.operators import bpe as P
 from seqlex.operators import greedy as G
 from seqlex.operators import intervals as R
@@ -85,9 +84,9 @@ def w08(spark, d):
     return reduce(DataFrame.unionByName, [evaluate(spark, d, language_tasks(spark, d, n), ("kmer3", "motif_random"), f"S1_{n}") for n in (70, 300, 1000)])
 
 
-def texts(spark, d, name: str, key: str, text: str, length: int, *more: str) -> DataFrame:
+def texts(spark, d, name: str, key: str, text, length: int, **more) -> DataFrame:
     """(contig, seq, more): first bases of another table's texts."""
-    rows = T.table(spark, d, name).select(F.col(key).alias("contig"), F.explode(F.array(to_bases(text))).alias("seq"), *more)
+    rows = T.table(spark, d, name).select(F.col(key).alias("contig"), F.explode(F.array(to_bases(text))).alias("seq"), *(c.alias(n) for n, c in more.items()))
     return rows.select("contig", F.substring("seq", 1, length).alias("seq"), *more).where(F.length("seq") >= 30)
 
 
@@ -144,11 +143,13 @@ def w04(spark, d):
 
 
 def mixed_tasks(spark, d) -> DataFrame:
-    """Texts of different tables, roles and languages against each other."""
+    """Texts of different tables, roles and languages against each other, and the language that a page declares. Of a page only its text is read, not its tags."""
     docs = T.prefixes(spark, d).where(F.length("seq") >= 30)
     said = turns(spark, d)
+    pages = texts(spark, d, "pages", "page_id", page_text("html"), 300, page_lang=F.regexp_extract("html", '<html lang="([a-z]+)', 1))
     tasks = [
-        versus("page_document", texts(spark, d, "pages", "page_id", "html", 300), docs),
+        *(one_of(pages, "page_lang", x) for x in ("en", "de", "fr", "es")),
+        versus("page_document", pages, docs),
         versus("passage_document", texts(spark, d, "benchmark", "item_id", "text", 300), docs),
         versus("user_assistant", said.where("role = 'user'"), said.where("role = 'assistant'")),
         versus("turn_document", said, docs),
@@ -193,7 +194,7 @@ def by_suite(scored: DataFrame) -> DataFrame:
     """(suite, tokenizer, mean, std, n, place): over a suite's tasks, of the accuracy in S3 and of the MCC elsewhere. Place 1 is the best tokenizer of a suite, 2 the second best;
     equal means share a place."""
     value = scored.withColumn("value", F.when(F.col("suite") == "S3", F.col("accuracy")).otherwise(F.col("mcc")))
-    return M.mean_std(value, "suite", "tokenizer").withColumn("place", F.dense_rank().over(Window.partitionBy("suite").orderBy(F.desc("mean"))))
+    return M.places(M.mean_std(value, "suite", "tokenizer"), "suite")
 
 
 @query("suite_marks")
