@@ -20,9 +20,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import give_back, id_crc, slices, utf8
+from .common import bound_batches, give_back, id_crc, slices, utf8
 
 BUCKETS, LONG = 1 << 16, 1 << 20
+#: Bytes that a worker cuts into grams at once; some 60 bytes of arrays each.
+PIECE = 1 << 17
 GAP = b"    "
 
 _fold = np.full(256, 32, np.uint8)
@@ -56,11 +58,17 @@ class LanguageModel:
         """A row for each text. The texts stand in one buffer with gaps, so no gram holds letters of two of them."""
         sizes = np.array([len(t) + len(GAP) for t in texts])
         buffer = np.frombuffer(GAP[:3] + GAP.join(texts) + GAP, np.uint8)
-        starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
-        total, count = 0, 0
-        for ids in gram_ids(buffer):
-            total = total + np.add.reduceat(self.table[ids], starts, axis=0, dtype=np.float64)
-            count = count + np.add.reduceat(ids > 0, starts, dtype=np.int64)
+        starts = np.concatenate([[0], np.cumsum(sizes)])
+        total, count = np.zeros((len(texts), len(self.labels))), np.zeros(len(texts), np.int64)
+        for a in range(0, len(buffer), PIECE):
+            # The sums of a piece go to the texts that its places belong to; a gram may end in the next piece.
+            b = min(a + PIECE, len(buffer))
+            first, last = (int(np.searchsorted(starts, x, "right")) - 1 for x in (a, b - 1))
+            first, last = min(first, len(texts) - 1), min(last, len(texts) - 1)
+            cuts = np.maximum(starts[first : last + 1] - a, 0)
+            for ids in gram_ids(buffer[a : b + 3]):
+                total[first : last + 1] += np.add.reduceat(self.table[ids[: b - a]], cuts, axis=0, dtype=np.float64)
+                count[first : last + 1] += np.add.reduceat(ids[: b - a] > 0, cuts, dtype=np.int64)
         return total / np.maximum(count, 1)[:, None] + self.bias
 
     def probabilities(self, texts: list[bytes]) -> np.ndarray:
@@ -147,7 +155,7 @@ def predict(docs: DataFrame, model: LanguageModel | None) -> DataFrame:
             pred, best = np.full(n, "und", object), np.zeros(n)
             offsets, data = utf8(batch["text"])
             lettered = np.asarray(batch["lettered"].fill_null(False))
-            for a, b in slices(offsets) if model else ():
+            for a, b in slices(offsets, PIECE) if model else ():
                 rows = [i for i in range(a, b) if lettered[i]]
                 if rows:
                     p = model.probabilities([data[offsets[i] : offsets[i + 1]].tobytes() for i in rows])
@@ -155,7 +163,9 @@ def predict(docs: DataFrame, model: LanguageModel | None) -> DataFrame:
                     best[rows] = np.minimum(p.max(1), 1.0)
             rejected = (pred == "und") | (best < (model.threshold if model else 1))
             yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["held_out"], pa.array(pred, pa.string()), pa.array(best), pa.array(rejected)], ["doc_id", "held_out", "lang_pred", "score", "rejected"])
+        give_back()
 
+    bound_batches(docs.sparkSession)
     return docs.select(F.col("doc_id").cast("long"), (id_crc("doc_id", 4) == 2).alias("held_out"), "text", F.col("text").rlike(r"\p{L}").alias("lettered")).mapInArrow(score, schema)
 
 
@@ -170,9 +180,10 @@ def keep_recognised(docs: DataFrame, model: LanguageModel | None) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             offsets, data = utf8(batch["text"])
-            for a, b in slices(offsets) if model else ():
+            for a, b in slices(offsets, PIECE) if model else ():
                 p = model.probabilities([data[offsets[i] : offsets[i + 1]].tobytes() for i in range(a, b)])
                 yield batch.slice(a, b - a).filter(pa.array(p.max(1) >= model.threshold))
         give_back()
 
+    bound_batches(docs.sparkSession)
     return docs.where(F.col("text").rlike(r"\p{L}")).mapInArrow(run, docs.schema)

@@ -9,6 +9,7 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 from pyspark.sql import functions as F
@@ -817,3 +818,33 @@ def test_spooled_folders_go(spark):
     common.discard(spark, [path])
     assert common.spooled == before and not os.path.exists(path)
     assert common.fresh(["a", "_A", "b"], "A") == "__A"
+
+
+def test_language_arrays_are_bounded(spark):
+    """A text of many pieces has the logits of one piece, in arrays of a piece's size; batches of texts are bounded in bytes."""
+    import tracemalloc
+
+    rng = random.Random(12)
+    texts = [prose(rng, 40).encode() for _ in range(30)]
+    model = langid.train([(t.decode(), ["en", "de", "fr"][i % 3]) for i, t in enumerate(texts)])
+    rows = [*texts, b"", b"x", b" ".join(texts * 400), texts[0]]
+    tracemalloc.start()
+    got = model.logits(rows)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert sum(map(len, rows)) > 12 * langid.PIECE and peak < 6 * sum(map(len, rows)) + 100 * langid.PIECE
+    assert np.allclose(got, np.concatenate([model.logits([t]) for t in rows]), atol=1e-12)
+    whole, langid.PIECE = langid.PIECE, 37
+    try:
+        assert np.allclose(model.logits(rows[:33]), got[:33], atol=1e-12)
+    finally:
+        langid.PIECE = whole
+
+    def count(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([b.nbytes])], ["n"])
+
+    spark.conf.unset("spark.sql.execution.arrow.maxBytesPerBatch")
+    docs = spark.range(0, 6000, 1, 1).selectExpr("id doc_id", "repeat('the cat ', 400) text", "'en' lang")
+    langid.keep_recognised(docs, model)
+    assert max(r["n"] for r in docs.mapInArrow(count, "n long").collect()) < 1.2 * common.BATCH_BYTES
