@@ -135,3 +135,18 @@ def test_exits_of_merged_walks():
         for e in range(G.REACH):
             places, at = G.walk(length, offset, e, end)
             assert (to[e], n[e]) == (at, len(places))
+
+
+def test_batched_training_to_the_full_size(spark, monkeypatch):
+    """Scanned or linked, told by files or by the stage's messages: the merges of one-by-one training, in a stage that costs no job for each round."""
+    u = vocabularies.unit_rows(spark, SF).cache()
+    want = bpe.train_local([(r["unit"], r["n"]) for r in u.collect()], 4096, 20)
+    assert len(want) > 800
+    jobs = spark.sparkContext.statusTracker()
+    spark.sparkContext.setJobGroup("bpe", "bpe")
+    for linked in (0, 300_000, 1 << 40):
+        assert bpe.train_batched(u, 4096, 20, linked=linked) == want
+    assert len(jobs.getJobIdsForGroup("bpe")) < 30
+    monkeypatch.setattr(bpe, "shared_folder", lambda spark: None)
+    assert bpe.train_batched(u, 18, 20) == want[:8]
+    u.unpersist()
