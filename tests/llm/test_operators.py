@@ -848,3 +848,16 @@ def test_language_arrays_are_bounded(spark):
     docs = spark.range(0, 6000, 1, 1).selectExpr("id doc_id", "repeat('the cat ', 400) text", "'en' lang")
     langid.keep_recognised(docs, model)
     assert max(r["n"] for r in docs.mapInArrow(count, "n long").collect()) < 1.2 * common.BATCH_BYTES
+
+
+def test_thresholds_of_all_rows(spark):
+    """Histograms give the thresholds that all rows in memory give, for more rows than any cap."""
+    rng = np.random.default_rng(7)
+    on = lambda x: np.round(x * iforest.GRID) / iforest.GRID
+    good, bad = on(rng.uniform(0.3, 0.6, (25_000, 2))), on(rng.uniform(0.3, 0.6, (300, 2)))
+    bad[:200, 1] += 0.25
+    for b in (bad, bad[:0]):
+        x, flag = np.concatenate([good, b]), np.arange(len(good) + len(b)) < len(good)
+        at = pa.array(np.arange(len(x) + 1) * 2, pa.int32())
+        df = spark.createDataFrame(pa.table({"good": pa.array(flag), "scores": pa.ListArray.from_arrays(at, pa.array(x.ravel()))}))
+        assert np.allclose(iforest.thresholds_of(df, good), iforest.thresholds(good, b, good), rtol=0, atol=1e-12)
