@@ -3,14 +3,17 @@
 from collections import Counter
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from seqlex.functions import bases as B
-from seqlex.operators import bpe
+from seqlex.operators import bayes, bpe
 from seqlex.operators import greedy as G
 from seqlex.operators import intervals as R
-from seqlex.plans import intervals, registry, vocabularies
+from seqlex.operators import kmer as K
+from seqlex.operators import models as M
+from seqlex.plans import intervals, registry, vocabularies, workloads
 from seqlex.plans.sequence import words
 from seqlex.sources import tables as T
 
@@ -75,3 +78,61 @@ def test_units_are_cut_once(spark):
     u = bpe.units(T.table(spark, SF, "documents").limit(30).select("text").coalesce(1).mapInArrow(seen, "text string"))
     assert bpe.train_bpe(u, 40, 20) == bpe.train_bpe(u, 40, 20, symbols=10)
     assert scans.value == 60
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    """Sequences with their hash as key, among them an empty one, some without a word, equal ones and all N."""
+    c = T.prefixes(spark, SF, 400).limit(30).select("seq").unionByName(spark.createDataFrame([("",), ("A",), ("ACN",), ("N" * 40,), ("ACGTN" * 9,)], "seq string"))
+    return c.distinct().select(F.xxhash64("seq").alias("contig"), "seq").cache()
+
+
+@pytest.mark.parametrize("name", ["kmer3", "kmer6", "kmer6d", "motif_random", "motif_random_3", "motif_longest", "motif_shortest", "bpe_whole_1024"])
+def test_numbered_tokens(spark, odd, name):
+    """A number for each token of the tokenizer, another for each other one, in the same places."""
+    learnt = {"whole": bpe.train_bpe(bpe.units(T.table(spark, SF, "documents").limit(20)), 200, 20)}
+    rows, cut = odd.collect(), workloads.cutter(spark, SF, name, learnt)
+    ids, of = cut(np.array([r["contig"] for r in rows]), [r["seq"] for r in rows])
+    want, named = {r["contig"]: r["tokens"] for r in workloads.tokenised(spark, SF, odd, name, learnt).collect()}, {}
+    for k, r in enumerate(rows):
+        own = ids[of == k].tolist()
+        assert len(own) == len(want[r["contig"]])
+        for i, t in zip(own, want[r["contig"]], strict=True):
+            assert named.setdefault(t, i) == i and 0 <= i < cut.size
+    assert len(set(named.values())) == len(named)
+
+
+@pytest.mark.parametrize("size", [1, 1 << 20])
+def test_bayes_in_the_workers(spark, odd, monkeypatch, size):
+    """Against the relational form on (task, label) classes, each row scored against its own task's; without an exchange before the counts."""
+    monkeypatch.setattr(bayes, "CUT", size)
+    texts = [(r["contig"], r["seq"]) for r in odd.collect()] + [(r["contig"], r["seq"]) for r in odd.limit(5).collect()]
+    marks = [[(1000 * t + k, f"{task}|{(k * (t + 3) // 7) % 2}", (k + t) % 4 == 0) for t, task in enumerate(("a", "b|c", "one"))] for k in range(len(texts))]
+    marks = [[m if m[1][:3] != "one" else (m[0], "one|1", m[2]) for m in x] + ([(9000 + k, "none|0", True)] if k == 4 else []) for k, x in enumerate(marks)]
+    rows = spark.createDataFrame([(*x, m) for x, m in zip(texts, marks, strict=True)], "key long, seq string, marks array<struct<id:long,y:string,test:boolean>>").repartition(3)
+    got = {(r["id"], r["task"], r["y"], r["yhat"]) for r in bayes.tried(rows, K.Cutter(3, 3)).collect()}
+    flat = rows.select(F.inline("marks"), F.col("seq"), F.col("id").alias("contig"))
+    counts = M.profile(K.kmer_tokens(flat, 3, 3).select("id", F.explode("tokens").alias("token")))
+    w, prior = M.nb_train(counts, flat.where("not test").select("id", "y"))
+    weight, first = {(r["y"], r["token"]): r["w"] for r in w.collect()}, {r["y"]: r["prior"] for r in prior.collect()}
+    told: dict = {}
+    for r in counts.collect():
+        told.setdefault(r["id"], []).append((r["token"], r["n"]))
+    want = set()
+    for r in flat.where("test").collect():
+        task, _, y = r["y"].rpartition("|")
+        own = [c for c in first if c.rpartition("|")[0] == task]
+        if own:
+            best = max(own, key=lambda c: (round(first[c] + sum(n * weight.get((c, t), 0.0) for t, n in told.get(r["id"], [])), 9), c))
+            want.add((r["id"], task, int(y), int(best[-1])))
+    assert got == want and len(got) > 20 and "Exchange" not in plan(bayes.parts(odd.select(F.col("contig").alias("key"), "seq", F.array().cast("array<struct<id:long,y:string,test:boolean>>").alias("marks")), K.Cutter(3, 3))).split("InMemory")[0]
+    assert bayes.tried(rows.limit(0), K.Cutter(3, 3)).count() == 0
+
+
+def test_tasks_share_a_scan(spark):
+    """Languages at three lengths, and a label, each read the documents once; a mark without a label takes no part, and the mark's own fold holds."""
+    assert plan(workloads.language_tasks(spark, SF, 300, 600, 1000)).count("FileScan") == 1
+    assert plan(workloads.human_tasks(spark, SF)).count("documents.parquet") == 2
+    rows = spark.createDataFrame([(k, "ACGT" * 10 if k % 2 else "GGTA" * 10, [("t", k % 2, k // 8), ("u", None, 0)]) for k in range(16)], "contig long, seq string, marks array<struct<task:string,label:int,fold:int>>")
+    got = workloads.evaluate(spark, SF, rows, ("kmer3",), "X").collect()
+    assert [tuple(r) for r in got] == [("X", "t", "kmer3", 1.0, 1.0)]
