@@ -136,3 +136,21 @@ def test_tasks_share_a_scan(spark):
     rows = spark.createDataFrame([(k, "ACGT" * 10 if k % 2 else "GGTA" * 10, [("t", k % 2, k // 8), ("u", None, 0)]) for k in range(16)], "contig long, seq string, marks array<struct<task:string,label:int,fold:int>>")
     got = workloads.evaluate(spark, SF, rows, ("kmer3",), "X").collect()
     assert [tuple(r) for r in got] == [("X", "t", "kmer3", 1.0, 1.0)]
+
+
+@pytest.mark.parametrize("name", ["balanced_sets", "interval_complement"])
+def test_sets_against_sql(spark, name):
+    con = duckdb.connect()
+    for t in ("documents", "labels"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{SF}/{t}.parquet'")
+    got = registry.QUERIES[name](spark, SF)
+    assert Counter(map(tuple, got.collect())) == Counter(con.execute(registry.ORACLE[name]).fetchall())
+
+
+def test_suites_share_scans(spark):
+    """Whole tables are read once for each side of their tasks, whatever the number of tasks, and the elements once for the balanced sets."""
+    assert plan(workloads.mixed_tasks(spark, SF)).count("pages.parquet") == 1
+    assert plan(workloads.first_suite(spark, SF)).count("documents.parquet") == 2
+    tasks = {m["task"] for r in workloads.mixed_tasks(spark, SF).select("marks").distinct().collect() for m in r["marks"]}
+    assert tasks - {None} == {*(f"page_lang_{x}" for x in ("en", "de", "fr", "es")), "page_document", "passage_document", "user_assistant", "turn_document", "es_de"}
+    assert "labels.parquet" not in plan(workloads.element_tasks(spark, SF, workloads.element_sets(spark, SF)))
