@@ -154,3 +154,58 @@ def test_suites_share_scans(spark):
     tasks = {m["task"] for r in workloads.mixed_tasks(spark, SF).select("marks").distinct().collect() for m in r["marks"]}
     assert tasks - {None} == {*(f"page_lang_{x}" for x in ("en", "de", "fr", "es")), "page_document", "passage_document", "user_assistant", "turn_document", "es_de"}
     assert "labels.parquet" not in plan(workloads.element_tasks(spark, SF, workloads.element_sets(spark, SF)))
+
+
+@pytest.mark.parametrize("weights", [False, True])
+def test_linked_merges_tell_all_changes(monkeypatch, weights):
+    """A merge looks at the places of the rarer of its symbols only, and the changes that it tells add up to a recount, runs of one symbol included."""
+    rng = np.random.default_rng(5)
+    units = ["".join(rng.choice(list("AAAACG"), 300)) + "GT" * (k % 2) for k in range(20)] + ["A" * 9, "AC" * 5, "T"]
+    chain = bpe.Chain([bpe.codes(u) for u in units], np.arange(len(units)) + 1 if weights else np.ones(len(units), np.int64))
+    counts, looked, seen = Counter(dict(zip(*(x.tolist() for x in chain.pairs()), strict=True))), bpe.Chain._places, []
+    monkeypatch.setattr(bpe.Chain, "_places", lambda self, k: seen.append(len(self.where.get(k, ()))) or looked(self, k))
+    chain.merge(2, 3, 5)
+    assert seen == [11]  # the T, not the hundreds of G
+    chain = bpe.Chain([bpe.codes(u) for u in units], np.arange(len(units)) + 1 if weights else np.ones(len(units), np.int64))
+    for a, b, c in ((0, 0, 5), (0, 1, 6), (5, 5, 7), (1, 6, 8), (5, 6, 9), (6, 5, 10), (7, 0, 11), (9, 9, 12)):
+        for k, n in zip(*(x.tolist() for x in bpe.changes(a, b, c, [chain.merge(a, b, c)])), strict=True):
+            counts[k] += n
+        symbols, ends = chain.symbols()
+        fresh = Counter()
+        for k, (x, y) in enumerate(zip([0, *ends[:-1].tolist()], ends.tolist(), strict=True)):
+            for p in zip(symbols[x:y].tolist(), symbols[x + 1 : y].tolist(), strict=False):
+                fresh[p[0] << 32 | p[1]] += k + 1 if weights else 1
+        assert +counts == fresh and min(counts.values()) >= 0
+
+
+def test_ranked_pairs_wait_under_the_floor():
+    """Rare pairs stay out of the heap until the frequent ones are used up; a square array and one by key give the same."""
+    out = []
+    for size in (50, 20_000):
+        ranked = bpe.Ranked(size, bpe.Names(), 2)
+        for k in range(5, 45):
+            ranked.names.add("A" * (k - 3))
+        n = np.array([900, 800, 500, 30, 2, 1], np.int64)
+        ranked.change(np.array([x << 32 | x + 1 for x in (0, 5, 9, 20, 30, 40)], np.int64), n)
+        assert not ranked.heap and ranked.lower() and sorted(x[0] for x in ranked.heap) == [-900, -800, -500]
+        ranked.change(np.array([9 << 32 | 10, 20 << 32 | 21, 20 << 32 | 21], np.int64), np.array([-499, 400, 400], np.int64))
+        assert (ranked.get(9 << 32 | 10), ranked.get(20 << 32 | 21), type(ranked.n)) == (1, 830, np.ndarray if size == 50 else dict)
+        while ranked.lower():
+            pass
+        out.append(sorted(ranked.heap))
+        assert ranked.floor == 2 and min(-x[0] for x in out[-1]) == 2
+    assert out[0] == out[1]
+
+
+def test_corpora_are_cut_in_the_workers(spark):
+    """Bases of whole lines and motif regions are made in the workers, not by expressions that the plan repeats; the units stay."""
+    found = vocabularies.corpora(spark, SF)
+    assert not any("regexp" in plan(found[x]) or "translate" in plan(found[x]) for x in ("whole", "motif", "foreign"))
+    docs = T.table(spark, SF, "documents").limit(60).unionByName(spark.createDataFrame([("Éa\r\n\nb \U0001f600c\n",), (None,)], "text string"), allowMissingColumns=True)
+    line = docs.select(F.explode(F.split("text", "\n")).alias("line")).select(B.to_bases("line").alias("unit")).where("unit <> ''")
+    assert Counter({r["unit"]: r["n"] for r in bpe.units(docs).collect()}) == Counter(r["unit"] for r in line.collect())
+    w, got = words(spark, SF), [Counter(), Counter()]
+    for k, df in enumerate((G.covered_seqs(docs.select(B.to_bases("text").alias("seq")), w), G.covered_seqs(docs, w, "text"))):
+        for r in df.collect():
+            got[k][r["seq"]] += r["n"]
+    assert got[0] == got[1] and got[0]
