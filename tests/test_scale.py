@@ -209,3 +209,9 @@ def test_corpora_are_cut_in_the_workers(spark):
         for r in df.collect():
             got[k][r["seq"]] += r["n"]
     assert got[0] == got[1] and got[0]
+
+
+def test_first_bases_are_dealt_out_after_the_cut(spark):
+    """No whole text is shuffled where a scan has fewer tasks than there are cores."""
+    p = plan(T.prefixes(spark, SF, 300))
+    assert p.index("Exchange") < p.index("Generate")
