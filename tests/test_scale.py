@@ -215,3 +215,30 @@ def test_first_bases_are_dealt_out_after_the_cut(spark):
     """No whole text is shuffled where a scan has fewer tasks than there are cores."""
     p = plan(T.prefixes(spark, SF, 300))
     assert p.index("Exchange") < p.index("Generate")
+
+
+def test_chains_keep_two_bytes_a_base():
+    """A chain made of symbols of several bases goes on as one that began with the bases, weights and a unit without bases included; a base takes two bytes of it."""
+    units, weights = ["ACACGT", "", "GTACAC", "TTTT"], np.array([1, 1, 1, 3])
+    whole = bpe.Chain([bpe.codes(u) for u in units], weights)
+    first, then = ((0, 1, 5), (3, 3, 6)), ((5, 5, 7), (2, 3, 8), (6, 6, 9))
+    for m in first:
+        whole.merge(*m)
+    symbols, ends = whole.symbols()
+    flat = np.concatenate([[-1], *([*symbols[a:b], -1] for a, b in zip([0, *ends[:-1]], ends, strict=True))]).astype(np.int16)
+    later = bpe.Chain(flat, weights, [1] * 5 + [2, 2])
+    assert whole.symbol.dtype == later.symbol.dtype == np.int16 and len(whole.symbol) == len(later.symbol) == sum(map(len, units)) + 5
+    for m in then:
+        x, y = whole.merge(*m), later.merge(*m)
+        assert all(np.array_equal(p, q) for p, q in zip(x, y, strict=True))
+    assert all(np.array_equal(p, q) for p, q in zip(whole.symbols(), later.symbols(), strict=True))
+    assert x[2] == 3 and later.symbols()[0].tolist() == [7, 8, 8, 7, 9]
+
+
+def test_small_corpora_are_trained_by_few_tasks(spark, monkeypatch):
+    """A task for so many bases, not for each slot; the merges stay."""
+    u, asked, dealt = vocabularies.unit_rows(spark, SF).cache(), [], type(spark.range(0)).repartition
+    want = bpe.train_batched(u, 60, 20)
+    monkeypatch.setattr(type(u), "repartition", lambda self, n, *a: asked.append(n) or dealt(self, n, *a))
+    assert bpe.train_bpe(u, 60, 20, symbols=0) == want and asked == [1]
+    u.unpersist()
