@@ -242,3 +242,23 @@ def test_small_corpora_are_trained_by_few_tasks(spark, monkeypatch):
     monkeypatch.setattr(type(u), "repartition", lambda self, n, *a: asked.append(n) or dealt(self, n, *a))
     assert bpe.train_bpe(u, 60, 20, symbols=0) == want and asked == [1]
     u.unpersist()
+
+
+def test_vocabularies_of_a_corpus_are_cut_together(spark):
+    """One replay comes by the nested sizes, and each is learnt and tried by itself; a size beyond the merges has all of them."""
+    merges = bpe.train_local([(r["unit"], r["n"]) for r in vocabularies.unit_rows(spark, SF).collect()], 120, 20)
+    sizes, data = [30, 60, 4096], T.prefixes(spark, SF, 120).limit(120)
+    mark = F.struct(F.col("contig").alias("id"), F.concat_ws("|", F.lit("de"), (F.col("lang") == "de").cast("int").cast("string")).alias("y"), (F.col("contig") % 3 == 0).alias("test"))
+    rows = data.where("lang IS NOT NULL").select(F.col("contig").alias("key"), "seq", F.array(mark).alias("marks")).cache()
+    cut, seqs = bpe.Cutter(merges, sizes), ["ACGT" * 30, "", "N", "GATTACA" * 9]
+    firsts = [merges[: n - bpe.SPECIAL_AND_ALPHABET] for n in sizes]
+    for (ids, of), first in zip(cut.each(np.arange(4), seqs), firsts, strict=True):
+        want = bpe.Cutter(first)(np.arange(4), seqs)
+        assert np.array_equal(ids, want[0]) and np.array_equal(of, want[1])
+    for got, first in zip(bayes.tried_each(rows, cut), firsts, strict=True):
+        want = Counter(map(tuple, bayes.tried(rows, bpe.Cutter(first)).collect()))
+        assert Counter(map(tuple, got.collect())) == want and want
+    learnt = dict.fromkeys(("whole", "motif", "element"), merges)
+    groups = [names for names, _ in workloads.cutters(spark, SF, workloads.COMPARED["w10_domains"][1], learnt)]
+    assert [len(x) for x in groups] == [3, 3, 3]
+    rows.unpersist()
