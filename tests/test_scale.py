@@ -262,3 +262,15 @@ def test_vocabularies_of_a_corpus_are_cut_together(spark):
     groups = [names for names, _ in workloads.cutters(spark, SF, workloads.COMPARED["w10_domains"][1], learnt)]
     assert [len(x) for x in groups] == [3, 3, 3]
     rows.unpersist()
+
+
+def test_labels_and_languages_share_their_cut(spark, monkeypatch):
+    """A row for each contig, with the marks of all its tasks, goes to the tokenizers; no mark is lost."""
+    sets = [workloads.language_tasks(spark, SF, 300), workloads.label_tasks(spark, SF, 300)]
+    seen = []
+    monkeypatch.setattr(workloads, "evaluate", lambda s, d, data, *a: seen.append(data) or data)
+    registry.QUERIES["w11_dictionary_vs_bpe"](spark, SF)
+    rows = seen[0].select("contig", "seq", F.size("marks").alias("n"), "marks").collect()
+    assert len(rows) == len({r["contig"] for r in rows}) == sets[0].count()
+    want = Counter((r["contig"], r["seq"], *m) for s in sets for r in s.collect() for m in r["marks"])
+    assert Counter((r["contig"], r["seq"], *m) for r in rows for m in r["marks"]) == want
